@@ -18,6 +18,7 @@ leaves every document clean; other columns pass through.
 from __future__ import annotations
 
 import hashlib
+import uuid
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -99,7 +100,7 @@ def scan(
         raise ValueError(f"benchmark of {total} bytes exceeds the automaton's bound; use find_by_join")
     rows = benchmark.select(column(item_id_col).cast("string"), *[column(c) for c in item_text_cols]).collect()
     items = [(r[0], t.encode()) for r in rows for t in r[1:] if t]
-    shared = docs.sparkSession.sparkContext.broadcast((items, window))
+    shared = docs.sparkSession.sparkContext.broadcast((uuid.uuid4().hex, items, window))
 
     def make():
         return _kernel(shared)
@@ -107,15 +108,15 @@ def scan(
     return append_columns(docs, [text_col], make, FIELDS, keep)
 
 
-_BUILT: dict[int, Scanner] = {}
+_BUILT: dict[str, Scanner] = {}
 
 
 def _kernel(shared):
     # a reused worker keeps the automaton of the last benchmark
-    key = id(shared.value)
+    key, items, window = shared.value
     if key not in _BUILT:
         _BUILT.clear()
-        _BUILT[key] = Scanner(*shared.value)
+        _BUILT[key] = Scanner(items, window)
     scanner = _BUILT[key]
     return lambda texts: [scanner(t) for t in texts]
 
