@@ -5,17 +5,43 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import decontaminate, licenses, mixing, secret_scan, simhash
+from . import decontaminate, langid, licenses, mixing, ogg, pii, secret_scan, simhash, toxicity, warc
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+def op1_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents").select("doc_id", "text")
+    out = toxicity.classify(docs, table(spark, sf_dir, "labels"), keep=["doc_id"])
+    return out.select("doc_id", toxicity.held_out(F.col("doc_id")).alias("held_out"), "score", "predicted")
+
+
 def op2_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     return licenses.scan(table(spark, sf_dir, "documents"), keep=["doc_id"]).drop("expressions")
 
 
+def op3_warc_salvage(spark: SparkSession, sf_dir: str) -> DataFrame:
+    path = warc.new_folder(spark)
+    warc.write(table(spark, sf_dir, "pages"), path)
+    records = warc.read(spark, path).where("kind = 'record'")
+    number = lambda c: F.when(F.col(c) != "null", F.col(c)).cast("bigint").alias(c)
+    return records.select(number("page_id"), "payload_bytes", "payload_digest", "record_type", number("refers_to"))
+
+
+def op4_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents").select("doc_id", "text", "lang")
+    model = langid.fit(docs, train=~langid.held_out(F.col("doc_id")))
+    out = langid.predict(docs, model, keep=["doc_id"])
+    return out.select("doc_id", langid.held_out(F.col("doc_id")).alias("held_out"), "lang_pred", "score")
+
+
+def op5_ogg_columns(spark: SparkSession, sf_dir: str) -> DataFrame:
+    media = ogg.encode(table(spark, sf_dir, "documents"), keep=["doc_id"])
+    return ogg.describe(media, keep=["doc_id"]).drop("damaged_pages")
+
+
 def op6_simhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     found = simhash.near_duplicates(table(spark, sf_dir, "documents"))
     fingerprint = F.lower(F.lpad(F.hex("__fp"), 16, "0")).alias("fingerprint")
@@ -31,16 +57,26 @@ def op8_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:
     return out.drop("items", "hits")
 
 
+def op9_personal_data(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents").select("doc_id", "text")
+    return pii.scan(docs, pii.fit(docs), keep=["doc_id"]).drop("found")
+
+
 def op10_mix_sources(spark: SparkSession, sf_dir: str) -> DataFrame:
     out = mixing.plan(table(spark, sf_dir, "documents"))
     return out.selectExpr("id AS doc_id", "size", "source_size", "target", "copies * size AS taken")
 
 
 QUERIES = {
+    "op1_toxicity": op1_toxicity,
     "op2_license_scan": op2_license_scan,
+    "op3_warc_salvage": op3_warc_salvage,
+    "op4_language_id": op4_language_id,
+    "op5_ogg_columns": op5_ogg_columns,
     "op6_simhash": op6_simhash,
     "op7_secret_scan": op7_secret_scan,
     "op8_decontaminate": op8_decontaminate,
+    "op9_personal_data": op9_personal_data,
     "op10_mix_sources": op10_mix_sources,
 }
 
