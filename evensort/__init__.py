@@ -1,0 +1,5 @@
+"""Parallel sorting with balanced splitting on Spark DataFrames.
+
+A sequence is cut into blocks, pivots or exact cuts are chosen, rows are routed to
+partitions in one shuffle, and each partition is merged and given its global offset.
+"""
