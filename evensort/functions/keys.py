@@ -64,18 +64,18 @@ def _double_bits(key: Column) -> Column:
     half = F.floor(exponent / 2)
     mantissa = size / F.pow(F.lit(2.0), half) / F.pow(F.lit(2.0), exponent - half) * float(1 << 52)
     code = (exponent + 1023).cast("bigint") * (1 << 52) + mantissa.cast("bigint") - F.lit(1 << 52)
-    top = F.lit((1 << 62) + (1 << 61))
+    top = F.lit(2047 << 52)
     code = F.when(size == 0, F.lit(0)).when(F.isnan(key), top + 1).when(size == float("inf"), top).otherwise(code + 1)
     return F.when(key < 0, -code).otherwise(code).cast("bigint")
 
 
 def u64_to_ordered_long(key: Column) -> Column:
     """An unsigned 64-bit number held as decimal(20,0) as a long of the same order."""
-    return (key.cast("decimal(20,0)") - F.lit(1 << 63).cast("decimal(20,0)")).cast("bigint")
+    return (key.cast("decimal(20,0)") - F.lit(str(1 << 63)).cast("decimal(20,0)")).cast("bigint")
 
 
 def ordered_long_to_u64(code: Column) -> Column:
-    return (code.cast("decimal(20,0)") + F.lit(1 << 63).cast("decimal(20,0)")).cast("decimal(20,0)")
+    return (code.cast("decimal(20,0)") + F.lit(str(1 << 63)).cast("decimal(20,0)")).cast("decimal(20,0)")
 
 
 @dataclass(frozen=True)

@@ -20,7 +20,7 @@ def block_length(n: int, n_blocks: int) -> int:
 def assign_blocks(df: DataFrame, n_blocks: int, n: int | None = None, pos: str = "pos") -> DataFrame:
     """``block`` = pos div ceil(n / n_blocks); trailing blocks may be empty."""
     length = block_length(df.count() if n is None else n, n_blocks)
-    return df.withColumn("block", F.floor(F.col(pos) / length).cast("bigint"))
+    return df.withColumn("block", F.expr(f"`{pos}` div {length}"))
 
 
 def layout(blocked: DataFrame) -> DataFrame:
