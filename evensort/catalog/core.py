@@ -230,6 +230,7 @@ def _add_steps() -> None:
         query(f"kernel_{kernel}_dup3", f"{with_seq('dup3')} {ranked} FROM ({lay})")(
             lambda spark, d, k=kernel: blocks.sort_blocks(blocked("dup3", spark, d), k)
         )
+    query("kernel_three_way_ops")(_three_way_ops)
     for method in ("regular", "exact"):
         query(
             f"piece_sizes_{method}",
@@ -248,6 +249,22 @@ def _add_steps() -> None:
         )
 
 
+def _three_way_ops(spark, d):
+    """Counted work of two sorters on each block of the three-valued key: three-way splitting
+    stays within a multiple of rows times distinct keys."""
+    schema = "block bigint, kernel string, n bigint, distinct_keys bigint, comparisons bigint, moves bigint, depth bigint, bad_partitions bigint, fallbacks bigint"
+
+    def run(part: pd.DataFrame) -> pd.DataFrame:
+        keys, rows = part.sort_values("pos")["key"].to_numpy(np.int64), []
+        for k in ("three_way", "intro"):
+            s = kernels.Stats()
+            kernels.permutation(k, keys, s)
+            rows.append((part["block"].iloc[0], k, len(keys), len(np.unique(keys)), s.comparisons, s.moves, s.depth, s.bad_partitions, s.fallbacks))
+        return pd.DataFrame(rows, columns=[c.split()[0] for c in schema.split(", ")])
+
+    return blocked("dup3", spark, d).groupBy("block").applyInPandas(run, schema)
+
+
 def _example(spark, values):
     own = spark.createDataFrame(list(enumerate(values)), "pos bigint, key int")
     a = sorter.parallel_sort(own, "exact", 2, 2).df.select("pos", "key", F.expr("pos div 3").alias("block"), F.col("part").alias("exact_part"), "rnk")

@@ -110,3 +110,25 @@ def stage_times(seq: DataFrame, n_blocks: int = 8, n_parts: int = 8) -> dict[str
     order = Window.partitionBy("part").orderBy("key", "pos")
     _, merge_s = timed(lambda: routed.repartitionById(n_parts, F.col("part").cast("int")).withColumn("at", F.row_number().over(order)))
     return {"block_sort": sort_s, "select": select_s, "route": route_s, "merge": merge_s}
+
+
+def memory(spark: SparkSession, run: Callable[[], DataFrame]) -> dict[str, int]:
+    """Bytes that a run shuffles, spills and keeps in execution memory at most, from the
+    session's stage metrics.  The sort is not in place: its second copy is the shuffle."""
+    context = spark.sparkContext
+    store = context._jsc.sc().statusStore()
+    none = context._gateway.new_array(context._jvm.double, 0)
+
+    def stages() -> dict[int, object]:
+        found = store.stageList(None, False, False, none, None)
+        return {(s := found.apply(i)).stageId(): s for i in range(found.size())}
+
+    before = set(stages())
+    run().write.format("noop").mode("overwrite").save()
+    context._jsc.sc().listenerBus().waitUntilEmpty(10_000)
+    own = [s for k, s in stages().items() if k not in before]
+    return {
+        "shuffle_write": sum(s.shuffleWriteBytes() for s in own),
+        "spill_disk": sum(s.diskBytesSpilled() for s in own),
+        "peak_execution": max([0, *(s.peakExecutionMemory() for s in own)]),
+    }
