@@ -37,7 +37,7 @@ from .words import words
 
 FOLDS = 5
 PER_CLASS = 4000
-TERMS = 2000
+TERMS = 256
 NEIGHBOURS = 15
 BLOCK = 64
 PREFIXES = (3, 4, 5, 6)
@@ -72,11 +72,13 @@ class Vectors:
     def __init__(self, vocabulary: Iterable[str]):
         self.index = {t: i for i, t in enumerate(vocabulary)}
         self.memo: dict[bytes, tuple[int, ...]] = {}
+        # a word with any term starts with the first three bytes of one
+        self.heads = {t.removeprefix("^").encode()[:3] for t in self.index}
 
     def __call__(self, text: bytes | None) -> dict[int, int]:
         counts: dict[int, int] = {}
-        memo = self.memo
-        for w, n in Counter(words(text)).items():
+        memo, heads = self.memo, self.heads
+        for w, n in Counter([w for w in words(text) if w[:3] in heads]).items():
             found = memo.get(w)
             if found is None:
                 if len(memo) >= MEMO:
