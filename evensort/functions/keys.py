@@ -130,6 +130,21 @@ def literal(value, kind: T.DataType) -> Column:
     return F.lit(str(value)).cast(kind)
 
 
+READ = "__read"
+
+
+def settled(df: DataFrame) -> DataFrame:
+    """``df`` whose computed columns are evaluated once a row under ``held`` filters.
+
+    A filter is pushed below a projection by copying the key's expression into each of its
+    comparisons.  A partition id in the projection, used by the filter, stops that."""
+    return df.withColumn(READ, F.spark_partition_id())
+
+
+def held(condition: Column) -> Column:
+    return condition & (F.col(READ) >= 0)
+
+
 def count_bounds(x: Column, bounds: Sequence[Column], strict: bool) -> Column:
     """How many of the rising ``bounds`` lie below ``x`` (``strict``), or at or below it.
 

@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..functions.keys import count_bounds, literal
+from ..functions.keys import READ, count_bounds, held, literal, settled
 from .pivots import Cut
 
 
@@ -31,7 +31,7 @@ def _is_pivot(df: DataFrame, cuts: list[Cut]):
 
 def equal_counts(blocked: DataFrame, cuts: list[Cut]) -> DataFrame:
     """(key, block, n) of the rows whose key is a pivot: n_B rows a distinct pivot at most."""
-    ties = blocked.where(_is_pivot(blocked, cuts))
+    ties = settled(blocked).where(held(_is_pivot(blocked, cuts)))
     return ties.groupBy("key", "block").agg(F.count("*").alias("n"))
 
 
@@ -46,10 +46,11 @@ def tie_ranks(blocked: DataFrame, cuts: list[Cut]) -> DataFrame:
     before = Window.partitionBy("key").orderBy("block").rowsBetween(Window.unboundedPreceding, -1)
     base = counts.select(F.col("key").alias("__k"), F.col("block").alias("__b"), F.coalesce(F.sum("n").over(before), F.lit(0)).alias("__base"))
     own = F.row_number().over(Window.partitionBy("block", "key").orderBy("pos")) - 1
-    tied = blocked.where(_is_pivot(blocked, cuts)).withColumn("__own", own)
+    rows, test = settled(blocked), _is_pivot(blocked, cuts)
+    tied = rows.where(held(test)).withColumn("__own", own)
     tied = tied.join(base, F.col("key").eqNullSafe(F.col("__k")) & (F.col("block") == F.col("__b")))
     tied = tied.withColumn("__tau", (F.col("__base") + F.col("__own")).cast("bigint")).select(*blocked.columns, "__tau")
-    return tied.unionByName(blocked.where(~_is_pivot(blocked, cuts)).withColumn("__tau", F.lit(0).cast("bigint")))
+    return tied.unionByName(rows.where(held(~test)).drop(READ).withColumn("__tau", F.lit(0).cast("bigint")))
 
 
 def route_by_exact_cuts(blocked: DataFrame, cuts: list[Cut], stable: bool = True, salts: int = 64) -> DataFrame:

@@ -24,7 +24,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from ..functions.keys import literal, mix32, ordered_long
+from ..functions.keys import held, literal, mix32, ordered_long, settled
 from .blocks import sort_blocks
 
 
@@ -151,8 +151,8 @@ def _find(counts: DataFrame, ranks: list[int], base: int = 0) -> dict[int, tuple
 def _pick(summed: DataFrame, ranks: list[int], base: int = 0) -> dict[int, tuple]:
     """rank -> (key, less, less_eq) of rows (key, n, less) that hold a rank."""
     wanted = sorted(set(ranks))
-    held = F.exists(F.array(*[F.lit(r).cast("bigint") for r in wanted]), lambda r: (r > F.col("less") + base) & (r <= F.col("less") + base + F.col("n")))
-    rows = summed.where(held).select("key", "n", "less").collect()
+    holds = F.exists(F.array(*[F.lit(r).cast("bigint") for r in wanted]), lambda r: (r > F.col("less") + base) & (r <= F.col("less") + base + F.col("n")))
+    rows = summed.where(holds).select("key", "n", "less").collect()
     spans = sorted((r.less + base, r.less + base + r.n, r.key) for r in rows)
     lows = [s[0] for s in spans]
     out = {}
@@ -345,7 +345,7 @@ def _sketch_refine(df, kind, n, ranks, work, eps: float | None = None):
         test = F.lit(False)
         for low, high in brackets:
             test = test | within(low, high)
-        inside = known.where(test).groupBy("key").agg(F.count("*").alias("n"))
+        inside = settled(known).where(held(test)).groupBy("key").agg(F.count("*").alias("n"))
         picked_ranks = _find(inside, [r - shift for r, shift in local.items()])
         for r, shift in local.items():
             key, less, less_eq = picked_ranks[r - shift]
