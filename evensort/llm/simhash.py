@@ -160,24 +160,38 @@ class GrayTree:
         kept = down < n
         return down[kept], np.repeat(sums, self.fanout)[kept]
 
-    def spanning_links(self, threshold: int) -> list[tuple[int, int]]:
-        """Pairs (child, parent) of positions in the given order: a tree of each component.
-
-        A found code leaves the search, so dense groups cost one visit a code."""
-        alive = np.ones(len(self.codes), bool)
-        links: list[tuple[int, int]] = []
-        for root in range(len(self.codes)):
-            if not alive[root]:
-                continue
+
+def spanning_links(codes: np.ndarray, threshold: int) -> list[tuple[int, int]]:
+    """Pairs (child, parent) of positions: a spanning tree of each component.
+
+    A found code leaves the search.  When half of a tree's codes have left, the rest get a
+    tree of their own, so that a dense group does not go on to be searched in vain."""
+    tree = GrayTree(codes)
+    own, alive, left = tree.order, np.ones(len(codes), bool), len(codes)
+    links: list[tuple[int, int]] = []
+    stack: list[int] = []
+    root = 0
+    while left or stack:
+        if left < len(alive) // 2:
+            kept = own[alive]
+            tree = GrayTree(codes[kept])
+            own, alive, root = kept[tree.order], np.ones(left, bool), 0
+        if not stack:
+            while not alive[root]:
+                root += 1
             alive[root] = False
-            stack = [root]
-            while stack:
-                own = stack.pop()
-                near = self.within(self.codes[own], threshold, alive)
-                alive[near] = False
-                links += [(int(self.order[n]), int(self.order[own])) for n in near]
-                stack += near.tolist()
-        return links
+            left -= 1
+            stack.append(int(own[root]))
+        at = stack.pop()
+        if not left:
+            continue
+        near = tree.within(codes[at], threshold, alive)
+        alive[near] = False
+        left -= len(near)
+        found = own[near].tolist()
+        links += [(n, at) for n in found]
+        stack += found
+    return links
 
 
 #: Buckets up to this size are one leaf: all its codes are compared at once.
@@ -202,7 +216,7 @@ def bucket_links(codes: np.ndarray, keys: np.ndarray, threshold: int) -> tuple[n
         shift += 1
     for s, m in zip(starts[sizes > LEAF], sizes[sizes > LEAF]):
         own = codes[s : s + m]
-        links = GrayTree(own).spanning_links(threshold)
+        links = spanning_links(own, threshold)
         if links:
             a, b = np.array(links).T
             left.append(own[a])

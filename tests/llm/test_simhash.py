@@ -58,6 +58,26 @@ def test_tree_finds_all_within_threshold():
         assert near == {int(x) for x in codes if (int(x) ^ int(c)).bit_count() <= 4}
 
 
+def test_spanning_links_of_dense_and_sparse_buckets():
+    rng = random.Random(9)
+    base = rng.getrandbits(64)
+    dense = list({base ^ sum(1 << b for b in rng.sample(range(30), rng.randint(0, 3))) for _ in range(1500)})
+    for codes in (dense, clouds(rng), dense + clouds(rng), [5], [5, 1 << 40]):
+        made = simhash.spanning_links(np.array(codes, np.uint64), 4)
+        parent = list(range(len(codes)))
+
+        def find(x):
+            while parent[x] != x:
+                x = parent[x]
+            return x
+
+        for a, b in made:
+            assert (codes[a] ^ codes[b]).bit_count() <= 4 and find(a) != find(b)
+            parent[find(a)] = find(b)
+        want = brute_components(codes)
+        assert len(made) == len(codes) - len(set(want.values()))
+
+
 def test_gray_rank_inverts_gray_code():
     n = np.arange(5000, dtype=np.uint64)
     assert (simhash.gray_rank(n ^ (n >> np.uint64(1))) == n).all()
