@@ -118,3 +118,11 @@ def test_stream_restarts_from_its_checkpoint(spark):
     counted = streams.tumbling(streams.events(spark, SF), "1 day", "event_type")
     assert streams.drain(counted, "complete").agg(F.sum("n")).first()[0] == io.load(spark, SF, "events").count()
     assert streams.drain(counted, "update").agg(F.sum("n")).first()[0] == io.load(spark, SF, "events").count()
+
+
+@pytest.mark.skipif(not os.path.isdir(SF), reason="needs the tables")
+def test_experiment_drivers_run(spark):
+    timed = bench.fig_time(spark, SF, 4, ("exact", "regular"), ("dup3",), runs=1)
+    assert set(timed) == {"exact/dup3", "regular/dup3"} and min(timed.values()) > 0
+    assert set(bench.fig_block_sorters(spark, SF, 2, ("intro", "spark"), ("dup3",))) == {"intro/dup3", "spark/dup3"}
+    assert set(bench.fig_mergers(spark, SF, 2, ("pairs", "resort"), ("dup3",))) == {"pairs/dup3", "resort/dup3"}
