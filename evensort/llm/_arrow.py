@@ -11,8 +11,10 @@ from pyspark.sql import functions as F
 from pyspark.sql.types import StringType, StructField, StructType
 
 ROW = "__row"
-#: Rows handed to a kernel at once; bounds the Python objects alive beside a batch.
+#: Rows and about the bytes handed to a kernel at once; they bound the Python objects alive
+#: beside a batch, however long its texts are.
 SLICE_ROWS = 256
+SLICE_BYTES = 8 << 20
 
 
 def quoted(name: str) -> str:
@@ -58,7 +60,7 @@ def append_columns(
     row = F.struct(*[column(c) for c in keep]) if keep else F.struct(F.lit(0).alias("none"))
     source = df.select(row.alias(ROW), *[column(c).alias(f"__in{i}") for i, c in enumerate(extra)])
     schema = StructType([StructField(ROW, source.schema[ROW].dataType, False), *fields.fields])
-    names, slice_rows = list(inputs), SLICE_ROWS
+    names, most_rows, most_bytes = list(inputs), SLICE_ROWS, SLICE_BYTES
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         from pyspark.sql.pandas.types import to_arrow_type
@@ -66,6 +68,8 @@ def append_columns(
         kernel = make()
         types = [to_arrow_type(f.dataType) for f in fields.fields]
         for whole in batches:
+            row_bytes = whole.nbytes // max(1, whole.num_rows)
+            slice_rows = max(1, min(most_rows, most_bytes // max(1, row_bytes)))
             for at in range(0, whole.num_rows, slice_rows):
                 batch = whole.slice(at, slice_rows)
                 rows = batch.column(0)
