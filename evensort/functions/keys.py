@@ -45,7 +45,10 @@ def ordered_long(key: Column, kind: T.DataType) -> Column:
     if isinstance(kind, T.DateType):
         return F.unix_date(key).cast("bigint")
     if isinstance(kind, T.TimestampNTZType):
-        return F.unix_micros(key.cast("timestamp"))
+        # from its parts: a cast to TIMESTAMP would bend at the session zone's clock changes
+        seconds = F.hour(key) * 3600 + F.minute(key) * 60
+        micros = (F.extract(F.lit("SECOND"), key) * 1_000_000).cast("bigint")
+        return (F.unix_date(key.cast("date")).cast("bigint") * 86_400 + seconds) * 1_000_000 + micros
     if isinstance(kind, T.TimestampType):
         return F.unix_micros(key)
     if isinstance(kind, (T.IntegralType, T.BooleanType)):
@@ -123,7 +126,7 @@ def literal(value, kind: T.DataType) -> Column:
     """A collected value as a literal of its type, structs included."""
     if isinstance(kind, T.StructType):
         return F.struct(*[literal(value[f.name], f.dataType).alias(f.name) for f in kind.fields])
-    if value is None or isinstance(kind, (T.FloatType, T.DoubleType, T.StringType, T.IntegralType, T.BooleanType)):
+    if value is None or isinstance(kind, (T.FloatType, T.DoubleType, T.StringType, T.IntegralType, T.BooleanType, T.TimestampType)):
         return F.lit(value).cast(kind)
     if isinstance(kind, T.ArrayType):
         return F.array(*[literal(v, kind.elementType) for v in value]).cast(kind)

@@ -80,6 +80,22 @@ def test_odd_doubles_keep_sparks_order(spark):
     assert [r.pos for r in by_code] == [r.pos for r in by_key]
 
 
+def test_times_keep_their_order_in_any_zone(spark):
+    zone = spark.conf.get("spark.sql.session.timeZone")
+    spark.conf.set("spark.sql.session.timeZone", "Europe/Berlin")
+    try:
+        texts = ["2024-10-27 01:59:59.5", "2024-10-27 02:30:00", "2024-10-27 03:00:00", "2024-03-31 02:30:00", "2024-03-31 03:00:00", "1969-12-31 23:59:59.999999"]
+        rows = spark.createDataFrame(list(enumerate(texts)), "pos bigint, s string")
+        own = rows.select("pos", F.col("s").cast("timestamp_ntz").alias("key"))
+        coded = own.select("key", ordered_long(F.col("key"), own.schema["key"].dataType).alias("code")).orderBy("key").collect()
+        codes = [r.code for r in coded]
+        assert codes == sorted(set(codes)) and codes[0] == -1
+        for strategy in ("sketch_refine", "multiway_search"):
+            assert [str(c.key) for c in pivots.exact(own, 3, strategy)] == [str(coded[1].key), str(coded[3].key)]
+    finally:
+        spark.conf.set("spark.sql.session.timeZone", zone)
+
+
 def test_unsigned_and_compound_keys(spark):
     values = [0, 2**63 - 1, 2**63, 2**64 - 1]
     df = spark.createDataFrame([(str(v),) for v in values], "s string").select(F.col("s").cast("decimal(20,0)").alias("u"))
