@@ -65,7 +65,9 @@ def register_all(spark: SparkSession) -> None:
 
 
 def cogroup_merge(left: DataFrame, right: DataFrame, group: str) -> DataFrame:
-    """Two tables (group, key, pos) merged in each group: left first among equal keys."""
+    """Two tables (group, key, pos) merged in each group: left first among equal keys.
+
+    Both sides of a group are in one worker at once; larger groups are for setops.merge_sorted."""
     kinds = {f.name: f.dataType for f in left.schema.fields}
     schema = T.StructType(
         [T.StructField(group, kinds[group]), T.StructField("key", kinds["key"]), T.StructField("side", T.IntegerType()), T.StructField("rnk", T.LongType()), T.StructField("pos", kinds["pos"])]
@@ -77,4 +79,6 @@ def cogroup_merge(left: DataFrame, right: DataFrame, group: str) -> DataFrame:
         own = np.setdiff1d(np.arange(len(a) + len(b)), at)
         return pd.concat([a.assign(side=np.int32(0), rnk=own), b.assign(side=np.int32(1), rnk=at)])[[group, "key", "side", "rnk", "pos"]]
 
+    # sides of one parent share column ids, which a cogroup mistakes for one side's columns
+    left, right = (x.select(*[F.col(c).alias(c) for c in (group, "key", "pos")]) for x in (left, right))
     return left.groupBy(group).cogroup(right.groupBy(group)).applyInPandas(run, schema)

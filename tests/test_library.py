@@ -6,6 +6,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from evensort import bench, catalog
+from evensort.functions import udfs
 from evensort.operators import joins, merge_files, sorter, windows
 from evensort.plans import measures
 from evensort.sources import generator, io, workloads
@@ -74,6 +75,15 @@ def test_exact_cuts_join_splits_a_hot_key(spark):
     assert out.where("key = 1").select("part").distinct().count() >= 3
 
 
+def test_cogrouped_sides_of_one_parent(spark):
+    rows = spark.createDataFrame([(i, i % 2, i * 7 % 5) for i in range(20)], "pos bigint, g int, key int")
+    left, right = rows.where("pos < 9 OR g = 0").where("pos < 15"), rows.where("pos >= 5 AND g = 1")
+    got = udfs.cogroup_merge(left.select("g", "key", "pos"), right.select("g", "key", "pos"), "g").collect()
+    for g in (0, 1):
+        want = sorted([(r.key, s, r.pos) for s, side in enumerate((left, right)) for r in side.where(f"g = {g}").collect()])
+        assert [(r.key, r.side, r.pos) for r in sorted(got, key=lambda r: r.rnk) if r.g == g] == want
+
+
 def test_global_windows_on_empty_parts(spark):
     seq = spark.createDataFrame([(i, i // 2) for i in range(5)], "pos bigint, key bigint")
     s = sorter.parallel_sort(seq, "exact", 3, 12)
