@@ -9,6 +9,7 @@ from ..functions.keys import count_bounds, literal
 from . import pivots
 from .blocks import assign_blocks
 from .partition import route_by_exact_cuts
+from .sorter import place
 
 
 def _part(df: DataFrame, column: str, cuts: list):
@@ -43,8 +44,8 @@ def exact_cuts_join(left: DataFrame, right: DataFrame, n_parts: int, n_blocks: i
     blocked = assign_blocks(left, n_blocks)
     routed = route_by_exact_cuts(blocked, pivots.exact(blocked, n_parts)).drop("block")
     touched = routed.select("key", "part").distinct()
-    copies = right.join(touched, "key")
-    return routed.repartitionById(n_parts, F.col("part").cast("int")).join(copies, ["key", "part"])
+    copies = place(right.join(touched, "key"), n_parts).drop("part")
+    return place(routed, n_parts).join(copies, ["__id", "key"]).drop("__id")
 
 
 def co_partition(left: DataFrame, right: DataFrame, column: str, cuts: list, n_parts: int) -> DataFrame:

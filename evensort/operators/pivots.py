@@ -362,25 +362,14 @@ def _sketch_refine(df, kind, n, ranks, work, eps: float | None = None):
 def stable_snap(blocked: DataFrame, cuts: list[Cut]) -> list[Cut]:
     """Cuts whose quota is rounded down to whole blocks' runs of the key: no block's equal
     keys are divided."""
-    from .partition import equal_counts
-
-    runs = equal_counts(blocked, cuts).collect()
-    by: dict = {}
-    for r in sorted(runs, key=lambda r: r.block):
-        by.setdefault(_hashable(r.key), []).append(r.n)
-    out = []
-    for c in cuts:
-        take = 0
-        for n in by[_hashable(c.key)]:
-            if take + n > c.take:
-                break
-            take += n
-        out.append(Cut(c.k, c.key, take, c.less + take, c.less, c.less_eq))
-    return out
-
+    from .partition import cut_runs
 
-def _hashable(key):
-    return tuple(key) if isinstance(key, (list, T.Row)) else key
+    if not cuts:
+        return []
+    end = F.col("before") + F.col("n")
+    whole = cut_runs(blocked, cuts).where(end <= F.col("take")).groupBy("i").agg(F.max(end).alias("take")).collect()
+    takes = {r.i: r.take for r in whole}
+    return [Cut(c.k, c.key, takes.get(i, 0), c.less + takes.get(i, 0), c.less, c.less_eq) for i, c in enumerate(cuts)]
 
 
 def exact_weighted(df: DataFrame, weight: str, n_parts: int) -> DataFrame:

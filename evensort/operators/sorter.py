@@ -13,7 +13,7 @@ from pyspark.sql import functions as F
 from ..functions.keys import By, ordered_long, sort_key
 from . import kernels, pivots
 from .blocks import assign_blocks, sort_blocks
-from .partition import offsets, route_by_exact_cuts, route_by_pivots
+from .partition import last_places, offsets, route_by_exact_cuts, route_by_pivots
 
 METHODS = ("exact", "regular", "random_sample", "stable_snap", "native")
 
@@ -66,21 +66,21 @@ def parallel_sort(
         laid = laid.persist()  # range bounds come from a sample: ranks and offsets must see the same
         return SortedFrame(_ranked(laid, offsets(laid, n_parts)), n, n_parts, method)
     blocked = assign_blocks(seq, n_blocks, n)
-    if block_sort != "spark":
-        blocked = sort_blocks(blocked, block_sort).drop("idx")
     cuts: list = []
+    # selection reads the blocks unsorted or sorts them itself: a kernel runs once, on the rows it moves
+    ordered = blocked if block_sort == "spark" else sort_blocks(blocked, block_sort).drop("idx")
     if method == "regular":
         cuts = pivots.regular(blocked, n_parts, work=work)
-        routed = route_by_pivots(blocked, cuts)
+        routed = route_by_pivots(ordered, cuts)
     elif method == "random_sample":
         cuts = pivots.random_sample(blocked, n_parts, rate, seed, work)
-        routed = route_by_pivots(blocked, cuts)
+        routed = route_by_pivots(ordered, cuts)
     else:
         cuts = pivots.exact(blocked, n_parts, strategy, work, n)
         if method == "stable_snap":
             cuts = pivots.stable_snap(blocked, cuts)
-        routed = route_by_exact_cuts(blocked, cuts)
-    placed = routed.repartitionById(n_parts, F.col("part").cast("int"))
+        routed = route_by_exact_cuts(ordered, cuts, places=last_places(blocked, cuts))
+    placed = place(routed, n_parts)
     if merge != "resort":
         placed = merge_partitions(placed, merge)
     if method == "exact":
@@ -90,10 +90,17 @@ def parallel_sort(
     return SortedFrame(_ranked(placed, offsets(routed, n_parts), merge), n, n_parts, method, cuts, work)
 
 
+def place(routed: DataFrame, n_parts: int) -> DataFrame:
+    """The one shuffle of all rows, by partition number.  Grouping by ``__id``, the very column
+    it was placed by, needs no further one; by an equal column of another type it would."""
+    return routed.withColumn("__id", F.col("part").cast("int")).repartitionById(n_parts, F.col("__id"))
+
+
 def _local(placed: DataFrame, merge: str, start) -> DataFrame:
-    place = F.col("__at") if merge != "resort" else F.row_number().over(Window.partitionBy("part").orderBy("key", "pos")) - 1
-    out = placed.withColumn("rnk", (place + start).cast("bigint"))
-    return out.drop("__at", "block")
+    group = "__id" if "__id" in placed.columns else "part"
+    at = F.col("__at") if merge != "resort" else F.row_number().over(Window.partitionBy(group).orderBy("key", "pos")) - 1
+    out = placed.withColumn("rnk", (at + start).cast("bigint"))
+    return out.drop("__at", "__id", "block")
 
 
 def _ranked(placed: DataFrame, starts: DataFrame, merge: str = "resort") -> DataFrame:
@@ -127,7 +134,7 @@ def merge_partitions(placed: DataFrame, merger: str) -> DataFrame:
         out["__at"] = np.arange(len(out), dtype=np.int64)
         return out
 
-    return coded.groupBy("part").applyInPandas(run, schema)
+    return coded.groupBy("__id").applyInPandas(run, schema)
 
 
 def argsort(seq: DataFrame, **how) -> DataFrame:
@@ -155,7 +162,7 @@ def two_level(seq: DataFrame, n_parts: int, n_blocks: int = 8, n: int | None = N
         cuts = pivots.exact(own, inner, n=size, ranks=ranks) if size else []
         part = route_by_exact_cuts(own, cuts).withColumn("part", F.col("part") + s * inner)
         pieces = part if pieces is None else pieces.unionByName(part)
-    placed = pieces.repartitionById(n_parts, F.col("part").cast("int"))
+    placed = place(pieces, n_parts)
     start = F.expr(f"(part * {n} + {n_parts - 1}) div {n_parts}")
     return SortedFrame(_local(placed, "resort", start), n, n_parts, "exact")
 
@@ -177,5 +184,5 @@ def parallel_quick(seq: DataFrame, depth: int = 3, n_blocks: int = 8, n: int | N
     for i, (df, _, first) in enumerate(level):
         own = df.withColumns({"part": F.lit(i).cast("bigint"), "first": F.lit(first).cast("bigint")})
         out = own if out is None else out.unionByName(own)
-    placed = out.repartitionById(1 << depth, F.col("part").cast("int"))
+    placed = place(out, 1 << depth)
     return SortedFrame(_local(placed, "resort", F.col("first")).drop("first"), n, 1 << depth, "exact")

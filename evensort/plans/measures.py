@@ -107,8 +107,9 @@ def stage_times(seq: DataFrame, n_blocks: int = 8, n_parts: int = 8) -> dict[str
     _, sort_s = timed(lambda: blocks.sort_blocks(blocked))
     cuts, select_s = timed(lambda: pivots.exact(blocked, n_parts))
     routed, route_s = timed(lambda: partition.route_by_exact_cuts(blocked, cuts))
-    order = Window.partitionBy("part").orderBy("key", "pos")
-    _, merge_s = timed(lambda: routed.repartitionById(n_parts, F.col("part").cast("int")).withColumn("at", F.row_number().over(order)))
+    order = Window.partitionBy("__id").orderBy("key", "pos")
+    placed = routed.withColumn("__id", F.col("part").cast("int")).repartitionById(n_parts, F.col("__id"))
+    _, merge_s = timed(lambda: placed.withColumn("at", F.row_number().over(order)))
     return {"block_sort": sort_s, "select": select_s, "route": route_s, "merge": merge_s}
 
 

@@ -168,6 +168,25 @@ def test_one_full_shuffle_and_no_single_partition(spark):
     assert cost.choose(own, 8)[0] in ("regular", "exact") and cost.choose(own, 8, ranks=False)[0] == "native"
 
 
+def test_dividing_a_key_adds_no_shuffle_of_rows(spark):
+    own = frame(spark, [i % 3 for i in range(400)])
+    plan = cost.executed(sorter.parallel_sort(own, "exact", 4, 8, n=400).df.select("pos", "rnk")).lower()
+    assert plan.count("shufflepartitionidpassthrough") == 1
+    assert "exchange hashpartitioning" not in plan and "join" not in plan
+
+
+@pytest.mark.parametrize("leaf,pieces", [(1, 2), (3, 4), (20_000, 1024)])
+def test_places_of_the_last_copies(spark, leaf, pieces):
+    rng = random.Random(8)
+    for keys in ([rng.randrange(3) for _ in range(200)], [None, 1] * 40, [5] * 64, list(range(30)), [rng.choice("ab\u00e9") for _ in range(90)]):
+        own = blocks.assign_blocks(frame(spark, keys, "string" if "a" in keys else "bigint"), 5)
+        cuts = pivots.exact(own, 7)
+        got = partition.last_places(own, cuts, leaf, pieces)
+        for c, place in zip(cuts, got):
+            at = [i for i, k in enumerate(keys) if k == c.key]
+            assert place == (partition.EVERYWHERE if c.take == len(at) else at[c.take - 1])
+
+
 # ---- kernels ----
 
 
