@@ -1,9 +1,10 @@
 """Toxicity by nearest labelled examples: exact TF-IDF cosine over a block-max inverted index.
 
 Terms are words and word beginnings (3 to 6 characters, which catch inflected forms),
-chosen on labelled rows by a two-proportion test.  Examples are stored as posting lists in
+chosen on labelled rows by a two-proportion test; every term that passes is kept.  Examples are stored as posting lists in
 blocks; each term keeps its largest weight in each block, so a query's dot product with a
-block's maxima bounds every example in it.  Blocks are scored best first; those whose bound
+block's maxima bounds every example in it.  Frequent terms are scored for many queries at
+once and make the bounds tighter; blocks whose bound
 is under the k-th best score are skipped, which leaves the k nearest exact.
 
 The neighbours vote, weighted by similarity and by how many labelled rows each example
@@ -37,11 +38,17 @@ from .words import words
 
 FOLDS = 5
 PER_CLASS = 4000
-TERMS = 256
 NEIGHBOURS = 15
 BLOCK = 64
+#: Most cells of the dense rows of frequent terms, those in over one of ``SPARSE`` examples.
+DENSE = 6_000_000
+SPARSE = 80
+#: Queries that share one product with the dense rows.
+TOGETHER = 64
 PREFIXES = (3, 4, 5, 6)
 LEAST_ROWS = 3
+#: Chi-square of one degree at p = 0.001: terms over it are kept.
+LEAST_Z = 10.83
 #: Words whose terms are remembered by a task.
 MEMO = 200_000
 
@@ -89,8 +96,8 @@ class Vectors:
         return counts
 
 
-def choose_terms(sample: DataFrame, limit: int = TERMS) -> list[str]:
-    """Terms whose share of rows differs most between the classes of (text, label) rows."""
+def choose_terms(sample: DataFrame) -> list[str]:
+    """All terms whose share of rows differs between the classes of (text, label) rows, most different first."""
     schema = StructType([StructField("term", StringType()), StructField("pos", LongType()), StructField("neg", LongType())])
 
     def count(batches):
@@ -120,29 +127,55 @@ def choose_terms(sample: DataFrame, limit: int = TERMS) -> list[str]:
     p, q = F.col("pos") / n_pos, F.col("neg") / n_neg
     m = (F.col("pos") + F.col("neg")) / (n_pos + n_neg)
     z = (p - q) * (p - q) / (m * (1 - m) * (1 / n_pos + 1 / n_neg) + 1e-12)
-    best = sums.where(f"pos + neg >= {LEAST_ROWS}").select("term", z.alias("z")).where("z > 10.83")
-    return [r.term for r in best.orderBy(F.desc("z"), "term").limit(limit).collect()]
+    best = sums.where(f"pos + neg >= {LEAST_ROWS}").select("term", z.alias("z")).where(f"z > {LEAST_Z}")
+    return [r.term for r in best.orderBy(F.desc("z"), "term").collect()]
 
 
 class Index:
-    """Block-max inverted index of unit vectors; exact k nearest by cosine."""
+    """Block-max inverted index of unit vectors; exact k nearest by cosine.
+
+    Posting lists of frequent terms are rows of a dense matrix (at most ``DENSE`` cells), so
+    that many queries share one product; those of other terms are lists.  A block's bound
+    is its best dense score plus the query's product with its maxima of the other terms."""
 
     def __init__(self, vectors: list[dict[int, int]], n_terms: int, block: int = BLOCK):
-        self.n, self.block = len(vectors), block
+        self.n, self.n_terms, self.block = len(vectors), n_terms, block
         df = np.zeros(n_terms)
         for v in vectors:
             df[list(v)] += 1
         self.idf = np.log((1 + self.n) / (1 + df)) + 1
-        blocks = (self.n + block - 1) // block
-        self.most = np.zeros((n_terms, max(1, blocks)))
-        posts: list[list[tuple[int, float]]] = [[] for _ in range(n_terms)]
-        for i, v in enumerate(vectors):
-            terms, weights = self.weigh(v)
-            for t, w in zip(terms.tolist(), weights.tolist()):
-                posts[t].append((i, w))
-                self.most[t, i // block] = max(self.most[t, i // block], w)
-        self.ids = [np.array([i for i, _ in p], np.int64) for p in posts]
-        self.weights = [np.array([w for _, w in p]) for p in posts]
+        weighed = [self.weigh(v) for v in vectors]
+        self.ends = np.cumsum([0, *(len(t) for t, _ in weighed)])
+        self.terms = np.concatenate([np.zeros(0, np.int32), *(t.astype(np.int32) for t, _ in weighed)])
+        self.weights = np.concatenate([np.zeros(0), *(w for _, w in weighed)])
+        self._lay()
+
+    def _lay(self):
+        """The posting lists, from the vectors."""
+        df = np.bincount(self.terms, minlength=self.n_terms)
+        frequent = np.argsort(-df, kind="stable")[: DENSE // max(1, self.n)]
+        frequent = frequent[df[frequent] * SPARSE > self.n]
+        self.row = np.full(self.n_terms, -1)
+        self.row[frequent] = np.arange(len(frequent))
+        self.dense = np.zeros((len(frequent), self.n))
+        examples = np.repeat(np.arange(self.n), np.diff(self.ends))
+        rows = self.row[self.terms]
+        self.dense[rows[rows >= 0], examples[rows >= 0]] = self.weights[rows >= 0]
+        rare = np.flatnonzero(rows < 0)
+        rare = rare[np.argsort(self.terms[rare], kind="stable")]
+        cuts = np.searchsorted(self.terms[rare], np.arange(1, self.n_terms))
+        self.ids = np.split(examples[rare], cuts)
+        self.posted = np.split(self.weights[rare], cuts)
+        self.starts = np.arange(0, self.n, self.block)
+        self.most = np.zeros((self.n_terms, len(self.starts)))
+        np.maximum.at(self.most, (self.terms[rare], examples[rare] // self.block), self.weights[rare])
+
+    def __getstate__(self):
+        return {k: getattr(self, k) for k in ("n", "n_terms", "block", "idf", "ends", "terms", "weights")}
+
+    def __setstate__(self, state):
+        self.__dict__.update(state)
+        self._lay()
 
     def weigh(self, counts: dict[int, int]) -> tuple[np.ndarray, np.ndarray]:
         terms = np.array(sorted(counts), np.int64)
@@ -153,39 +186,48 @@ class Index:
 
     def nearest(self, counts: dict[int, int], k: int, without: int = -1) -> tuple[np.ndarray, np.ndarray]:
         """(examples, similarities) of the k nearest with any similarity, best first."""
-        terms, q = self.weigh(counts)
+        return self.nearest_of([counts], k, [without])[0]
+
+    def nearest_of(self, many: list[dict[int, int]], k: int, without: list[int] | None = None) -> list[tuple[np.ndarray, np.ndarray]]:
+        """``nearest`` of each, without the example of the same place in ``without``."""
+        found = []
+        for at in range(0, len(many), TOGETHER):
+            weighed = [self.weigh(c) for c in many[at : at + TOGETHER]]
+            queries = np.zeros((len(weighed), len(self.dense)))
+            for query, (terms, q) in zip(queries, weighed):
+                rows = self.row[terms]
+                query[rows[rows >= 0]] = q[rows >= 0]
+            scores = queries @ self.dense
+            for i, (terms, q) in enumerate(weighed):
+                found.append(self._best(scores[i], terms, q, k, without[at + i] if without else -1))
+        return found
+
+    def _best(self, scores, terms, q, k, without):
         if not len(terms) or not self.n:
             return np.zeros(0, np.int64), np.zeros(0)
-        bound = q @ self.most[terms] + 1e-9
-        room = (k + 1 + self.block - 1) // self.block + 2
-        first = np.argpartition(-bound, room)[:room] if room < len(bound) else np.arange(len(bound))
-        scores = np.zeros(self.n)
-        alive = np.zeros(len(bound), bool)
-        alive[first] = True
-        self._add(scores, alive, terms, q)
         if without >= 0:
-            scores[without] = 0
+            scores[without] = -np.inf
+        # other terms only add: the k-th best so far is a lower bound; 1e-9 is room for rounding
         least = np.partition(scores, -k)[-k] if k < self.n else 0.0
-        rest = (bound >= least) & ~alive & (bound > 1e-9)
-        if rest.any():
-            self._add(scores, rest, terms, q)
-            if without >= 0:
-                scores[without] = 0
-        near = np.flatnonzero(scores > 0)
-        if len(near) > k:
-            least = np.partition(scores[near], -k)[-k]
-            near = near[scores[near] >= least]
-        near = near[np.argsort(-scores[near], kind="stable")][:k]
-        return near, scores[near]
-
-    def _add(self, scores, blocks, terms, q):
-        every = bool(blocks.all())
-        for t, w in zip(terms.tolist(), q.tolist()):
-            ids, weights = self.ids[t], self.weights[t]
-            if not every:
-                kept = blocks[ids // self.block]
-                ids, weights = ids[kept], weights[kept]
-            scores[ids] += w * weights
+        rare = self.row[terms] < 0
+        if rare.any():
+            others, p = terms[rare].tolist(), q[rare]
+            alive = np.maximum.reduceat(scores, self.starts) + p @ self.most[others] >= least - 1e-9
+            ids = np.concatenate([self.ids[t] for t in others])
+            products = np.concatenate([w * self.posted[t] for t, w in zip(others, p.tolist())])
+            if not alive.all():
+                kept = alive[ids // self.block]
+                ids, products = ids[kept], products[kept]
+            scores += np.bincount(ids, products, minlength=self.n)
+            least = np.partition(scores, -k)[-k] if k < self.n else 0.0
+        near = np.flatnonzero(scores >= max(least - 1e-9, 1e-12))
+        # summed again in one order, so that equal texts and ties don't hang on the product's shape
+        query = np.zeros(self.n_terms)
+        query[terms] = q
+        cut = [slice(self.ends[i], self.ends[i + 1]) for i in near.tolist()]
+        similarity = np.array([(query[self.terms[c]] * self.weights[c]).sum() for c in cut])
+        order = np.argsort(-similarity, kind="stable")[:k]
+        return near[order], similarity[order]
 
 
 def isotonic(x: np.ndarray, y: np.ndarray, w: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
@@ -219,7 +261,7 @@ class Model:
         none = self.stands[bare]
         self.bare = float((none * self.labels[bare]).sum() / none.sum()) if len(none) else self.prior
         self.curve = (np.array([0.0, 1.0]), np.array([0.0, 1.0]))
-        raw = [self.vote(*self.index.nearest(e[2], k, i)) for i, e in enumerate(examples)]
+        raw = [self.vote(*found) for found in self.index.nearest_of([e[2] for e in examples], k, list(range(len(examples))))]
         known = np.array([r is not None for r in raw], bool)
         if known.any() and 0 < self.prior < 1:
             self.curve = isotonic(np.array([r for r in raw if r is not None]), self.labels[known], self.stands[known])
@@ -233,16 +275,18 @@ class Model:
         return float(((w * self.labels[near]).sum() + pull * self.prior) / (w.sum() + pull))
 
     def score(self, counts: dict[int, int]) -> tuple[float, np.ndarray, np.ndarray]:
-        near, similarity = self.index.nearest(counts, self.k)
-        raw = self.vote(near, similarity)
-        if raw is None:
-            return self.bare, near, similarity
-        return min(1.0, max(0.0, float(np.interp(raw, *self.curve)))), near, similarity
+        return self.score_of([counts])[0]
+
+    def score_of(self, many: list[dict[int, int]]) -> list[tuple[float, np.ndarray, np.ndarray]]:
+        return [(self._probability(self.vote(*found)), *found) for found in self.index.nearest_of(many, self.k)]
+
+    def _probability(self, raw: float | None) -> float:
+        return self.bare if raw is None else min(1.0, max(0.0, float(np.interp(raw, *self.curve))))
 
 
 def fit(
     docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", label_col: str = "toxic",
-    train: Column | None = None, per_class: int = PER_CLASS, terms: int = TERMS, k: int = NEIGHBOURS,
+    train: Column | None = None, per_class: int = PER_CLASS, k: int = NEIGHBOURS,
 ) -> Model:
     """Fit on a sample of at most 2 * ``per_class`` rows a class where ``train`` (on ``id``) holds."""
     known = labels.select(column(id_col).alias("id"), column(label_col).cast("int").alias("label")).dropna()
@@ -258,7 +302,7 @@ def fit(
     rows = docs.select(column(id_col).alias("id"), F.coalesce(column(text_col), F.lit("")).alias("text"))
     # at most 2 * per_class rows of 12 bytes a class
     sample = checkpoint(rows.join(F.broadcast(chosen.limit(4 * per_class)), "id").select("id", "text", "label"))
-    vocabulary = choose_terms(sample, terms)
+    vocabulary = choose_terms(sample)
     marked = append_columns(sample, ["text"], lambda: _counts(vocabulary), StructType([StructField("t", ArrayType(LongType())), StructField("c", ArrayType(LongType()))]), keep=["id", "label"])
     examples = [(str(r.id), r.label, dict(zip(r.t, r.c))) for r in marked.collect()]
     have = Counter(e[1] for e in examples)
@@ -279,19 +323,17 @@ def score(docs: DataFrame, model: Model, text_col: str = "text", keep=None, evid
         vectors = Vectors(own.terms)
         seen: dict[tuple, tuple] = {}
 
-        def one(text):
-            counts = vectors(text)
-            key = tuple(sorted(counts.items()))
-            row = seen.get(key)
-            if row is None:
-                if len(seen) > 20_000:
-                    seen.clear()
-                s, near, similarity = own.score(counts)
-                row = (s, int(s >= 0.5), [own.ids[i] for i in near[:evidence].tolist()], similarity[:evidence].tolist())
-                seen[key] = row
-            return row
-
-        return lambda texts: [one(t) for t in texts]
+        def kernel(texts):
+            many = [vectors(t) for t in texts]
+            keys = [tuple(sorted(c.items())) for c in many]
+            if len(seen) > 20_000:
+                seen.clear()
+            new = {key: c for key, c in zip(keys, many) if key not in seen}
+            for key, (s, near, similarity) in zip(new, own.score_of(list(new.values()))):
+                seen[key] = (s, int(s >= 0.5), [own.ids[i] for i in near[:evidence].tolist()], similarity[:evidence].tolist())
+            return [seen[key] for key in keys]
+
+        return kernel
 
     return append_columns(docs, [text_col], make, FIELDS, keep)
 

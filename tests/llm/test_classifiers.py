@@ -4,6 +4,7 @@ import zlib
 
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 from evensort.llm import langid, toxicity
 
@@ -56,6 +57,32 @@ def test_toxicity_cases(spark):
     assert toxicity.classify(docs.limit(0), labels).count() == 0
 
 
+def test_nearest_with_few_dense_rows_equals_all_dense(monkeypatch):
+    rng = random.Random(5)
+    vectors = [{min(rng.randrange(60), rng.randrange(60)): rng.randint(1, 4) for _ in range(rng.randint(0, 9))} for _ in range(500)]
+    whole = toxicity.Index(vectors, 60, block=16)
+    monkeypatch.setattr(toxicity, "DENSE", 500 * 4)
+    mixed = toxicity.Index(vectors, 60, block=16)
+    assert len(mixed.dense) == 4 < len(whole.dense)
+    for i, ((a, s), (b, t)) in enumerate(zip(whole.nearest_of(vectors, 7, list(range(500))), mixed.nearest_of(vectors, 7, list(range(500))))):
+        assert a.tolist() == b.tolist() and s.tolist() == t.tolist() and i not in a
+
+
+def test_every_telling_term_is_kept_and_held_out_toxic_texts_are_found(spark):
+    rng = random.Random(4)
+    plain = lambda: " ".join(rng.choice(["one", "two", "three", "four", "five"]) for _ in range(12))
+    bad = [f"{a}{b}zqx{a}{b}" for a in "bcdfghjk" for b in "lmnprstvwz"]
+    rows = [(i, f"{plain()} {bad[i // 2 % 80]}" if i % 2 else plain(), i % 2) for i in range(3200)]
+    docs = spark.createDataFrame([r[:2] for r in rows], "doc_id int, text string")
+    labels = spark.createDataFrame([(r[0], r[2]) for r in rows], "doc_id int, toxic int")
+    model = toxicity.fit(docs, labels, train=~toxicity.held_out(F.col("id")))
+    assert set(bad) <= set(model.terms) and len(model.terms) > 256
+    fold = toxicity.score(docs.where(toxicity.held_out(F.col("doc_id"))), model).collect()
+    toxic = [r.predicted for r in fold if r.doc_id % 2]
+    assert len(toxic) > 200 and np.mean(toxic) > 0.98
+    assert np.mean([r.predicted for r in fold if not r.doc_id % 2]) < 0.02
+
+
 def test_language_cases(spark):
     words = {"en": "the house with this that", "de": "das haus mit nicht und", "fr": "les maisons avec être une", "xx": "qqq zzz xxx"}
     rng = random.Random(4)
