@@ -5,9 +5,11 @@ into windows of consecutive words, and put into one word automaton; every docume
 scanned once.  Hits are word positions; :func:`hit_spans` maps them to byte offsets of the
 original text.
 
-The automaton is broadcast, so its size is checked (``max_automaton_words``).  A larger
-benchmark takes the other way, :func:`find_by_join`, an equi-join on window hashes with
-windows verified by their text; both give the same rows.
+An automaton is broadcast, so its size is bounded (``max_automaton_words``).  A larger
+benchmark is cut into groups of items within the bound, the documents are scanned once a
+group, and hit runs and item ids of a row are merged, so every benchmark gives the same
+rows as one automaton would.  An item over the bound on its own is cut where its windows
+allow.  :func:`find_by_join` gives only the distinct (id, item_id) pairs, by an equi-join.
 
 Defined cases: null or wordless text has no words and no hits; wordless items never occur;
 items of fewer words than a window are one window; repeated items count by their own ids,
@@ -19,12 +21,13 @@ from __future__ import annotations
 
 import hashlib
 import uuid
+from collections.abc import Iterable, Iterator
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.types import ArrayType, BooleanType, LongType, StringType, StructField, StructType
 
-from ._arrow import append_columns, column
+from ._arrow import append_columns, checkpoint, column, without
 from .words import WordAutomaton, word_offsets, words
 
 WINDOW = 10
@@ -42,6 +45,8 @@ FIELDS = StructType(
         StructField("hits", ArrayType(ArrayType(LongType()))),
     ]
 )
+#: The column added to rows numbered for a scan in groups.
+FIELDS_WORDS = StructType([StructField("words", LongType())])
 
 
 def windows(item_words: list[bytes], size: int) -> list[tuple[bytes, ...]]:
@@ -96,16 +101,80 @@ def scan(
     sizes = [F.coalesce(F.octet_length(column(c)), F.lit(0)) for c in item_text_cols]
     total = benchmark.agg(F.sum(sum(sizes, F.lit(0)))).first()[0] or 0
     # a word and its separator take two bytes at least, and each starts one window
-    if total / 2 * window > max_automaton_words:
-        raise ValueError(f"benchmark of {total} bytes exceeds the automaton's bound; use find_by_join")
-    rows = benchmark.select(column(item_id_col).cast("string"), *[column(c) for c in item_text_cols]).collect()
-    items = [(r[0], t.encode()) for r in rows for t in r[1:] if t]
-    shared = docs.sparkSession.sparkContext.broadcast((uuid.uuid4().hex, items, window))
-
-    def make():
-        return _kernel(shared)
-
-    return append_columns(docs, [text_col], make, FIELDS, keep)
+    bound = int(max_automaton_words * 2 / window)
+    rows = benchmark.select(column(item_id_col).cast("string"), *[column(c) for c in item_text_cols])
+    texts = ((r[0], t.encode()) for r in (rows.collect() if total <= bound else rows.toLocalIterator()) for t in r[1:] if t)
+    if total <= bound:
+        shared = docs.sparkSession.sparkContext.broadcast((uuid.uuid4().hex, list(texts), window))
+        return append_columns(docs, [text_col], lambda: _kernel(shared), FIELDS, keep)
+    if bound < 2 * window:
+        raise ValueError(f"an automaton of {max_automaton_words} words has no room for a window")
+    return _scan_in_groups(docs, groups(texts, bound, window), text_col, window, keep)
+
+
+def _scan_in_groups(docs, grouped, text_col, window, keep):
+    """One job a group over rows numbered once; then the rows with hits are merged by number."""
+    keep = without(docs.columns if keep is None else keep, FIELDS.names)
+    row = F.struct(*[column(c) for c in keep]) if keep else F.struct(F.lit(0).alias("none"))
+    whole = docs.select(F.monotonically_increasing_id().alias("n"), row.alias("kept"), column(text_col).alias("t"))
+    whole = checkpoint(append_columns(whole, ["t"], lambda: lambda texts: [(len(words(t)),) for t in texts], FIELDS_WORDS))
+    found = None
+    for items in grouped:
+        shared = docs.sparkSession.sparkContext.broadcast((uuid.uuid4().hex, items, window))
+        hit = append_columns(whole.select("n", "t"), ["t"], lambda shared=shared: _kernel(shared), FIELDS, ["n"])
+        hit = checkpoint(hit.where("contaminated").select("n", F.struct("items", "hits").alias("x")))
+        shared.unpersist()
+        found = hit if found is None else found.union(hit)
+    found = found.groupBy("n").agg(F.collect_list("x").alias("found"))
+    joined = whole.select("n", "kept", "words").join(found, "n", "left")
+    out = append_columns(joined, ["words", "found"], lambda: lambda n, found: [_merged(*x) for x in zip(n, found)], FIELDS, ["kept"])
+    return out.select(*[F.col("kept")[c].alias(c) for c in keep], *FIELDS.names)
+
+
+def _merged(n_words: int, found: list[dict] | None) -> tuple:
+    """The row of :class:`Scanner` from the items and hits of several."""
+    named = sorted({i for x in found or () for i in x["items"]})
+    runs: list[list[int]] = []
+    for s, e in sorted(r for x in found or () for r in x["hits"]):
+        if runs and s <= runs[-1][1]:
+            runs[-1][1] = max(runs[-1][1], e)
+        else:
+            runs.append([s, e])
+    hit = sum(e - s for s, e in runs)
+    return n_words, hit, len(named), digest(named), hit > 0, named, runs
+
+
+def groups(items: Iterable[tuple[str, bytes]], bound: int, window: int) -> Iterator[list[tuple[str, bytes]]]:
+    """Lists of items of at most ``bound`` bytes each (one piece at least); one empty list for none.
+
+    An item over the bound is cut into runs of words that overlap by ``window - 1``, so no window is lost."""
+    held: list[tuple[str, bytes]] = []
+    size, made = 0, False
+    for item_id, text in items:
+        for piece in _pieces(text, bound, window):
+            if held and size + len(piece) > bound:
+                yield held
+                held, size, made = [], 0, True
+            held.append((item_id, piece))
+            size += len(piece)
+    if held or not made:
+        yield held
+
+
+def _pieces(text: bytes, bound: int, window: int) -> Iterator[bytes]:
+    if len(text) <= bound:
+        yield text
+        return
+    own, at = words(text), 0
+    while own:
+        end, size = at, 0
+        while end < len(own) and (end < at + window or size + len(own[end]) < bound):
+            size += len(own[end]) + 1
+            end += 1
+        yield b" ".join(own[at:end])
+        if end == len(own):
+            return
+        at = end - window + 1
 
 
 _BUILT: dict[str, Scanner] = {}

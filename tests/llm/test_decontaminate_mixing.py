@@ -58,6 +58,19 @@ def test_join_way_gives_the_same_pairs(spark):
         pass
 
 
+def test_benchmark_over_the_bound_gives_the_same_rows(spark):
+    items, docs = cases()
+    items += [(9, " ".join(f"k{i}" for i in range(90))), (10, items[4][1])]
+    docs += ["k70 k71 " + " ".join(f"k{i}" for i in range(5, 60)), " ".join(f"k{i}" for i in range(90))]
+    bench = spark.createDataFrame(items, "item_id int, text string")
+    df = spark.createDataFrame([(i % 50, t, "z") for i, t in enumerate(docs)], "doc_id int, text string, N_hit string")
+    rows = lambda d: sorted(map(str, d.collect()))
+    want = rows(decontaminate.scan(df, bench))
+    for most in (100, 400, 900):
+        assert rows(decontaminate.scan(df, bench, max_automaton_words=most)) == want
+    assert rows(decontaminate.scan(df, bench, keep=["doc_id"], max_automaton_words=400)) == rows(decontaminate.scan(df, bench, keep=["doc_id"]))
+
+
 def test_targets_fill_by_weight_under_caps(spark):
     sizes = {"a": 10, "b": 500, "c": 40, "d": 1000, None: 5, "e": 0}
     df = spark.createDataFrame(list(sizes.items()), "source string, size bigint")
