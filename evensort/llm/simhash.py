@@ -6,8 +6,8 @@ in more than half the hashes.
 Links (at most ``threshold`` differing bits) are found exactly.  Distinct fingerprints are
 cut into ``blocks`` bit blocks; two within the threshold agree on at least
 ``blocks - threshold`` of them, so each fingerprint goes to one bucket for every choice of
-so many blocks.  Within a bucket fingerprints are sorted by Gray rank and grouped into
-nodes; a node keeps the bits its members share.  A node's differing shared bits bound the
+so many blocks.  Buckets up to ``LEAF`` codes, nearly all on usual tables, are compared
+pair by pair.  Within larger ones fingerprints are sorted by Gray rank and grouped into nodes; a node keeps the bits its members share.  A node's differing shared bits bound the
 distance of all its members from below, and go down the tree as an accumulated sum, so
 whole groups are pruned.  Buckets give spanning links (a tree of each bucket's
 components), never all pairs: no link between different texts is lost to the components.
