@@ -32,6 +32,7 @@ class Stats:
 def _insertion(keys: np.ndarray, at: np.ndarray, s: Stats) -> np.ndarray:
     order = np.argsort(keys[at], kind="stable")
     n = len(at)
+    # the worst case, a bound and not a count
     s.comparisons += n * (n - 1) // 2
     s.branches += n * (n - 1) // 2
     s.moves += n
@@ -39,7 +40,7 @@ def _insertion(keys: np.ndarray, at: np.ndarray, s: Stats) -> np.ndarray:
 
 
 def _heap(keys: np.ndarray, at: np.ndarray, s: Stats) -> np.ndarray:
-    """Heapsort of (key, place) pairs, which makes it stable."""
+    """Heapsort of (key, place) pairs, which makes it stable.  Its work is charged by formula, not counted."""
     s.fallbacks += 1
     n = len(at)
     work = [(k, i) for k, i in zip(keys[at].tolist(), at.tolist())]
