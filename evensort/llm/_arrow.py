@@ -6,7 +6,7 @@ import tempfile
 from collections.abc import Callable, Iterator, Sequence
 
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.types import StringType, StructField, StructType
 
@@ -32,6 +32,17 @@ def without(columns: Sequence[str], names: Sequence[str]) -> list[str]:
     return [c for c in columns if c.lower() not in taken]
 
 
+def packed(df: DataFrame, **named: Column) -> DataFrame:
+    """``df``'s columns in a struct, where they clash with nothing, beside ``named`` ones."""
+    row = F.struct(*[column(c) for c in df.columns]) if df.columns else F.struct(F.lit(0).alias("none"))
+    return df.select(row.alias(ROW), *[c.alias(n) for n, c in named.items()])
+
+
+def unpacked(df: DataFrame, columns: Sequence[str], *more: Column) -> DataFrame:
+    """The named columns of a packed frame, and ``more``."""
+    return df.select(*[F.col(ROW)[c].alias(c) for c in columns], *more)
+
+
 def _as_list(array: pa.Array, as_bytes: bool) -> list:
     if as_bytes and pa.types.is_string(array.type):
         array = array.cast(pa.binary())
@@ -112,5 +123,12 @@ def shared_folder(spark: SparkSession) -> str:
     return _LOCAL[0]
 
 
+def remove_folder(spark: SparkSession, path: str) -> None:
+    """Delete a folder of the shared file system, if it is there."""
+    jvm = spark.sparkContext._jvm
+    at = jvm.org.apache.hadoop.fs.Path(path)
+    at.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(at, True)
+
+
 def strings(*names: str) -> StructType:
     return StructType([StructField(n, StringType()) for n in names])

@@ -7,8 +7,8 @@ own step crosses.  Size order makes the sample follow the size distribution, so
 taken stay within about one document's size of the target.
 
 Ranks are made without a window over a source: rows are range-partitioned by (source, size,
-id), counted for each (partition, source), and local positions are shifted by the counts of
-the partitions before.  So a source with a third of all rows spreads over many tasks.
+id), counted for each (partition, source), and places inside a partition are shifted by the
+counts of the partitions before.  So a source with a third of all rows spreads over many tasks.
 
 Defined cases: a null text has size 0; a null source is a source of its own, last in order;
 a null id sorts first; rows equal in all three columns are interchangeable; sources of size
@@ -17,11 +17,10 @@ a null id sorts first; rows equal in all three columns are interchangeable; sour
 
 from __future__ import annotations
 
-import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from ._arrow import checkpoint, column
+from ._arrow import checkpoint, column, packed, unpacked
 
 WEIGHTS = (3, 1, 2)
 BUDGET = 1.5
@@ -70,28 +69,17 @@ def plan(
     rows = checkpoint(docs.select(*own, *[e.alias(n) for n, e in carry.items()]))
     targets = checkpoint(source_targets(rows, **how))
     order = ["source", "size", "id"]
-    laid = checkpoint(rows.repartitionByRange(*order).sortWithinPartitions(*order))
-    laid = laid.withColumn("part", F.spark_partition_id())
+    # a row's partition and its place there are written with it
+    laid = rows.repartitionByRange(*order).sortWithinPartitions(*order)
+    laid = checkpoint(laid.withColumns({"part": F.spark_partition_id(), "place": F.monotonically_increasing_id()}))
     before = Window.partitionBy("source").orderBy("part").rowsBetween(Window.unboundedPreceding, -1)
-    starts = laid.groupBy("part", "source").agg(F.count("*").alias("n"))
-    starts = starts.select("part", "source", F.coalesce(F.sum("n").over(before), F.lit(0)).alias("start"))
+    starts = laid.groupBy("part", "source").agg(F.count("*").alias("n"), F.min("place").alias("first"))
+    starts = starts.select("part", "source", "first", F.coalesce(F.sum("n").over(before), F.lit(0)).alias("start"))
     starts = starts.join(targets.withColumnRenamed("source", "s"), F.col("source").eqNullSafe(F.col("s"))).drop("s")
 
-    def number(batches):
-        last, at = (), 0
-        for b in batches:
-            sources = b.column(b.schema.get_field_index("source")).to_pylist()
-            index = []
-            for s in sources:
-                at = at + 1 if (s,) == last else 1
-                last = (s,)
-                index.append(at)
-            yield pa.RecordBatch.from_arrays([*b.columns, pa.array(index, pa.int64())], names=[*b.schema.names, "at"])
-
-    numbered = laid.mapInArrow(number, laid.withColumn("at", F.lit(0).cast("bigint")).schema)
     s = starts.withColumnsRenamed({"part": "p", "source": "s"})
-    out = numbered.join(s, (F.col("part") == F.col("p")) & F.col("source").eqNullSafe(F.col("s")))
-    rank = F.col("start") + F.col("at")
+    out = laid.join(s, (F.col("part") == F.col("p")) & F.col("source").eqNullSafe(F.col("s")))
+    rank = F.col("start") + F.col("place") - F.col("first") + 1
     rate = F.when(F.col("source_size") > 0, F.col("target") / F.col("source_size")).otherwise(F.lit(0.0))
     copies = F.floor(rank * rate + F.col("u")) - F.floor((rank - 1) * rate + F.col("u"))
     return out.select(
@@ -105,19 +93,18 @@ def mix(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_
     Copies are decided on narrow rows keyed by id, source, size and a hash of the text.
     Rows equal in that key are one group whose copies are handed to its first row.
     """
-    keys = {"k_text": F.xxhash64(column(text_col))}
-    chosen = plan(docs, id_col, text_col, source_col, keys, **how)
-    name = ["id", "source", "size", "k_text"]
-    chosen = checkpoint(chosen.groupBy(*name).agg(F.sum("copies").alias("copies"), F.count("*").alias("rows")))
     size = F.coalesce(F.regexp_count(column(text_col), F.lit(WORD)), F.lit(0)).cast("bigint")
-    own = docs.withColumns({"__id": column(id_col), "__source": column(source_col), "__size": size, **{f"__{k}": e for k, e in keys.items()}})
+    named = {"own_id": column(id_col), "own_source": column(source_col), "own_size": size, "own_text": F.xxhash64(column(text_col))}
+    own = packed(docs, **named)
+    narrow = docs.select(column(id_col).alias("id"), column(text_col).alias("text"), column(source_col).alias("source"))
+    chosen = plan(narrow, "id", "text", "source", {"hash": F.xxhash64("text")}, **how)
+    name = ["id", "source", "size", "hash"]
+    chosen = checkpoint(chosen.groupBy(*name).agg(F.sum("copies").alias("copies"), F.count("*").alias("rows")))
     if chosen.where("rows > 1").limit(1).count():
-        own = own.dropDuplicates([f"__{n}" for n in name])
-    chosen = chosen.where("copies > 0").select(*[F.col(n).alias(f"c_{n}") for n in name], F.col("copies").alias("c_copies"))
+        own = own.dropDuplicates(list(named))
     match = F.lit(True)
-    for n in name:
-        match = match & F.col(f"__{n}").eqNullSafe(F.col(f"c_{n}"))
-    joined = own.join(chosen, match).withColumn("__copy", F.explode(F.sequence(F.lit(1), F.col("c_copies").cast("int"))))
-    kept = [c for c in docs.columns if c.lower() != "copy"]
-    return joined.select(*[column(c) for c in kept], F.col("__copy").alias("copy"))
-
+    for a, b in zip(named, name):
+        match = match & F.col(a).eqNullSafe(F.col(b))
+    joined = own.join(chosen.where("copies > 0"), match)
+    joined = joined.withColumn("number", F.explode(F.sequence(F.lit(1), F.col("copies").cast("int"))))
+    return unpacked(joined, [c for c in docs.columns if c.lower() != "copy"], F.col("number").alias("copy"))

@@ -6,11 +6,12 @@ in more than half the hashes.
 Links (at most ``threshold`` differing bits) are found exactly.  Distinct fingerprints are
 cut into ``blocks`` bit blocks; two within the threshold agree on at least
 ``blocks - threshold`` of them, so each fingerprint goes to one bucket for every choice of
-so many blocks.  Buckets up to ``LEAF`` codes, nearly all on usual tables, are compared
-pair by pair.  Within larger ones fingerprints are sorted by Gray rank and grouped into nodes; a node keeps the bits its members share.  A node's differing shared bits bound the
-distance of all its members from below, and go down the tree as an accumulated sum, so
-whole groups are pruned.  Buckets give spanning links (a tree of each bucket's
-components), never all pairs: no link between different texts is lost to the components.
+so many blocks.  In every bucket of two or more, fingerprints are sorted by Gray rank and
+grouped into the nodes of a tree; a node keeps the bits its members share.  A node's
+differing shared bits bound the distance of all its members from below, and go down the
+tree as an accumulated sum, so whole groups are pruned.  Buckets give spanning links (a
+tree of each bucket's components), never all pairs: no link between different texts is
+lost to the components.  Buckets of over ``hot`` codes are first cut by further blocks.
 
 Components come from alternating large-star and small-star steps on the spanning links,
 with a checkpoint after each round.
@@ -34,13 +35,15 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.types import LongType, StructField, StructType
 
-from ._arrow import append_columns, checkpoint, column
+from ._arrow import append_columns, checkpoint, column, packed, unpacked
 
 SHINGLE = 4
 THRESHOLD = 4
-#: Two of six blocks: 15 buckets a fingerprint, of 21 bits.  More blocks suit more rows.
-BLOCKS = 6
+#: One of five blocks: 5 buckets a fingerprint, of 12 or 13 bits.
+BLOCKS = 5
 FANOUT = 16
+#: Buckets over so many codes are cut again.
+HOT = 200_000
 #: Rows gathered before finished buckets are searched; bounds a task's memory beside its largest bucket.
 GATHER = 400_000
 
@@ -106,169 +109,242 @@ def gray_rank(codes: np.ndarray) -> np.ndarray:
     return rank
 
 
-def distance(a, b) -> np.ndarray:
-    return np.bitwise_count(a ^ b)
+class GrayForest:
+    """One Gray-order tree for every bucket of a run of buckets, all trees side by side.
+
+    ``codes`` are sorted by bucket and, in a bucket, by Gray rank.  A node covers ``fanout``
+    neighbours of the level below and keeps the bits that all of its codes share; ``added``
+    has those that its parent doesn't share yet, so that a query's differences add up on the
+    way down.  ``label`` is the component a code is known to be in, and a node's label is
+    that of all its codes, or -1: a query skips nodes of its own component."""
+
+    def __init__(self, codes: np.ndarray, sizes: np.ndarray, fanout: int):
+        self.codes, self.label = codes, np.arange(len(codes))
+        low, high, count = codes, codes, sizes.astype(np.int64)
+        #: from the leaves up: each node's first child, number of children, pattern and mask
+        self.levels: list[tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]] = []
+        self.parents: list[np.ndarray] = []
+        while True:
+            nodes = -(-count // fanout)
+            first = np.repeat(np.cumsum(count) - count, nodes) + _steps(nodes) * fanout
+            children = np.minimum(first + fanout, np.repeat(np.cumsum(count), nodes)) - first
+            low, high = np.bitwise_and.reduceat(low, first), np.bitwise_or.reduceat(high, first)
+            self.levels.append((first, children, low, ~(low ^ high)))
+            self.parents.append(np.repeat(np.arange(len(first)), children))
+            count = nodes
+            if (count <= 1).all():
+                break
+        masks = [level[3] for level in self.levels]
+        self.added = [m & ~above[p] for m, above, p in zip(masks, masks[1:], self.parents[1:])] + masks[-1:]
+        self._name_nodes()
+
+    def _name_nodes(self) -> None:
+        least = most = self.label
+        self.named = []
+        for first, *_ in self.levels:
+            least, most = np.minimum.reduceat(least, first), np.maximum.reduceat(most, first)
+            self.named.append(np.where(least == most, least, -1))
+
+    def within(self, queries: np.ndarray, trees: np.ndarray, threshold: int, labels: np.ndarray | None = None, most: int = 1 << 62):
+        """(query number, position) of the codes within ``threshold`` bits of each query in the
+        tree of the given number, without those of the query's component ``labels``.  None if
+        several queries would look at over ``most`` nodes of a level together."""
+        who, at, sums = np.arange(len(queries)), trees, np.zeros(len(queries), np.int64)
+        for (first, children, pattern, _), added, named in zip(self.levels[::-1], self.added[::-1], self.named[::-1]):
+            sums = sums + np.bitwise_count((pattern[at] ^ queries[who]) & added[at])
+            kept = sums <= threshold
+            if labels is not None:
+                kept &= named[at] != labels[who]
+            who, at, sums = who[kept], at[kept], sums[kept]
+            n = children[at]
+            if n.sum() > most and len(queries) > 1:
+                return None
+            at, who, sums = np.repeat(first[at], n) + _steps(n), np.repeat(who, n), np.repeat(sums, n)
+        # what the leaf's codes don't share is left to compare
+        shared = self.levels[0][3][self.parents[0][at]]
+        kept = sums + np.bitwise_count((self.codes[at] ^ queries[who]) & ~shared) <= threshold
+        if labels is not None:
+            kept &= self.label[at] != labels[who]
+        return who[kept], at[kept]
+
+    def join(self, a: np.ndarray, b: np.ndarray) -> np.ndarray:
+        """Put the codes of each pair into one component; the numbers of the pairs that did."""
+        pairs, first = np.unique(np.stack([self.label[a], self.label[b]], 1), axis=0, return_index=True)
+        root: dict[int, int] = {}
+        used = []
+        for (x, y), i in zip(pairs.tolist(), first.tolist()):
+            while (up := root.setdefault(x, x)) != x:
+                root[x] = x = root[up]
+            while (up := root.setdefault(y, y)) != y:
+                root[y] = y = root[up]
+            if x != y:
+                root[max(x, y)] = min(x, y)
+                used.append(i)
+        if used:
+            to = np.arange(len(self.label))
+            for x in sorted(root):
+                to[x] = to[root[x]]
+            self.label = to[self.label]
+            self._name_nodes()
+        return np.array(used, np.int64)
+
+
+def _steps(counts: np.ndarray) -> np.ndarray:
+    """0, 1, ... for each count, one after the other."""
+    return np.arange(int(counts.sum())) - np.repeat(np.cumsum(counts) - counts, counts)
 
 
 class GrayTree:
-    """Levels over codes in Gray order: each node has the bits all its members share and the
-    bits it adds to its parent's, so that distances accumulate on the way down."""
+    """A forest of one tree, over codes in any order; positions are those in Gray order."""
 
     def __init__(self, codes: np.ndarray, fanout: int = FANOUT):
         self.order = np.argsort(gray_rank(codes), kind="stable")
-        self.codes, self.fanout = codes[self.order], fanout
-        low, high = self.codes, self.codes
-        self.levels: list[tuple[np.ndarray, np.ndarray]] = []
-        while len(low) > fanout:
-            starts = np.arange(0, len(low), fanout)
-            low, high = np.bitwise_and.reduceat(low, starts), np.bitwise_or.reduceat(high, starts)
-            self.levels.append((low, ~(low ^ high)))
-        self.levels.reverse()
-        added, above = [], None
-        for pattern, mask in self.levels:
-            own = mask if above is None else mask & ~np.repeat(above, fanout)[: len(mask)]
-            added.append((pattern, own))
-            above = mask
-        self.added, self.above = added, above
+        self.codes = codes[self.order]
+        self.forest = GrayForest(self.codes, np.array([len(codes)]), fanout)
 
     def within(self, code: np.uint64, threshold: int, alive: np.ndarray) -> np.ndarray:
-        """Positions (in Gray order) of alive codes at most ``threshold`` bits from ``code``."""
-        at, sums = None, None
-        for pattern, mask in self.added:
-            if at is None:
-                at, sums = np.arange(len(pattern)), np.zeros(len(pattern), np.int64)
-            else:
-                at, sums = self._children(at, sums, len(pattern))
-            sums = sums + np.bitwise_count((pattern[at] ^ code) & mask[at])
-            open_ = sums <= threshold
-            at, sums = at[open_], sums[open_]
-        if at is None:
-            at, rest = np.arange(len(self.codes)), None
-        else:
-            node_mask = self.above
-            at, sums = self._children(at, sums, len(self.codes))
-            rest = ~node_mask[at // self.fanout]
-        at_alive = alive[at]
-        if rest is None:
-            d = distance(self.codes[at], code)
-        else:
-            d = sums + np.bitwise_count((self.codes[at] ^ code) & rest)
-        return at[at_alive & (d <= threshold)]
-
-    def _children(self, at, sums, n):
-        down = (at[:, None] * self.fanout + np.arange(self.fanout)).ravel()
-        kept = down < n
-        return down[kept], np.repeat(sums, self.fanout)[kept]
-
-
-def spanning_links(codes: np.ndarray, threshold: int) -> list[tuple[int, int]]:
-    """Pairs (child, parent) of positions: a spanning tree of each component.
-
-    A found code leaves the search.  When half of a tree's codes have left, the rest get a
-    tree of their own, so that a dense group does not go on to be searched in vain."""
-    tree = GrayTree(codes)
-    own, alive, left = tree.order, np.ones(len(codes), bool), len(codes)
-    links: list[tuple[int, int]] = []
-    stack: list[int] = []
-    root = 0
-    while left or stack:
-        if left < len(alive) // 2:
-            kept = own[alive]
-            tree = GrayTree(codes[kept])
-            own, alive, root = kept[tree.order], np.ones(left, bool), 0
-        if not stack:
-            while not alive[root]:
-                root += 1
-            alive[root] = False
-            left -= 1
-            stack.append(int(own[root]))
-        at = stack.pop()
-        if not left:
+        """Positions of alive codes at most ``threshold`` bits from ``code``."""
+        found = self.forest.within(np.array([code], np.uint64), np.zeros(1, np.int64), threshold)[1]
+        return found[alive[found]]
+
+
+#: Children of a node of the forest.
+LEAF = FANOUT
+#: Queries that go down the forest together, at first and at most, and the nodes they may meet on a level.
+FIRST, TOGETHER, NODES = 1024, 20_000, 4_000_000
+
+
+def forest_links(codes: np.ndarray, sizes: np.ndarray, threshold: int) -> tuple[np.ndarray, np.ndarray]:
+    """Positions (a, b) of spanning links of each bucket's components.
+
+    Every code asks its bucket's tree once, in batches.  Links of a batch join components,
+    later queries skip nodes of their own, so a dense group is found once and not as all
+    pairs.  A batch that meets too many nodes is cut."""
+    forest = GrayForest(codes, sizes, LEAF)
+    tree = np.repeat(np.arange(len(sizes)), sizes)
+    left, right = [np.zeros(0, np.int64)], [np.zeros(0, np.int64)]
+    at, room = 0, FIRST
+    while at < len(codes):
+        end = min(len(codes), at + room)
+        found = forest.within(codes[at:end], tree[at:end], threshold, forest.label[at:end], NODES)
+        if found is None:
+            room = max(1, room // 4)
             continue
-        near = tree.within(codes[at], threshold, alive)
-        alive[near] = False
-        left -= len(near)
-        found = own[near].tolist()
-        links += [(n, at) for n in found]
-        stack += found
-    return links
+        a, b = found[0] + at, found[1]
+        if len(a):
+            used = forest.join(a, b)
+            left.append(a[used])
+            right.append(b[used])
+        at, room = end, min(TOGETHER, room * 2)
+    return np.concatenate(left), np.concatenate(right)
 
 
-#: Buckets up to this size are one leaf: all its codes are compared at once.
-LEAF = 48
+def spanning_links(codes: np.ndarray, threshold: int) -> list[tuple[int, int]]:
+    """Pairs (child, parent) of positions: a spanning tree of each component."""
+    order = np.argsort(gray_rank(codes), kind="stable")
+    a, b = forest_links(codes[order], np.array([len(codes)]), threshold)
+    return list(zip(order[a].tolist(), order[b].tolist()))
 
 
 def bucket_links(codes: np.ndarray, keys: np.ndarray, threshold: int) -> tuple[np.ndarray, np.ndarray]:
-    """Links within runs of equal ``keys`` (sorted).  Small runs are leaves, compared at
-    every shift for all runs together; larger ones get a tree of their own."""
-    n = len(codes)
-    starts = np.flatnonzero(np.r_[True, keys[1:] != keys[:-1]]) if n else np.zeros(0, np.int64)
-    sizes = np.diff(np.r_[starts, n])
-    left, right = [], []
-    small = np.repeat(sizes <= LEAF, sizes)
-    room = np.repeat(starts + sizes, sizes)
-    at = np.flatnonzero(small)
-    shift = 1
-    while len(at := at[at + shift < room[at]]):
-        close = at[distance(codes[at], codes[at + shift]) <= threshold]
-        left.append(codes[close])
-        right.append(codes[close + shift])
-        shift += 1
-    for s, m in zip(starts[sizes > LEAF], sizes[sizes > LEAF]):
-        own = codes[s : s + m]
-        links = spanning_links(own, threshold)
-        if links:
-            a, b = np.array(links).T
-            left.append(own[a])
-            right.append(own[b])
-    none = [np.zeros(0, np.uint64)]
-    return np.concatenate(left or none), np.concatenate(right or none)
-
-
-def links(codes: DataFrame, threshold: int = THRESHOLD, blocks: int = BLOCKS) -> DataFrame:
-    """Spanning links (a, b) of distinct fingerprints in column ``fp``."""
-    masks = [m - (1 << 64) if m >> 63 else m for m in block_masks(blocks, threshold)]
+    """Links within runs of equal ``keys`` (sorted), each run in its own Gray-order tree."""
+    starts = np.flatnonzero(np.r_[True, keys[1:] != keys[:-1]]) if len(keys) else np.zeros(0, np.int64)
+    sizes = np.diff(np.r_[starts, len(keys)])
+    # a bucket of one code has no pair
+    paired = np.repeat(sizes > 1, sizes)
+    codes, keys, sizes = codes[paired], keys[paired], sizes[sizes > 1]
+    if not len(codes):
+        return codes, codes
+    codes = codes[np.lexsort((gray_rank(codes), keys))]
+    a, b = forest_links(codes, sizes, threshold)
+    return codes[a], codes[b]
+
+
+def _exploded(codes: DataFrame, masks: list[int], *kept: str) -> DataFrame:
+    """A row for each mask: its number ``t`` and the masked code ``key``, beside ``fp``."""
+    masks = [m - (1 << 64) if m >> 63 else m for m in masks]
     tables = F.explode(F.array(*[F.struct(F.lit(i).alias("t"), F.lit(m).alias("m")) for i, m in enumerate(masks)]))
-    keyed = codes.select("fp", tables.alias("x")).select(
-        F.col("x.t").alias("t"), F.col("fp").bitwiseAND(F.col("x.m")).alias("key"), "fp"
+    return codes.select("fp", *kept, tables.alias("x")).select(
+        *kept, F.col("x.t").alias("t"), F.col("fp").bitwiseAND(F.col("x.m")).alias("key"), "fp"
     )
-    laid = keyed.repartition("t", "key").sortWithinPartitions("t", "key")
+
+
+def links(codes: DataFrame, threshold: int = THRESHOLD, blocks: int = BLOCKS, hot: int = HOT) -> DataFrame:
+    """Spanning links (a, b) of distinct fingerprints in column ``fp``.
+
+    A bucket of over ``hot`` codes is cut again: its codes agree on the bucket's blocks, so
+    any two within the threshold agree on one of ``threshold + 1`` blocks of the other bits
+    too.  There are at most as many such buckets as bucket keys (40,960 with 5 blocks)."""
+    masks = block_masks(blocks, threshold)
+    keyed = _exploded(codes, masks)
+    large = checkpoint(keyed.groupBy("t", "key").count().where(F.col("count") > hot).select("t", "key"))
+    none = F.lit(None).cast("int").alias("t2"), F.lit(None).cast("bigint").alias("key2")
+    laid = keyed.select("t", "key", *none, "fp")
+    if large.limit(1).count():
+        marked = keyed.join(_bounded(large, blocks, threshold), ["t", "key"], "left_semi")
+        cut = None
+        for t, m in enumerate(masks):
+            rest = _exploded(marked.where(F.col("t") == t).select("fp", F.col("t").alias("t1"), F.col("key").alias("key1")), _cut_rest(m, threshold + 1), "t1", "key1")
+            rest = rest.select(F.col("t1").alias("t"), F.col("key1").alias("key"), F.col("t").alias("t2"), F.col("key").alias("key2"), "fp")
+            cut = rest if cut is None else cut.unionByName(rest)
+        laid = keyed.join(_bounded(large, blocks, threshold), ["t", "key"], "left_anti").select("t", "key", *none, "fp").unionByName(cut)
+    bucket = ["t", "key", "t2", "key2"]
+    laid = laid.repartition(*bucket).sortWithinPartitions(*bucket)
+    laid = laid.select("t", "key", F.coalesce("t2", F.lit(-1)).alias("t2"), F.coalesce("key2", F.lit(0)).alias("key2"), "fp")
 
     def search(batches):
-        held: list[tuple[np.ndarray, np.ndarray, np.ndarray]] = []
+        held: list[tuple[np.ndarray, ...]] = []
         rows = 0
 
         def gathered():
-            t, k, f = (np.concatenate(x) for x in zip(*held))
-            return t, k, f.view(np.uint64)
+            return [np.concatenate(x) for x in zip(*held)]
 
-        def made(t, k, f):
-            run = np.cumsum(np.r_[False, (t[1:] != t[:-1]) | (k[1:] != k[:-1])]) if len(t) else np.zeros(0)
-            a, b = bucket_links(f, run, threshold)
+        def changes(columns):
+            return np.flatnonzero(np.any([c[1:] != c[:-1] for c in columns[:4]], axis=0)) + 1
+
+        def made(columns):
+            fp = columns[4].view(np.uint64)
+            run = np.zeros(len(fp), np.int64)
+            run[changes(columns)] = 1
+            a, b = bucket_links(fp, np.cumsum(run), threshold)
             for at in range(0, len(a), 100_000):
-                part = [x[at : at + 100_000].view(np.int64) for x in (a, b)]
+                part = [np.ascontiguousarray(x[at : at + 100_000]).view(np.int64) for x in (a, b)]
                 yield pa.RecordBatch.from_arrays([pa.array(x) for x in part], names=["a", "b"])
 
         for batch in batches:
             if batch.num_rows == 0:
                 continue
-            held.append(tuple(batch.column(i).to_numpy(zero_copy_only=False) for i in range(3)))
+            held.append(tuple(batch.column(i).to_numpy(zero_copy_only=False) for i in range(5)))
             rows += batch.num_rows
             if rows >= GATHER:
-                t, k, f = gathered()
-                last = np.flatnonzero((t != t[-1]) | (k != k[-1]))
-                cut = int(last[-1]) + 1 if len(last) else 0
-                yield from made(t[:cut], k[:cut], f[:cut])
-                held = [(t[cut:], k[cut:], f[cut:].view(np.int64))]
+                columns = gathered()
+                edges = changes(columns)
+                cut = int(edges[-1]) if len(edges) else 0
+                if cut:
+                    yield from made([c[:cut] for c in columns])
+                held = [tuple(c[cut:] for c in columns)]
                 # a bucket that fills the buffer waits for as much again
                 rows = 0
         if held:
-            yield from made(*gathered())
+            yield from made(gathered())
 
     schema = StructType([StructField("a", LongType()), StructField("b", LongType())])
     return laid.mapInArrow(search, schema)
 
 
+def _bounded(large: DataFrame, blocks: int, threshold: int) -> DataFrame:
+    """``large`` to be broadcast where the number of possible keys is small enough to."""
+    widest = max(m.bit_count() for m in block_masks(blocks, threshold))
+    return F.broadcast(large) if widest <= 16 else large
+
+
+def _cut_rest(mask: int, pieces: int) -> list[int]:
+    """Masks of ``pieces`` blocks of the bits outside ``mask``."""
+    bits = [b for b in range(64) if not mask >> b & 1]
+    edges = [len(bits) * i // pieces for i in range(pieces + 1)]
+    return [sum(1 << b for b in bits[s:e]) for s, e in zip(edges, edges[1:])]
+
+
 def components(edges: DataFrame, rounds: int = 60) -> DataFrame:
     """(node, root) for every node of an edge; root is the smallest node of its component.
 
@@ -307,31 +383,33 @@ def classes(marked: DataFrame, id_col: str = "doc_id", threshold: int = THRESHOL
 
 
 def near_duplicates(
-    docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", threshold: int = THRESHOLD, blocks: int = BLOCKS
+    docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", threshold: int = THRESHOLD, blocks: int = BLOCKS, size: int = SHINGLE
 ) -> DataFrame:
     """(id, __fp, component_id) for every row of ``docs``."""
-    marked = checkpoint(fingerprints(docs, text_col, keep=[id_col]))
-    found = checkpoint(classes(marked, id_col, threshold, blocks))
-    return marked.join(found, F.col("__fp") == F.col("fp")).select(column(id_col), "__fp", "component_id")
+    own = docs.select(column(id_col).alias("__id"), column(text_col).alias("__text"))
+    marked = checkpoint(fingerprints(own, "__text", size, keep=["__id"]))
+    found = checkpoint(classes(marked, "__id", threshold, blocks))
+    joined = marked.join(found, F.col("__fp") == F.col("fp"))
+    return joined.select(F.col("__id").alias(id_col), "__fp", "component_id")
 
 
-def deduplicate(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", **how) -> DataFrame:
+def deduplicate(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", size: int = SHINGLE, **how) -> DataFrame:
     """``docs`` with one row of each component: that with the smallest id.
 
     Rows are told apart by id and fingerprint; of rows equal in both one stays.  Null ids come last."""
-    marked = checkpoint(fingerprints(docs, text_col, keep=[id_col]))
-    found = checkpoint(classes(marked, id_col, **how))
-    own = marked.join(found, F.col("__fp") == F.col("fp")).select(column(id_col).alias("i"), "fp", "component_id")
-    first = F.min(F.struct(F.col("i").isNull(), F.col("i"), F.col("fp"))).alias("x")
+    whole = packed(docs, __id=column(id_col), __text=column(text_col))
+    marked = checkpoint(fingerprints(whole, "__text", size, keep=["__id"]))
+    found = checkpoint(classes(marked, "__id", **how))
+    own = marked.join(found, F.col("__fp") == F.col("fp")).select("__id", "fp", "component_id")
+    first = F.min(F.struct(F.col("__id").isNull(), F.col("__id"), F.col("fp"))).alias("x")
     # an unset component_id (all ids null) is told apart by fingerprint
     alone = F.when(F.col("component_id").isNull(), F.col("fp"))
-    stay = checkpoint(
-        own.groupBy("component_id", alone.alias("alone")).agg(first, F.count("*").alias("n")).select("x.i", "x.fp")
-    )
-    repeated = marked.groupBy(column(id_col).alias("i")).count().where("count > 1").limit(1).count()
+    stay = own.groupBy("component_id", alone.alias("alone")).agg(first)
+    stay = checkpoint(stay.select(F.col("x.__id").alias("stay_id"), F.col("x.fp").alias("stay_fp")))
+    repeated = marked.groupBy("__id").count().where("count > 1").limit(1).count()
+    same = F.col("__id").eqNullSafe(F.col("stay_id"))
     if not repeated:
-        return docs.join(stay.select("i"), column(id_col).eqNullSafe(F.col("i")), "left_semi")
-    rows = fingerprints(docs, text_col)
-    match = column(id_col).eqNullSafe(F.col("i")) & (F.col("__fp") == F.col("fp"))
-    kept = rows.join(stay, match, "left_semi").dropDuplicates([id_col, "__fp"])
-    return kept.select(*[column(c) for c in docs.columns])
+        return unpacked(whole.join(stay, same, "left_semi"), docs.columns)
+    rows = fingerprints(whole, "__text", size)
+    kept = rows.join(stay, same & (F.col("__fp") == F.col("stay_fp")), "left_semi").dropDuplicates(["__id", "__fp"])
+    return unpacked(kept, docs.columns)

@@ -108,3 +108,12 @@ def test_mix_takes_near_the_target(spark):
     assert mixed.columns == ["doc_id", "text", "source", "size", "copy"]
     assert mixed.count() == sum(r.copies for r in plan)
     assert mixing.plan(df.limit(0)).count() == 0 and mixing.mix(df.limit(0)).count() == 0
+
+
+def test_mix_of_clashing_columns(spark):
+    rows = [(i, f"w{i} x", "ab"[i % 2], 1, 2, 3, 4, 5) for i in range(40)] + [(3, "w3 x", "b", 1, 2, 3, 4, 5)] * 2
+    df = spark.createDataFrame(rows, "id int, hash string, number string, c_id int, copies int, own_id int, size int, __row int")
+    out = mixing.mix(df, "id", "hash", "number")
+    assert out.columns == [*df.columns, "copy"]
+    plan = mixing.plan(df, "id", "hash", "number")
+    assert out.count() == sum(r.copies for r in plan.collect()) and out.where("c_id = 1 AND own_id = 3 AND size = 4").count() == out.count()

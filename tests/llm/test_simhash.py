@@ -106,3 +106,59 @@ def test_rows_nulls_repeats_and_dedup(spark):
     assert sorted(r.doc_id for r in kept.collect()) == [3, 7, 11, 12]
     assert simhash.near_duplicates(df.limit(0)).count() == 0
     assert simhash.deduplicate(df.limit(0)).count() == 0
+
+
+def test_components_equal_brute_force_through_the_index(spark, monkeypatch):
+    entered = []
+    own = simhash.GrayForest.within
+    monkeypatch.setattr(simhash.GrayForest, "within", lambda self, *a: entered.append(len(self.levels)) or own(self, *a))
+    rng = random.Random(12)
+    base = rng.getrandbits(64)
+    dense = {base ^ sum(1 << b for b in rng.sample(range(20), rng.randint(0, 3))) for _ in range(3000)}
+    codes = np.array(list(dense | set(clouds(rng, 80, 20))), np.uint64)
+    found = simhash.bucket_links(codes, np.zeros(len(codes), np.int64), 4)
+    want = brute_components(codes.tolist())
+    assert max(entered) >= 3 and len(found[0]) == len(codes) - len(set(want.values()))
+    made = spark.createDataFrame([(int(a.view(np.int64)), int(b.view(np.int64))) for a, b in zip(*found)], "a long, b long")
+    got = {r.node % (1 << 64): r.root % (1 << 64) for r in simhash.components(made).collect()}
+    classes = lambda m: {frozenset(c for c in m if m[c] == r) for r in set(m.values())}
+    assert classes({c: got.get(c, c) for c in want}) == classes(want)
+
+
+def test_hot_buckets_are_cut_without_loss(spark):
+    rng = random.Random(13)
+    codes = clouds(rng, 60, 20)
+    hot = rng.getrandbits(13)
+    codes = list(dict.fromkeys(codes + [(c >> 13 << 13) | hot for c in codes]))
+    df = spark.createDataFrame([(c - (1 << 64) if c >> 63 else c,) for c in codes], "fp long")
+    plain, cut = (simhash.links(df, hot=n).collect() for n in (10**6, 30))
+    def roots(rows):
+        parent = {c: c for c in codes}
+        def find(x):
+            while parent[x] != x:
+                x = parent[x]
+            return x
+        for r in rows:
+            a, b = r.a % (1 << 64), r.b % (1 << 64)
+            assert (a ^ b).bit_count() <= 4
+            parent[max(find(a), find(b))] = min(find(a), find(b))
+        return {c: find(c) for c in codes}
+    want = brute_components(codes)
+    assert roots(plain) == roots(cut) == want
+
+
+def test_batches_over_the_bound_are_cut(monkeypatch):
+    rng = random.Random(14)
+    base = rng.getrandbits(64)
+    codes = np.array(list({base ^ sum(1 << b for b in rng.sample(range(24), rng.randint(0, 2))) for _ in range(900)}), np.uint64)
+    whole = len(simhash.bucket_links(codes, np.zeros(len(codes)), 4)[0])
+    monkeypatch.setattr(simhash, "NODES", 500)
+    assert len(simhash.bucket_links(codes, np.zeros(len(codes)), 4)[0]) == whole == len(codes) - 1
+
+
+def test_clashing_columns_of_dedup(spark):
+    rows = [(1, "a b c d", 5, "x", 1, 2), (2, "A b c d", 5, "x", 1, 2), (2, "z y", 5, "y", 1, 2), (None, None, None, None, None, None)]
+    df = spark.createDataFrame(rows, "fp int, i string, component_id int, __row string, stay_id int, __id int")
+    kept = simhash.deduplicate(df, "fp", "i")
+    assert kept.columns == df.columns and sorted(str(r.fp) for r in kept.collect()) == ["1", "2", "None"]
+    assert simhash.near_duplicates(df, "fp", "i").columns == ["fp", "__fp", "component_id"]
