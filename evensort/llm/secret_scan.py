@@ -6,7 +6,8 @@ method adds spans of kind ``entropy``: candidate strings are runs of one charact
 the Shannon entropy of its contents is kept by counts: a step changes only the count of the
 character that leaves and of the one that enters, so the sum of c*log2(c) is updated by
 those two terms.  A candidate is reported, from the first to the last window at or over its
-class's threshold, unless it is on the allow list or overlaps a base span.
+class's threshold, unless it lacks a digit or a letter, it
+matches the allow list anywhere, or it overlaps a base span.
 
 Positions without a position function: ``split`` gives the text between matches, so a
 match starts at the summed lengths of the gaps and matches before it.
@@ -19,6 +20,7 @@ any length work in one row; other columns pass through unless they carry an outp
 from __future__ import annotations
 
 import math
+import re
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
@@ -43,38 +45,68 @@ ALLOW = r"(?i)^[0-9a-f]{8}(-[0-9a-f]{4}){3}-[0-9a-f]{12}$|example|sample|dummy|p
 OUTPUTS = ("n_assign", "n_access", "n_hex", "n_entropy", "base_sha256", "spans", "found")
 
 
+#: Matches whose places are added up in one fold; a fold copies its list at every step.
+CHUNK = 256
+#: Bits of a long that hold counts.
+LONG_BITS = 63
+
+
 def _matches(text: str, pattern: str) -> str:
-    """SQL: array<struct<s, e, m>> of the leftmost non-overlapping matches of a pattern."""
+    """SQL: array<struct<s, e, m>> of the leftmost non-overlapping matches of a pattern.
+
+    Places are summed inside chunks of ``CHUNK`` matches, then chunks are shifted by the sums
+    of those before, so that a text of many matches isn't quadratic in them."""
     quoted = "'" + pattern.replace("\\", "\\\\").replace("'", "\\'") + "'"
     pairs = f"zip_with(regexp_extract_all({text}, {quoted}, 0), split({text}, {quoted}, -1), (a, b) -> struct(a AS m, b AS g))"
-    return f"""aggregate(filter({pairs}, x -> x.m IS NOT NULL),
-        struct(0 AS at, cast(array() AS array<struct<s: int, e: int, m: string>>) AS out),
+    found = "array<struct<s: int, e: int, m: string>>"
+    chunk = f"""aggregate(slice(found, c * {CHUNK} + 1, {CHUNK}), struct(0 AS at, cast(array() AS {found}) AS out),
         (acc, x) -> struct(acc.at + char_length(x.g) + char_length(x.m) AS at,
             concat(acc.out, array(struct(acc.at + char_length(x.g) AS s,
-                acc.at + char_length(x.g) + char_length(x.m) AS e, x.m AS m))) AS out),
-        acc -> acc.out)"""
+                acc.at + char_length(x.g) + char_length(x.m) AS e, x.m AS m))) AS out))"""
+    chunks = f"transform(sequence(0, (size(found) - 1) div {CHUNK}), c -> {chunk})"
+    starts = "aggregate(chunks, struct(0 AS at, cast(array() AS array<int>) AS out), (acc, c) -> struct(acc.at + c.at AS at, concat(acc.out, array(acc.at)) AS out), acc -> acc.out)"
+    moved = "flatten(zip_with(chunks, starts, (c, at) -> transform(c.out, x -> struct(x.s + at AS s, x.e + at AS e, x.m AS m))))"
+    placed = f"transform(array({chunks}), chunks -> transform(array({starts}), starts -> {moved})[0])[0]"
+    return f"""transform(array(filter({pairs}, x -> x.m IS NOT NULL)), found ->
+        IF(size(found) = 0, cast(array() AS {found}), {placed}))[0]"""
 
 
-def _entropy(value: str, window: int, least: float) -> str:
+def _entropy(value: str, symbols: str, window: int, least: float) -> str:
     """SQL: struct<s, e> of the windows of a string at or over a threshold; null if none.
 
-    State: position, sum of c*log2(c) over the window's counts, first and last hit."""
+    The string is split into characters once.  The fold's state has the window's counts,
+    packed into as few longs as hold them, the sum of c*log2(c), the place, the first and
+    the last hit.  A step takes one from the count of the character that leaves, adds one to
+    that of the character that enters, and moves the sum by those two terms."""
     # entropy = log2(w) - sum / w >= least
     most = window * (math.log2(window) - least) + 1e-9
-    term = lambda c: f"IF({c} > 1, {c} * log2({c}), 0D)"
-    count = lambda ch, start, n: f"(({n}) - char_length(replace(substr({value}, {start}, {n}), {ch}, '')))"
-    first = f"""aggregate(sequence(1, {window}), struct(0D AS sum), (a, i) -> struct(a.sum +
-        {term(count(f"substr({value}, i, 1)", 1, "i"))} - {term("(" + count(f"substr({value}, i, 1)", 1, "i") + " - 1)")} AS sum), a -> a.sum)"""
-    # the window [i, i + w): the character at i - 1 has left, that at i + w - 1 enters
-    out_n = count(f"substr({value}, i - 1, 1)", "i - 1", window)
-    in_n = count(f"substr({value}, i + {window - 1}, 1)", "i", window)
-    step = f"a.sum - {term(out_n)} + {term(f'({out_n} - 1)')} + {term(in_n)} - {term(f'({in_n} - 1)')}"
+    bits = window.bit_length()
+    fields = LONG_BITS // bits
+    longs = range(-(-len(symbols) // fields))
+    terms = [n * math.log2(n) if n else 0.0 for n in range(window + 1)]
+    gain = "array(0D, " + ", ".join(f"{b - a!r}D" for a, b in zip(terms, terms[1:])) + ")"
+    codes = f"""transform(split({value}, ''), ch -> transform(array(instr('{symbols}', ch) - 1), n ->
+        struct(n div {fields} AS k, shiftleft(1L, cast({bits} * (n % {fields}) AS int)) AS one, cast({bits} * (n % {fields}) AS int) AS at))[0])"""
+    count = lambda x: f"cast(shiftright(CASE {x}.k " + " ".join(f"WHEN {k} THEN a.c{k}" for k in longs) + f" END, {x}.at) & {(1 << bits) - 1} AS int)"
+    zero = "struct(" + ", ".join(f"0L AS c{k}" for k in longs) + ", 0D AS sum)"
+    entered = ", ".join(f"IF(x.k = {k}, a.c{k} + x.one, a.c{k}) AS c{k}" for k in longs)
+    first = f"aggregate(slice(codes, 1, {window}), {zero}, (a, x) -> struct({entered}, a.sum + {gain}[{count('x')} + 1] AS sum))"
     hit = lambda s: f"{s} <= {most!r}D"
-    return f"""aggregate(IF(char_length({value}) > {window}, sequence(2, char_length({value}) - {window - 1}), cast(array() AS array<int>)),
-        transform(array({first}), f -> struct(f AS sum, IF({hit("f")}, 1, 0) AS lo, IF({hit("f")}, 1, 0) AS hi))[0],
-        (a, i) -> transform(array({step}), f -> struct(f AS sum,
-            IF({hit("f")} AND a.lo = 0, i, a.lo) AS lo, IF({hit("f")}, i, a.hi) AS hi))[0],
-        a -> IF(a.lo = 0, NULL, struct(a.lo AS lo, a.hi + {window - 1} AS hi)))"""
+    start = f"""transform(array({first}), f -> struct({", ".join(f"f.c{k} AS c{k}" for k in longs)}, f.sum AS sum, 1 AS at,
+        IF({hit("f.sum")}, 1, 0) AS lo, IF({hit("f.sum")}, 1, 0) AS hi))[0]"""
+    moved = ", ".join(f"IF(x.o.k = {k}, IF(x.i.k = {k}, a.c{k} - x.o.one + x.i.one, a.c{k} - x.o.one), IF(x.i.k = {k}, a.c{k} + x.i.one, a.c{k})) AS c{k}" for k in longs)
+    # the same character leaving and entering changes nothing
+    summed = f"IF(x.o.k = x.i.k AND x.o.at = x.i.at, a.sum, a.sum - {gain}[{count('x.o')}] + {gain}[{count('x.i')} + 1])"
+    step = f"""transform(array({summed}), s -> struct({moved}, s AS sum, a.at + 1 AS at,
+        IF(a.lo = 0 AND {hit("s")}, a.at + 1, a.lo) AS lo, IF({hit("s")}, a.at + 1, a.hi) AS hi))[0]"""
+    steps = f"zip_with(slice(codes, 1, size(codes) - {window}), slice(codes, {window + 1}, size(codes) - {window}), (o, i) -> struct(o AS o, i AS i))"
+    return f"""transform(array({codes}), codes -> aggregate({steps}, {start}, (a, x) -> {step},
+        a -> IF(a.lo = 0, NULL, struct(a.lo AS lo, a.hi + {window - 1} AS hi))))[0]"""
+
+
+def _symbols(chars: str) -> str:
+    """The characters of a bracket expression (ranges and single ones)."""
+    return "".join(c for c in map(chr, range(33, 127)) if re.fullmatch(f"[{chars}]", c))
 
 
 def _digest_text(found: str) -> str:
@@ -111,10 +143,10 @@ def scan(docs: DataFrame, text_col: str = "text", keep=None, window: int = WINDO
     df = df.selectExpr("__row", "__a", "__k", "__h", "concat(__a, __k, __h) AS __b", *[f"__c{i}" for i in range(len(classes))])
     quoted_allow = "'" + allow.replace("\\", "\\\\").replace("'", "\\'") + "'"
     parts = []
-    for i, (_, _, least) in enumerate(classes):
+    for i, (_, chars, least) in enumerate(classes):
         free = "NOT exists(__b, b -> b.s < x.e AND x.s < b.e)"
         scored = f"""transform(filter(__c{i}, x -> {free} AND NOT regexp(x.m, {quoted_allow}) AND regexp(x.m, '[0-9]') AND regexp(x.m, '[A-Za-z]')),
-            x -> struct(x.s AS s, {_entropy("x.m", window, least)} AS w))"""
+            x -> struct(x.s AS s, {_entropy("x.m", _symbols(chars), window, least)} AS w))"""
         parts.append(f"transform(filter({scored}, y -> y.w IS NOT NULL), y -> struct(3 AS k, y.s + y.w.lo - 1 AS s, y.s + y.w.hi AS e))")
     # one span a region: later classes give way to those that overlap them
     df = df.selectExpr(

@@ -2,6 +2,7 @@ import hashlib
 import math
 import random
 import re
+import time
 
 from evensort.llm import secret_scan
 
@@ -84,3 +85,42 @@ def test_native_plan(spark):
     df = spark.createDataFrame([(1, "x")], "doc_id int, text string")
     plan = secret_scan.scan(df)._jdf.queryExecution().executedPlan().toString()
     assert "Python" not in plan and "Arrow" not in plan and "Exchange" not in plan
+
+
+def test_long_runs_and_many_matches_are_linear(spark):
+    rng = random.Random(6)
+    chars = "ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789+/"
+    run = "".join(rng.choice(chars) for _ in range(1_000_000))
+    many = "token=abcdef " * 50_000
+    df = spark.createDataFrame([(1, run), (2, many)], "doc_id int, text string").repartition(2)
+    began = time.perf_counter()
+    got = {r.doc_id: r for r in secret_scan.scan(df).collect()}
+    assert time.perf_counter() - began < 120
+    assert got[1].n_entropy == 1 and got[2].n_assign == 50_000
+    base = base_spans(many)
+    assert got[2].base_sha256 == hashlib.sha256(listed(base).encode()).hexdigest()
+
+
+def test_other_windows_and_classes(spark):
+    rng = random.Random(7)
+    texts = ["".join(rng.choice("ab01+/ ") for _ in range(rng.randint(0, 90))) for _ in range(60)]
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id int, text string")
+    classes = (("two", "ab01", 1.5), ("all", "ab01+/", 2.2))
+    got = {r.doc_id: [(x.s, x.e) for x in r.found if x.k == 3] for r in secret_scan.scan(df, window=9, classes=classes).collect()}
+    for i, t in enumerate(texts):
+        regions = []
+        for _, own, least in classes:
+            for m in re.finditer(f"[{own}]{{9,}}", t):
+                v = m[0]
+                if re.search(secret_scan.ALLOW, v) or not re.search("[0-9]", v) or not re.search("[A-Za-z]", v):
+                    continue
+                hits = [k for k in range(len(v) - 8) if entropy(v[k : k + 9]) >= least - 1e-10]
+                if hits:
+                    regions.append((m.start() + hits[0], m.start() + hits[-1] + 9))
+        out = []
+        for s, e in sorted(regions):
+            if out and out[-1][1] > s:
+                out[-1] = (out[-1][0], max(out[-1][1], e))
+            else:
+                out.append((s, e))
+        assert got[i] == out, t
