@@ -8,8 +8,11 @@ loopy message passing carries their labels over the edges, so a number that is p
 place is phone where it stands without its context.
 
 A token without digit or "@" can only be outside, which cuts the graph: the messages over
-the tokens left are the same as over all.  Equal tokens are linked to the next equal one
-only, so a token that repeats n times has n - 1 skip edges.
+the tokens left are the same as over all.  The word behind a candidate is one of
+its features.  Similar tokens are linked to the first of them, so a token that repeats n times
+has n - 1 skip edges and evidence at one place reaches all others over two, however long
+the document is.  Messages pass until none moves by ``SETTLED``, or ``ROUNDS`` times, which
+only loops that don't settle reach.
 
 Weights are fitted by pseudo-likelihood on a bounded sample of texts (``rows`` expected,
 twice that as a hard bound) labelled by the base patterns.
@@ -24,6 +27,7 @@ from __future__ import annotations
 import hashlib
 import re
 import uuid
+from collections import Counter
 from itertools import pairwise
 
 import numpy as np
@@ -38,8 +42,11 @@ OUTSIDE = len(KINDS)
 LABELS = len(KINDS) + 1
 FIT_ROWS = 3000
 EPOCHS = 8
-ROUNDS = 20
+ROUNDS = 200
+SETTLED = 1e-3
 LEAST = 0.6
+#: Sample tokens that a context feature must stand at to be learned.
+LEAST_SEEN = 5
 
 _LOCAL_CHARS = frozenset("ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789._%+-")
 _DOMAIN = re.compile(r"[A-Za-z0-9-]+(?:\.[A-Za-z0-9-]+)+")
@@ -47,7 +54,8 @@ _DOMAIN = re.compile(r"[A-Za-z0-9-]+(?:\.[A-Za-z0-9-]+)+")
 _IP = re.compile(r"(?<![0-9])[0-9]++(?:\.[0-9]++){3}")
 _CARD = re.compile(r"[0-9](?:[\x20-]?[0-9])+")
 _PHONE = re.compile(r"\+[0-9][\x20().0-9-]+[0-9]")
-_TOKEN = re.compile(r"\S*[0-9@]\S*")
+_RUN = re.compile(r"\S+")
+_CANDIDATE = re.compile(r"[0-9@]")
 _EDGE = ".,;:!?()[]{}<>\"'"
 _DIGITS = re.compile(r"[^0-9]")
 
@@ -95,7 +103,7 @@ def shape(token: str) -> str:
 
 
 def similar_keys(token: str) -> list[str]:
-    """Keys that similar tokens share; a token is linked to the next one with the same key."""
+    """Keys that similar tokens share; a token is linked to the first one with the same key."""
     if "@" in token:
         return [token.strip(_EDGE).lower()]
     digits = _DIGITS.sub("", token)
@@ -104,11 +112,22 @@ def similar_keys(token: str) -> list[str]:
     return [token] if len(digits) >= 4 else []
 
 
+def _context(word: str) -> str:
+    """The word behind a candidate as a feature; empty if it is a candidate itself."""
+    return "" if _CANDIDATE.search(word) else word[:40].strip(_EDGE).lower()[:20]
+
+
 class Graph:
     """Candidate tokens of a text, their features, evidence, chain and skip edges."""
 
     def __init__(self, text: str, base: list[tuple[int, int, int]]):
-        tokens = [(m[0], m.start(), m.end()) for m in _TOKEN.finditer(text)]
+        tokens, behind = [], []
+        for m in _RUN.finditer(text):
+            if len(behind) < len(tokens):
+                behind.append(_context(m[0]))
+            if _CANDIDATE.search(m[0]):
+                tokens.append((m[0], m.start(), m.end()))
+        behind += [""] * (len(tokens) - len(behind))
         self.spans = [(s, e) for _, s, e in tokens]
         self.given = np.full(len(tokens), -1)
         spans, at = sorted(base, key=lambda x: (x[1], x[0])), 0
@@ -119,14 +138,14 @@ class Graph:
                 if b < e and s < f and self.given[i] < 0:
                     self.given[i] = kind
         self.chain = [i for i, (a, b) in enumerate(pairwise(self.spans)) if not text[a[1] : b[0]].strip()]
-        last: dict[str, int] = {}
-        self.skip: list[tuple[int, int]] = []
+        first: dict[str, int] = {}
+        pairs: dict[tuple[int, int], None] = {}
         for i, (t, _, _) in enumerate(tokens):
             for key in similar_keys(t):
-                if key in last:
-                    self.skip.append((last[key], i))
-                last[key] = i
-        self.features = [self._features(t) for t, _, _ in tokens]
+                if first.setdefault(key, i) != i:
+                    pairs[first[key], i] = None
+        self.skip = list(pairs)
+        self.features = [self._features(t) + ([f"word {w}"] if w else []) for (t, _, _), w in zip(tokens, behind)]
 
     @staticmethod
     def _features(token: str) -> list[str]:
@@ -147,13 +166,16 @@ class Model:
     def fit(self, graphs: list[Graph], epochs: int = EPOCHS, rate: float = 0.2, decay: float = 1e-4) -> Model:
         """Stochastic ascent of the pseudo-likelihood; unlabelled candidates are outside."""
         rng = np.random.default_rng(1)
+        seen = Counter(f for g in graphs for fs in g.features for f in fs)
+        known = lambda f: seen[f] >= LEAST_SEEN or not f.startswith("word ")
+        learned = [[[f for f in fs if known(f)] for fs in g.features] for g in graphs]
         for epoch in range(epochs):
             step = rate / (1 + epoch)
             for n in rng.permutation(len(graphs)):
                 g = graphs[n]
                 y = np.where(g.given >= 0, g.given, OUTSIDE)
                 before, after, alike = _neighbours(g)
-                for i, fs in enumerate(g.features):
+                for i, fs in enumerate(learned[n]):
                     score = sum(self.unary.get(f, 0) for f in fs) + np.zeros(LABELS)
                     left = y[before[i]] if before[i] >= 0 else OUTSIDE
                     right = y[after[i]] if after[i] >= 0 else OUTSIDE
@@ -201,7 +223,7 @@ class Model:
             new -= new.max(axis=1, keepdims=True)
             moved = np.abs(new - messages).max()
             messages = 0.5 * messages + 0.5 * new
-            if moved < 1e-4:
+            if moved < SETTLED:
                 break
         total = own.copy()
         np.add.at(total, target, messages)

@@ -2,6 +2,7 @@ import hashlib
 import itertools
 import random
 import re
+import time
 
 import numpy as np
 
@@ -89,3 +90,37 @@ def test_query_columns(spark):
         assert r.base_sha256 == hashlib.sha256(pii.listed(base).encode()).hexdigest()
         assert set(filter(None, pii.listed(base).split(","))) <= set(r.spans.split(","))
     assert pii.scan(df.limit(0), pii.fit(df.limit(0))).count() == 0
+
+
+def test_long_texts_are_linear():
+    model = pii.Model().fit([pii.Graph("call +1 (555) 010-1000 now", pii.base_spans("call +1 (555) 010-1000 now"))])
+    for t in ("a" * 1_000_000, "a" * 500_000 + "1", "1a" * 300_000, "@" * 100_000, "4711 " * 20_000, "a1 " * 20_000):
+        began = time.perf_counter()
+        model.added(t, pii.base_spans(t))
+        assert time.perf_counter() - began < 20, t[:20]
+
+
+def test_evidence_reaches_every_repeat_in_a_document():
+    texts = [f"call +1 (555) 010-{n} or write to u{n}@mail.example.com about 4{n} items" for n in range(1000, 1060)]
+    model = pii.Model().fit([pii.Graph(t, pii.base_spans(t)) for t in texts])
+    model.skip[pii.KINDS.index("phone")] = 6.0
+    text = "call +1 (555) 010-1234 now. " + "then later they rang 010-1234 again and again. " * 100
+    text = text.replace("010-1234", "0101234")
+    added = [text[s:e] for k, s, e, _ in model.added(text, pii.base_spans(text)) if pii.KINDS[k] == "phone"]
+    g = pii.Graph(text, pii.base_spans(text))
+    p = model.marginals(g)[:, pii.KINDS.index("phone")]
+    own = [i for i, (s, e) in enumerate(g.spans) if text[s:e] == "0101234"]
+    assert len(own) == 101
+    # all repeats without evidence are alike, wherever they stand
+    assert np.ptp(p[own[2:]]) < 1e-2 and (not added or added.count("0101234") >= 99)
+
+
+def test_the_word_behind_is_a_feature():
+    g = pii.Graph("Tel: 5550100 (home) 4711 12\nroom", [])
+    assert [fs[-1] for fs in g.features] == ["word home", "first 4", "word room"]
+    assert pii.Graph("12", []).features[0][-1] == "first 1"
+
+
+def test_empty_table_and_no_ids(spark):
+    df = spark.createDataFrame([], "doc_id int, text string, found string")
+    assert pii.scan(df, pii.fit(df)).count() == 0
