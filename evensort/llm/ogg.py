@@ -35,6 +35,8 @@ PACKET = 4080
 PAD = 64
 SAMPLES, FACTS = 1, 2
 CONTINUED, BEGIN, END = 1, 2, 4
+#: The first packet of the samples: name, channels, rate.
+MAGIC, HEADER = b"U8PCM", struct.Struct("<5sBI")
 
 _REVERSED = bytes(int(f"{b:08b}"[::-1], 2) for b in range(256))
 
@@ -88,7 +90,7 @@ class StreamWriter:
 def write(payload: bytes, n_bytes: int, rate: int = RATE, packet: int = PACKET) -> bytes:
     """An Ogg file of 8-bit samples ``payload``, of which the first ``n_bytes`` are content."""
     samples, facts = StreamWriter(SAMPLES), StreamWriter(FACTS)
-    head = struct.pack("<5sBI", b"U8PCM", 1, rate)
+    head = HEADER.pack(MAGIC, 1, rate)
     parts = samples.pages([(head, 0)], begin=True) + facts.pages([(b"FACTS", 0)], begin=True)
     cuts = range(0, len(payload), packet)
     data = samples.pages([(payload[c : c + packet], min(c + packet, len(payload))) for c in cuts], end=True)
@@ -209,18 +211,24 @@ def encode(docs: DataFrame, text_col: str = "text", keep=None) -> DataFrame:
     return append_columns(docs, [text_col], lambda: kernel, MEDIA, keep)
 
 
-def decode(media: bytes) -> tuple[bytes, int, float, File]:
-    """(samples, unpadded length, end in seconds, file) of an Ogg file made by ``write``."""
+def decode(media: bytes) -> tuple[bytes, int | None, float, File]:
+    """(samples, unpadded length, end in seconds, file) of an Ogg file made by ``write``.
+
+    Never raises: of a damaged file come the samples of its sound pages, and no length if the
+    page that has it is lost."""
     made = read(media)
     stream, facts = made.streams.get(SAMPLES, Stream()), made.streams.get(FACTS, Stream())
-    rate = struct.unpack("<5sBI", stream.packets[0])[2] if stream.packets else RATE
-    n = int(facts.packets[1].split(b"=")[1]) if len(facts.packets) > 1 else -1
-    ends = [s for s in seconds(stream, rate) if s is not None]
-    return b"".join(stream.packets[1:]), n, ends[-1] if ends else 0.0, made
+    # a damaged first page takes the header along: every packet left is data then
+    headed = stream.packets[:1] if stream.packets and len(stream.packets[0]) == HEADER.size and stream.packets[0].startswith(MAGIC) else []
+    rate = HEADER.unpack(headed[0])[2] if headed else RATE
+    n = next((int(p[8:]) for p in facts.packets if p.startswith(b"n_bytes=") and p[8:].isdigit()), None)
+    ends = [s for s in seconds(stream, rate or RATE) if s is not None]
+    return b"".join(stream.packets[len(headed) :]), n, ends[-1] if ends else 0.0, made
 
 
 def describe(media_rows: DataFrame, media_col: str = "media", keep=None) -> DataFrame:
-    """The stored bytes read back: sizes, digests and features.  Null media has null facts."""
+    """The stored bytes read back: sizes, digests and features.  Null media has null facts;
+    damaged media has those of its sound pages, and a null length if its page is lost."""
 
     def one(m):
         if m is None:

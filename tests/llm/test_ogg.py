@@ -65,3 +65,26 @@ def test_query_columns(spark):
         assert r.tail_crc32 == zlib.crc32(payload[-64:]) and r.damaged_pages == 0
     assert rows[4][3:] == rows[5][3:]
     assert ogg.describe(ogg.encode(df.limit(0))).count() == 0
+
+
+def test_damage_anywhere_never_raises(spark):
+    rng = random.Random(4)
+    payload = rng.randbytes(64 * 2000)
+    made = ogg.write(payload, 100)
+    files = [b"", b"OggS", made[:40], rng.randbytes(500), None]
+    for at in [*range(0, 160, 7), *(rng.randrange(len(made)) for _ in range(20))]:
+        broken = bytearray(made)
+        broken[at] ^= 1 << rng.randrange(8)
+        files.append(bytes(broken))
+    for f in files:
+        if f is not None:
+            samples, n, end, file = ogg.decode(f)
+            assert n in (100, None) and len(samples) <= len(payload)
+    df = spark.createDataFrame([(i, f) for i, f in enumerate(files)], "doc_id int, media binary")
+    rows = {r.doc_id: r for r in ogg.describe(df).collect()}
+    assert rows[4].media_bytes is None and all(rows[i].media_bytes == len(f) for i, f in enumerate(files) if f is not None)
+    # the first page lost: its header goes, the samples stay
+    head = bytearray(made)
+    head[10] ^= 1
+    samples, n, end, file = ogg.decode(bytes(head))
+    assert samples == payload and n == 100 and file.damaged
