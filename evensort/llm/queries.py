@@ -6,6 +6,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import decontaminate, langid, licenses, mixing, ogg, pii, secret_scan, simhash, toxicity, warc
+from ._arrow import checkpoint, remove_folder
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -25,9 +26,14 @@ def op2_license_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
 def op3_warc_salvage(spark: SparkSession, sf_dir: str) -> DataFrame:
     path = warc.new_folder(spark)
     warc.write(table(spark, sf_dir, "pages"), path)
-    records = warc.read(spark, path).where("kind = 'record'")
+    # a gap in archives just written would be lost pages
+    lost = F.raise_error(F.concat(F.lit("gap in "), F.col("path"), F.lit(": "), F.col("reason")))
+    records = warc.read(spark, path).withColumn("kind", F.when(F.col("kind") == "gap", lost).otherwise(F.col("kind")))
     number = lambda c: F.when(F.col(c) != "null", F.col(c)).cast("bigint").alias(c)
-    return records.select(number("page_id"), "payload_bytes", "payload_digest", "record_type", number("refers_to"))
+    own = records.where("kind = 'record'").select(number("page_id"), "payload_bytes", "payload_digest", "record_type", number("refers_to"))
+    made = checkpoint(own)
+    remove_folder(spark, path)
+    return made
 
 
 def op4_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -8,7 +8,9 @@ with an empty member, whose last byte is zero too).
 The reader goes through a file's bytes.  After a failed check (member checksum, version
 line, header, block length, payload digest) it searches the next gzip member or version
 line, goes on there if a valid record follows, and logs the bytes between as a quarantined
-gap with its reason.  Uncompressed records are read too.
+gap with its reason.  Inside a member it does the same among the inflated bytes, and a
+damaged or cut member gives the records that inflate whole.  Uncompressed records are read
+too.
 
 Of records with equal payloads of at least ``least`` bytes, the one with the smallest page
 id is a response and the others revisit it.
@@ -43,6 +45,7 @@ HTTP = b"HTTP/1.1 200 OK\r\nContent-Type: text/html; charset=utf-8\r\nContent-Le
 #: Fixed value: an empty gzip member.
 EMPTY = bytes.fromhex("1f8b080000000000000303000000000000000000")
 VERSION = re.compile(rb"\x1f\x8b\x08|WARC/1\.[01]\r\n")
+VERSION_LINE = re.compile(rb"WARC/1\.[01]\r\n")
 
 
 def record(page_id, url: bytes | None, payload: bytes, digest: str, refers_to) -> bytes:
@@ -103,24 +106,44 @@ def write(pages: DataFrame, path: str, records_per_file: int = RECORDS_PER_FILE,
     text.write.option("lineSep", "\u0000").option("maxRecordsPerFile", records_per_file).text(path)
 
 
-def inflate(data: bytes, at: int, step: int = 1 << 15) -> tuple[bytes, int] | None:
-    """(contents, end) of the gzip member at ``at``; None if it is damaged or cut off."""
+def unpack(data: bytes, at: int, step: int = 1 << 15) -> tuple[bytes, int | None]:
+    """(contents, end) of the gzip member at ``at``: as far as it inflates, and None as its
+    end, if it is damaged or cut off."""
     d, out, pos = zlib.decompressobj(31), [], at
     view = memoryview(data)
     try:
         while not d.eof:
             if pos >= len(data):
-                return None
+                return b"".join(out), None
             out.append(d.decompress(view[pos : pos + step]))
             pos = min(len(data), pos + step)
     except zlib.error:
-        return None
+        # the piece that failed once more in small bits: what comes before the damage counts
+        return b"".join(out) + _before_damage(data, at, pos, sum(map(len, out))), None
     return b"".join(out), pos - len(d.unused_data)
 
 
+def _before_damage(data: bytes, at: int, pos: int, had: int, step: int = 64) -> bytes:
+    d, made, out = zlib.decompressobj(31), 0, []
+    try:
+        made = len(d.decompress(data[at:pos]))
+        while pos < len(data):
+            out.append(d.decompress(data[pos : pos + step]))
+            pos += step
+    except zlib.error:
+        pass
+    return b"".join(out) if made == had else b""
+
+
+def inflate(data: bytes, at: int) -> tuple[bytes, int] | None:
+    """(contents, end) of the gzip member at ``at``; None if it is damaged or cut off."""
+    inner, end = unpack(data, at)
+    return None if end is None else (inner, end)
+
+
 def parse(data: bytes, at: int = 0) -> tuple[dict[str, bytes], bytes, int] | str:
     """(headers, block, end) of the record at ``at``, or what is wrong with it."""
-    if not re.compile(rb"WARC/1\.[01]\r\n").match(data, at):
+    if not VERSION_LINE.match(data, at):
         return "no version line"
     stop = data.find(b"\r\n\r\n", at)
     if stop < 0:
@@ -151,43 +174,66 @@ def check(headers: dict[str, bytes], block: bytes) -> str | None:
     return None
 
 
+def _records(data: bytes, at: int = 0) -> Iterator[tuple[int, int, object]]:
+    """(start, end, (headers, block)) of valid records and (start, end, reason) of what lies
+    between, over plain bytes; after a failed check the next version line is tried."""
+    gap, reason = None, ""
+    while at < len(data):
+        made = parse(data, at)
+        wrong = made if isinstance(made, str) else check(*made[:2])
+        if not wrong:
+            if gap is not None:
+                yield gap, at, reason
+                gap = None
+            yield at, made[2], made[:2]
+            at = made[2]
+            continue
+        if gap is None:
+            gap, reason = at, wrong
+        later = VERSION_LINE.search(data, at + 1)
+        at = later.start() if later else len(data)
+    if gap is not None:
+        yield gap, len(data), reason
+
+
 def salvage(data: bytes) -> Iterator[tuple[str, int, int, object]]:
-    """("record", start, end, (headers, block)) and ("gap", start, end, reason), in order."""
+    """("record", start, end, (headers, block)) and ("gap", start, end, reason), in order.
+
+    Positions are those of the file.  Good records of a member are kept wherever its bad ones
+    stand: a gap inside a sound member has the member's positions, and its own ones among
+    the inflated bytes in the reason.  Of a damaged or cut member the records that inflate
+    whole are kept, and its bytes are (part of) a gap."""
     at, gap, reason = 0, None, ""
     while at < len(data):
-        found, wrong = [], "no member or version line"
-        end = at
+        end, found, wrong = None, [], "no member or version line"
         if data.startswith(b"\x1f\x8b\x08", at):
-            whole = inflate(data, at)
-            if whole is None:
+            inner, end = unpack(data, at)
+            found = list(_records(inner))
+            if end is None:
                 wrong = "member is damaged"
-            else:
-                inner, end, pos = whole[0], whole[1], 0
-                wrong = ""
-                while pos < len(inner):
-                    made = parse(inner, pos)
-                    wrong = made if isinstance(made, str) else check(*made[:2]) or ""
-                    if wrong:
-                        break
-                    found.append(made[:2])
-                    pos = made[2]
+                found = [f for f in found if not isinstance(f[2], str)]
+            elif found and all(isinstance(f[2], str) for f in found):
+                wrong, found, end = found[0][2], [], None
         elif data.startswith(b"WARC/", at):
             made = parse(data, at)
             wrong = made if isinstance(made, str) else check(*made[:2]) or ""
             if not wrong:
-                found, end = [made[:2]], made[2]
-        if not wrong:
-            if gap is not None:
-                yield "gap", gap, at, reason
-                gap = None
-            for f in found:
-                yield "record", at, end, f
-            at = end
-            continue
-        if gap is None:
-            gap, reason = at, wrong
-        later = VERSION.search(data, at + 1)
-        at = later.start() if later else len(data)
+                found, end = [(0, 0, made[:2])], made[2]
+        if gap is not None and end is not None:
+            yield "gap", gap, at, reason
+            gap = None
+        stop = end
+        if stop is None:
+            later = VERSION.search(data, at + 1)
+            stop = later.start() if later else len(data)
+            if gap is None:
+                gap, reason = at, wrong
+        for s, e, what in found:
+            if isinstance(what, str):
+                yield "gap", at, stop, f"{what} (bytes {s} to {e} of the member)"
+            else:
+                yield "record", at, stop, what
+        at = stop
     if gap is not None:
         yield "gap", gap, len(data), reason
 

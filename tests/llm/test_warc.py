@@ -90,3 +90,55 @@ def test_large_member_ends_with_zero():
     made = warc.member(data)
     assert made[-1] == 0 and gzip.decompress(made) == data
     assert warc.inflate(made, 0)[0] == data
+
+
+def test_good_records_around_a_bad_one_in_a_member():
+    made = records(5)
+    bad = made[1].replace(b"page 1 ", b"page ! ", 1)
+    data = warc.member(made[0] + bad + made[2]) + warc.member(made[3])
+    out = list(warc.salvage(data))
+    assert [o[3][0]["warc-record-id"] for o in out if o[0] == "record"] == [b"<urn:page:0>", b"<urn:page:2>", b"<urn:page:3>"]
+    gaps = [o for o in out if o[0] == "gap"]
+    assert len(gaps) == 1 and gaps[0][3] == f"payload digest is wrong (bytes {len(made[0])} to {len(made[0]) + len(bad)} of the member)"
+    assert gaps[0][1:3] == (0, len(warc.member(made[0] + bad + made[2])))
+
+
+def test_a_cut_member_gives_its_first_records():
+    rng = random.Random(5)
+    made = []
+    for i in range(40):
+        body = rng.randbytes(3000)
+        made.append(warc.record(i, None, body, hashlib.sha256(body).hexdigest(), None))
+    whole = gzip.compress(b"".join(made))
+    for cut in (len(whole) - 6, len(whole) // 2, 20):
+        out = list(warc.salvage(whole[:cut]))
+        found = [o[3][0]["warc-record-id"] for o in out if o[0] == "record"]
+        assert found == [f"<urn:page:{i}>".encode() for i in range(len(found))]
+        assert len(found) >= 40 * cut // len(whole) - 2 and out[-1] == ("gap", 0, cut, "member is damaged")
+    broken = bytearray(whole)
+    broken[len(whole) // 2] ^= 0xFF
+    found = [o for o in warc.salvage(bytes(broken) + warc.member(made[0])) if o[0] == "record"]
+    assert len(found) >= 19 and found[-1][3][0]["warc-record-id"] == b"<urn:page:0>"
+
+
+def test_gaps_come_back_from_damaged_files(spark):
+    df = spark.createDataFrame([(i, "u", f"page {i} " * 60) for i in range(12)], "page_id bigint, url string, html string").coalesce(1)
+    path = warc.new_folder(spark)
+    warc.write(df, path)
+    file = glob.glob(path.removeprefix("file://") + "/part-*")[0]
+    data = bytearray(open(file, "rb").read())
+    data[len(data) // 2] ^= 0xFF
+    os.remove(file)
+    for crc in glob.glob(os.path.dirname(file) + "/.*.crc"):
+        os.remove(crc)
+    with open(file, "wb") as f:
+        f.write(data)
+    found = warc.read(spark, path).collect()
+    assert sum(r.kind == "record" for r in found) == 11 and [r.reason for r in found if r.kind == "gap"] == ["member is damaged"]
+
+
+def test_empty_and_clashing_tables(spark):
+    df = spark.createDataFrame([(1, "u", "<p>", "d", 1, "x")], "page_id bigint, url string, html string, digest string, first int, payload string")
+    path = warc.new_folder(spark)
+    warc.write(df, path)
+    assert [r.payload_bytes for r in warc.read(spark, path).collect()] == [3]
