@@ -4,8 +4,9 @@ Terms are words and word beginnings (3 to 6 characters, which catch inflected fo
 chosen on labelled rows by a two-proportion test; every term that passes is kept.  Examples are stored as posting lists in
 blocks; each term keeps its largest weight in each block, so a query's dot product with a
 block's maxima bounds every example in it.  Frequent terms are scored for many queries at
-once and make the bounds tighter; blocks whose bound
-is under the k-th best score are skipped, which leaves the k nearest exact.
+once and make the bounds tighter; the postings of blocks whose bound is under the k-th best
+score are not read, which leaves the k nearest exact.  Document frequencies are counted over
+all texts.
 
 The neighbours vote, weighted by similarity and by how many labelled rows each example
 stands for; isotonic regression on leave-one-out votes turns the vote into a probability.
@@ -135,15 +136,16 @@ class Index:
     """Block-max inverted index of unit vectors; exact k nearest by cosine.
 
     Posting lists of frequent terms are rows of a dense matrix (at most ``DENSE`` cells), so
-    that many queries share one product; those of other terms are lists.  A block's bound
-    is its best dense score plus the query's product with its maxima of the other terms."""
+    that many queries share one product; those of other terms are lists cut by block.  A
+    block's bound is its best dense score plus the query's product with its maxima of the
+    other terms."""
 
-    def __init__(self, vectors: list[dict[int, int]], n_terms: int, block: int = BLOCK):
+    def __init__(self, vectors: list[dict[int, int]], n_terms: int, block: int = BLOCK, frequencies: tuple[int, np.ndarray] | None = None):
+        """``frequencies``: the number of texts, and how many have each term; else the vectors' own."""
         self.n, self.n_terms, self.block = len(vectors), n_terms, block
-        df = np.zeros(n_terms)
-        for v in vectors:
-            df[list(v)] += 1
-        self.idf = np.log((1 + self.n) / (1 + df)) + 1
+        if frequencies is None:
+            frequencies = self.n, np.bincount([t for v in vectors for t in v], minlength=n_terms)
+        self.idf = np.log((1 + frequencies[0]) / (1 + frequencies[1])) + 1
         weighed = [self.weigh(v) for v in vectors]
         self.ends = np.cumsum([0, *(len(t) for t, _ in weighed)])
         self.terms = np.concatenate([np.zeros(0, np.int32), *(t.astype(np.int32) for t, _ in weighed)])
@@ -151,7 +153,8 @@ class Index:
         self._lay()
 
     def _lay(self):
-        """The posting lists, from the vectors."""
+        """The posting lists, from the vectors; ``read`` counts the postings read since."""
+        self.read = 0
         df = np.bincount(self.terms, minlength=self.n_terms)
         frequent = np.argsort(-df, kind="stable")[: DENSE // max(1, self.n)]
         frequent = frequent[df[frequent] * SPARSE > self.n]
@@ -163,12 +166,16 @@ class Index:
         self.dense[rows[rows >= 0], examples[rows >= 0]] = self.weights[rows >= 0]
         rare = np.flatnonzero(rows < 0)
         rare = rare[np.argsort(self.terms[rare], kind="stable")]
-        cuts = np.searchsorted(self.terms[rare], np.arange(1, self.n_terms))
-        self.ids = np.split(examples[rare], cuts)
-        self.posted = np.split(self.weights[rare], cuts)
+        self.ids, self.posted = examples[rare], self.weights[rare]
+        # postings of a term lie by example, so those of one block are together: an entry
+        # (term, block) has their place, number and largest weight
+        term, home = self.terms[rare].astype(np.int64), self.ids // self.block
+        edge = np.flatnonzero(np.r_[True, (term[1:] != term[:-1]) | (home[1:] != home[:-1])]) if len(rare) else np.zeros(0, np.int64)
+        self.entry_at, self.entry_n = edge, np.diff(np.r_[edge, len(rare)])
+        self.entry_block = home[edge]
+        self.entry_most = np.maximum.reduceat(self.posted, edge) if len(edge) else np.zeros(0)
+        self.entries = np.searchsorted(term[edge], np.arange(self.n_terms + 1))
         self.starts = np.arange(0, self.n, self.block)
-        self.most = np.zeros((self.n_terms, len(self.starts)))
-        np.maximum.at(self.most, (self.terms[rare], examples[rare] // self.block), self.weights[rare])
 
     def __getstate__(self):
         return {k: getattr(self, k) for k in ("n", "n_terms", "block", "idf", "ends", "terms", "weights")}
@@ -211,15 +218,22 @@ class Index:
         least = np.partition(scores, -k)[-k] if k < self.n else 0.0
         rare = self.row[terms] < 0
         if rare.any():
-            others, p = terms[rare].tolist(), q[rare]
-            alive = np.maximum.reduceat(scores, self.starts) + p @ self.most[others] >= least - 1e-9
-            ids = np.concatenate([self.ids[t] for t in others])
-            products = np.concatenate([w * self.posted[t] for t, w in zip(others, p.tolist())])
-            if not alive.all():
-                kept = alive[ids // self.block]
-                ids, products = ids[kept], products[kept]
-            scores += np.bincount(ids, products, minlength=self.n)
-            least = np.partition(scores, -k)[-k] if k < self.n else 0.0
+            entries, n = _ranges(self.entries[terms[rare]], self.entries[terms[rare] + 1])
+            weight = np.repeat(q[rare], n)
+            bound = np.bincount(self.entry_block[entries], weight * self.entry_most[entries], minlength=len(self.starts))
+            bound += np.maximum.reduceat(scores, self.starts)
+            # the most promising blocks first: they raise what the others must reach
+            order = np.argsort(-bound, kind="stable")
+            some = 1 + 2 * k // self.block
+            for blocks in (order[:some], order[some:]):
+                wanted = np.zeros(len(bound), bool)
+                wanted[blocks] = bound[blocks] >= least - 1e-9
+                # postings of other blocks are not read
+                kept = wanted[self.entry_block[entries]]
+                at, n = _ranges(self.entry_at[entries[kept]], self.entry_at[entries[kept]] + self.entry_n[entries[kept]])
+                self.read += len(at)
+                scores += np.bincount(self.ids[at], np.repeat(weight[kept], n) * self.posted[at], minlength=self.n)
+                least = np.partition(scores, -k)[-k] if k < self.n else 0.0
         near = np.flatnonzero(scores >= max(least - 1e-9, 1e-12))
         # summed again in one order, so that equal texts and ties don't hang on the product's shape
         query = np.zeros(self.n_terms)
@@ -230,6 +244,12 @@ class Index:
         return near[order], similarity[order]
 
 
+def _ranges(first: np.ndarray, end: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """All numbers from each first up to its end, one after the other, and how many each has."""
+    n = end - first
+    return np.repeat(first - np.cumsum(n) + n, n) + np.arange(int(n.sum())), n
+
+
 def isotonic(x: np.ndarray, y: np.ndarray, w: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """Rising step function by pooling adjacent violators: (inputs, values)."""
     order = np.argsort(x, kind="stable")
@@ -247,14 +267,14 @@ def isotonic(x: np.ndarray, y: np.ndarray, w: np.ndarray) -> tuple[np.ndarray, n
 
 
 class Model:
-    def __init__(self, terms: list[str], examples: list[tuple[str, int, dict[int, int]]], weights: dict[int, float], k: int = NEIGHBOURS):
+    def __init__(self, terms: list[str], examples: list[tuple[str, int, dict[int, int]]], weights: dict[int, float], k: int = NEIGHBOURS, frequencies: tuple[int, np.ndarray] | None = None):
         # examples that share their strongest term stand together: blocks with low maxima elsewhere
         examples = sorted(examples, key=lambda e: (sorted(e[2], key=lambda t: (-e[2][t], t))[:3], str(e[0])))
         self.terms, self.k = terms, k
         self.ids = [e[0] for e in examples]
         self.labels = np.array([e[1] for e in examples], float)
         self.stands = np.array([weights[e[1]] for e in examples], float)
-        self.index = Index([e[2] for e in examples], len(terms))
+        self.index = Index([e[2] for e in examples], len(terms), frequencies=frequencies)
         bare = np.array([not e[2] for e in examples], bool)
         every = float(self.stands.sum())
         self.prior = float((self.stands * self.labels).sum() / every) if every else 0.0
@@ -306,7 +326,33 @@ def fit(
     marked = append_columns(sample, ["text"], lambda: _counts(vocabulary), StructType([StructField("t", ArrayType(LongType())), StructField("c", ArrayType(LongType()))]), keep=["id", "label"])
     examples = [(str(r.id), r.label, dict(zip(r.t, r.c))) for r in marked.collect()]
     have = Counter(e[1] for e in examples)
-    return Model(vocabulary, examples, {y: n[y] / have[y] for y in have}, k)
+    return Model(vocabulary, examples, {y: n[y] / have[y] for y in have}, k, document_frequencies(rows.select("text"), vocabulary))
+
+
+def document_frequencies(docs: DataFrame, vocabulary: list[str]) -> tuple[int, np.ndarray]:
+    """The number of texts of ``docs`` (text), and how many have each term: one pass over all,
+    with one row a task and term of the vocabulary."""
+    import pyarrow as pa
+
+    schema = StructType([StructField("term", LongType()), StructField("n", LongType())])
+    size = len(vocabulary)
+
+    def count(batches):
+        vectors, found, n = Vectors(vocabulary), np.zeros(size + 1, np.int64), 0
+        for b in batches:
+            for text in b.column(0).cast(pa.binary()):
+                found[list(vectors(text.as_py()))] += 1
+                n += 1
+        # the last place has the number of texts
+        found[size] = n
+        terms = np.flatnonzero(found)
+        yield pa.RecordBatch.from_arrays([pa.array(terms), pa.array(found[terms])], names=["term", "n"])
+
+    sums = docs.mapInArrow(count, schema).groupBy("term").agg(F.sum("n").alias("n")).collect()
+    every = np.zeros(size + 1, np.int64)
+    for r in sums:
+        every[r.term] = r.n
+    return int(every[size]), every[:size]
 
 
 def _counts(vocabulary):
