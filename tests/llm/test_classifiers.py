@@ -107,3 +107,120 @@ def test_held_out_accuracy(spark):
     scored = toxicity.classify(docs, labels, keep=["doc_id"]).join(labels, "doc_id").where(toxicity.held_out(langid.F.col("doc_id"))).collect()
     clean = [r for r in scored if r.toxic == 0]
     assert len(scored) > 40 and np.mean([r.predicted == 0 for r in clean]) > 0.97
+
+
+def test_pruned_blocks_are_not_read(monkeypatch):
+    rng = random.Random(8)
+    monkeypatch.setattr(toxicity, "DENSE", 0)
+    vectors = [{rng.randrange(i // 100 * 12, i // 100 * 12 + 14): rng.randint(1, 3) for _ in range(6)} for i in range(2000)]
+    index = toxicity.Index(vectors, 300, block=25)
+    every = {t: sum(t in v for v in vectors) for t in range(300)}
+    few = sum(sum(every[t] for t in v) for v in vectors[::10])
+    found = index.nearest_of(vectors[::10], 3)
+    assert 0 < index.read < few
+    for v, (near, similarity) in zip(vectors[::10], found):
+        t, w = index.weigh(v)
+        full = [sum(w[list(t).index(x)] * y for x, y in zip(*index.weigh(u)) if x in t) for u in vectors]
+        assert np.allclose(similarity, sorted(full, reverse=True)[:3])
+
+
+def test_score_equals_brute_force(spark):
+    rng = random.Random(9)
+    word = lambda: "".join(rng.choice("abcd") for _ in range(4))
+    rows = [(i, " ".join([word() for _ in range(12)] + [f"zq{rng.choice('xyz')}x"] * (i % 3 == 0))) for i in range(300)]
+    docs = spark.createDataFrame(rows, "doc_id int, text string")
+    labels = spark.createDataFrame([(i, int(i % 3 == 0)) for i in range(240)], "doc_id int, toxic int")
+    model = toxicity.fit(docs, labels, train=~toxicity.held_out(F.col("id")))
+    got = {r.doc_id: r for r in toxicity.score(docs, model).collect()}
+    # all in plain Python: counts, frequencies over all texts, cosines, votes, isotonic curve
+    terms = {t: i for i, t in enumerate(model.terms)}
+    def counted(text):
+        out = {}
+        for w in text.split():
+            for t in [w, *("^" + w[:n] for n in (3, 4, 5, 6) if len(w) >= n)]:
+                if t in terms:
+                    out[t] = out.get(t, 0) + 1
+        return out
+    counts = {i: counted(t) for i, t in rows}
+    df = {t: sum(t in c for c in counts.values()) for t in terms}
+    def unit(c):
+        v = {t: (1 + np.log(n)) * (np.log((1 + len(rows)) / (1 + df[t])) + 1) for t, n in c.items()}
+        size = np.sqrt(sum(x * x for x in v.values()))
+        return {t: x / size for t, x in v.items()}
+    unit_of = {i: unit(c) for i, c in counts.items()}
+    train = [i for i in range(240) if zlib.crc32(str(i).encode()) % 5]
+    place = {int(x): n for n, x in enumerate(model.ids)}
+    assert set(place) == set(train)
+    def vote(v, but=None):
+        near = [(sum(x * unit_of[j].get(t, 0) for t, x in v.items()), place[j], j) for j in train if j != but]
+        near = sorted((x for x in near if x[0] > 1e-12), key=lambda x: (-round(x[0], 9), x[1]))[: model.k]
+        if not near:
+            return None
+        share = sum(i % 3 == 0 for i in train) / len(train)
+        w = [s * s for s, _, _ in near]
+        return (sum(x for x, (_, _, j) in zip(w, near) if j % 3 == 0) + 0.05 * share) / (sum(w) + 0.05)
+    for i, _ in rows[::7]:
+        raw = vote(unit_of[i])
+        want = model.bare if raw is None else np.interp(raw, *model.curve)
+        assert abs(got[i].score - want) < 1e-6, i
+    raw = {i: vote(unit_of[i], i) for i in train}
+    known = [i for i in train if raw[i] is not None]
+    curve = toxicity.isotonic(np.array([raw[i] for i in known]), np.array([float(i % 3 == 0) for i in known]), np.ones(len(known)))
+    assert np.allclose(np.interp([0.1, 0.4, 0.8], *curve), np.interp([0.1, 0.4, 0.8], *model.curve), atol=1e-3)
+
+
+def test_document_frequencies_cover_all_texts(spark):
+    docs = spark.createDataFrame([("a b abc",), ("b",), (None,), ("abcd abcd",)], "text string").repartition(3)
+    n, found = toxicity.document_frequencies(docs, ["a", "b", "^abc", "none"])
+    assert (n, found.tolist()) == (4, [1, 2, 2, 0])
+
+
+def plain_language(model, text):
+    """Hashed trigrams, margins and votes of a text, one number at a time."""
+    import regex
+
+    if not text or not regex.search(r"\p{L}", text):
+        return "und"
+    b = (" " + " ".join("".join(c if len(c.encode()) > 1 or "a" <= c <= "z" else " " for c in text.lower()).split()) + " ").encode()
+    counts, m32 = {}, (1 << 32) - 1
+    for x, y, z in zip(b, b[1:], b[2:]):
+        h = (x * 0x9E3779B1 + y * 0x85EBCA6B + z * 0xC2B2AE35) & m32
+        h = ((h ^ (h >> 15)) * 0x2C1B3C6D & m32) >> 17
+        counts[h] = counts.get(h, 0) + 1
+    size = sum(counts.values()) ** 0.5
+    margin = lambda i: sum(n**0.5 / size * float(model.weights[h, i]) for h, n in counts.items()) + float(model.weights[-1, i])
+    family = max(range(len(model.families)), key=margin) if len(model.families) > 1 else 0
+    codes = model.members[model.families[family]]
+    wins = {c: 0 for c in codes}
+    sums = {c: 0.0 for c in codes}
+    for a, b, i in model.pairs[model.families[family]]:
+        m = margin(i)
+        wins[a if m > 0 else b] += 1
+        sums[a] += m
+        sums[b] -= m
+    return min(codes, key=lambda c: (-wins[c], -sums[c], c))
+
+
+@pytest.mark.skipif(not os.path.isdir(SF), reason="needs the tables")
+def test_languages_equal_brute_force(spark):
+    docs = spark.read.parquet(f"{SF}/documents.parquet").select("doc_id", "text", "lang")
+    model = langid.fit(docs, train=~langid.held_out(F.col("doc_id")))
+    got = langid.predict(docs, model).select("text", "lang_pred").collect()
+    assert len(got) > 500 and all(plain_language(model, r.text) == r.lang_pred for r in got[::3])
+
+
+def test_language_empty_and_clashing_tables(spark):
+    df = spark.createDataFrame([(1, "the house", "en", "x", "y", "z")], "doc_id int, text string, lang string, Family string, lang_pred string, score string")
+    model = langid.fit(df)
+    assert langid.predict(df, model).first().lang_pred == "en"
+    assert langid.predict(df.limit(0), model).count() == 0 and langid.fit(df, per_language=1).langs in (["en"], [])
+
+
+def test_language_sample_is_bounded_in_all(spark, monkeypatch):
+    monkeypatch.setattr(langid, "TOTAL", 40)
+    df = spark.createDataFrame([(i, f"w{i} text", f"l{i % 20}") for i in range(2000)], "doc_id int, text string, lang string")
+    rows = []
+    own = langid.Model.__init__
+    monkeypatch.setattr(langid.Model, "__init__", lambda self, r, langs: rows.append(len(langs)) or own(self, [], []))
+    langid.fit(df)
+    assert rows[0] <= 80
