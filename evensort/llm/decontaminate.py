@@ -200,10 +200,10 @@ def find_by_join(
     docs: DataFrame, benchmark: DataFrame, id_col: str = "doc_id", text_col: str = "text", item_id_col: str = "item_id",
     item_text_col: str = "text", window: int = WINDOW,
 ) -> DataFrame:
-    """(id, item_id) pairs by an equi-join of windows, for benchmarks too large to broadcast.
+    """Distinct (id, item_id) pairs by an equi-join of window texts; no positions or counts.
 
-    Native: folded words, window texts hashed with xxhash64, joined on hash and text, so no
-    pair is lost or invented.  Items shorter than a window need windows of their own length.
+    Native: folded words, joined on the window's length and text, so no pair is lost or
+    invented.  Items shorter than a window need windows of their own length.
     """
     fold = lambda c: F.filter(
         F.split(F.translate(column(c), "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"), r"[\x00-\x2F\x3A-\x60\x7B-\x7F]+"),
