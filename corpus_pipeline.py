@@ -15,7 +15,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from evensort.llm import decontaminate, mixing, secret_scan, simhash, toxicity
-from evensort.llm._arrow import column, shared_folder
+from evensort.llm._arrow import column, remove_folder, shared_folder
 
 
 def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
@@ -78,11 +78,17 @@ ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """All stages over documents, each written to and read from the shared folder."""
-    docs = table(spark, sf_dir, "documents")
+    """All stages over documents, each written to and read from the shared folder.
+
+    A stage's table is deleted when the next one's is written; the last one's stays, as the
+    rows returned are read from it."""
+    docs, before = table(spark, sf_dir, "documents"), None
     folder = f"{shared_folder(spark)}/pipeline-{uuid.uuid4().hex}"
     for name, stage in STAGES:
         path = f"{folder}/{name}"
         stage(spark, docs, sf_dir).write.parquet(path)
         docs = spark.read.parquet(path)
+        if before is not None:
+            remove_folder(spark, before)
+        before = path
     return docs
