@@ -119,6 +119,9 @@ def reversed_key(c: Column, kind: T.DataType) -> Column:
         return -ordered_long(c, kind)
     if isinstance(kind, (T.FloatType, T.DoubleType)):
         return F.struct((~F.isnan(c)).alias("number"), F.when(F.isnan(c), F.lit(0.0)).otherwise(-c).alias("v"))
+    if isinstance(kind, T.IntegralType):
+        # the smallest number has no negative
+        return F.bitwise_not(c)
     return -c
 
 

@@ -43,7 +43,9 @@ def sort_blocks(blocked: DataFrame, kernel: str = "spark") -> DataFrame:
 
     def run(part: pd.DataFrame) -> pd.DataFrame:
         part = part.sort_values("pos", kind="stable")
-        order = kernels.permutation(kernel, part["code"].to_numpy(np.int64))
+        # no code: a null key, which is the smallest
+        codes = part["code"].fillna(-(1 << 63)) if part["code"].hasnans else part["code"]
+        order = kernels.permutation(kernel, codes.to_numpy(np.int64))
         out = part.iloc[order][names].copy()
         out["idx"] = np.arange(len(out), dtype=np.int64)
         return out

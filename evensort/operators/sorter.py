@@ -67,8 +67,10 @@ def parallel_sort(
         return SortedFrame(_ranked(laid, offsets(laid, n_parts)), n, n_parts, method)
     blocked = assign_blocks(seq, n_blocks, n)
     cuts: list = []
-    # selection reads the blocks unsorted or sorts them itself: a kernel runs once, on the rows it moves
-    ordered = blocked if block_sort == "spark" else sort_blocks(blocked, block_sort).drop("idx")
+    # the defaults sort in the JVM, which spills: a partition's rows once, after the shuffle.  A named
+    # kernel or merger goes the four steps: idx, a row's place in its sorted block, travels along
+    stepwise = block_sort != "spark" or merge != "resort"
+    ordered = sort_blocks(blocked, block_sort) if stepwise else blocked
     if method == "regular":
         cuts = pivots.regular(blocked, n_parts, work=work)
         routed = route_by_pivots(ordered, cuts)
@@ -81,13 +83,19 @@ def parallel_sort(
             cuts = pivots.stable_snap(blocked, cuts)
         routed = route_by_exact_cuts(ordered, cuts, places=last_places(blocked, cuts))
     placed = place(routed, n_parts)
-    if merge != "resort":
+    if stepwise:
         placed = merge_partitions(placed, merge)
     if method == "exact":
         # the cuts' ranks are the offsets, known before the shuffle
         start = F.expr(f"(part * {n} + {n_parts - 1}) div {n_parts}")
-        return SortedFrame(_local(placed, merge, start), n, n_parts, method, cuts, work)
-    return SortedFrame(_ranked(placed, offsets(routed, n_parts), merge), n, n_parts, method, cuts, work)
+        return SortedFrame(_local(placed, stepwise, start), n, n_parts, method, cuts, work)
+    # sizes don't hang on the order inside blocks
+    sizes = offsets(routed if not stepwise else _reroute(blocked, method, cuts), n_parts)
+    return SortedFrame(_ranked(placed, sizes, stepwise), n, n_parts, method, cuts, work)
+
+
+def _reroute(blocked: DataFrame, method: str, cuts: list) -> DataFrame:
+    return route_by_exact_cuts(blocked, cuts) if method == "stable_snap" else route_by_pivots(blocked, cuts)
 
 
 def place(routed: DataFrame, n_parts: int) -> DataFrame:
@@ -96,41 +104,43 @@ def place(routed: DataFrame, n_parts: int) -> DataFrame:
     return routed.withColumn("__id", F.col("part").cast("int")).repartitionById(n_parts, F.col("__id"))
 
 
-def _local(placed: DataFrame, merge: str, start) -> DataFrame:
+def _local(placed: DataFrame, merged: bool, start) -> DataFrame:
     group = "__id" if "__id" in placed.columns else "part"
-    at = F.col("__at") if merge != "resort" else F.row_number().over(Window.partitionBy(group).orderBy("key", "pos")) - 1
+    at = F.col("__at") if merged else F.row_number().over(Window.partitionBy(group).orderBy("key", "pos")) - 1
     out = placed.withColumn("rnk", (at + start).cast("bigint"))
     return out.drop("__at", "__id", "block")
 
 
-def _ranked(placed: DataFrame, starts: DataFrame, merge: str = "resort") -> DataFrame:
+def _ranked(placed: DataFrame, starts: DataFrame, merged: bool = False) -> DataFrame:
     s = starts.select(F.col("part").alias("__p"), F.col("part_offset").alias("__start"))
     # one row a partition
     joined = placed.join(F.broadcast(s), F.col("part") == F.col("__p")).drop("__p")
-    return _local(joined, merge, F.col("__start")).drop("__start")
+    return _local(joined, merged, F.col("__start")).drop("__start")
 
 
 def merge_partitions(placed: DataFrame, merger: str) -> DataFrame:
     """``placed`` with ``__at``, each row's place in its partition, by a merger of block runs.
 
-    A shuffle does not keep the order inside blocks, so runs are checked and sorted first if
-    they must be.  A partition has to fit a worker; the default ``resort`` spills instead."""
+    A shuffle does not keep the order inside blocks; ``idx``, the row's place in its sorted
+    block, puts every run back.  The merger gets the runs as the block sorter left them: one
+    that is not in order fails the sort.  A partition has to fit a worker; the default
+    (block sort ``spark``, merge ``resort``) spills instead."""
+    if merger not in kernels.MERGERS:
+        raise ValueError(f"unknown merger {merger}")
     coded = placed.withColumn("code", ordered_long(F.col("key"), placed.schema["key"].dataType))
-    schema = placed.withColumn("__at", F.lit(0).cast("bigint")).schema
-    names = placed.columns
+    names = [c for c in placed.columns if c != "idx"]
+    schema = placed.select(*names).withColumn("__at", F.lit(0).cast("bigint")).schema
 
     def run(part: pd.DataFrame) -> pd.DataFrame:
-        part = part.sort_values(["block", "pos"], kind="stable").reset_index(drop=True)
-        codes = part["code"].to_numpy(np.int64)
-        runs = []
-        for places in part.groupby("block", sort=True).indices.values():
-            places = np.sort(places)
-            own = codes[places]
-            if (own[1:] < own[:-1]).any():
-                places = places[np.argsort(own, kind="stable")]
-            runs.append(places)
-        order = kernels.MERGERS[merger](codes, runs)
-        out = part.iloc[order][names].copy()
+        part = part.sort_values(["block", "idx"], kind="stable").reset_index(drop=True)
+        # no code: a null key, which is the smallest
+        codes = part["code"].fillna(-(1 << 63)).to_numpy(np.int64) if part["code"].hasnans else part["code"].to_numpy(np.int64)
+        block = part["block"].to_numpy(np.int64)
+        edges = np.flatnonzero(np.r_[True, block[1:] != block[:-1], True])
+        if ((codes[1:] < codes[:-1]) & (block[1:] == block[:-1])).any():
+            raise ValueError("a block's run is not sorted")
+        runs = [np.arange(a, b) for a, b in zip(edges, edges[1:])]
+        out = part.iloc[kernels.MERGERS[merger](codes, runs)][names].copy()
         out["__at"] = np.arange(len(out), dtype=np.int64)
         return out
 
@@ -143,46 +153,35 @@ def argsort(seq: DataFrame, **how) -> DataFrame:
 
 
 def two_level(seq: DataFrame, n_parts: int, n_blocks: int = 8, n: int | None = None) -> SortedFrame:
-    """Exact splitting in two levels of about sqrt(n_P) cuts: super-partitions first, then
-    cuts inside each.  Ranks and partitions equal the one-level result."""
+    """Exact splitting in two levels of about sqrt(n_P) cuts: super-partitions first, then the
+    cuts inside all of them in one selection.  Ranks and partitions equal the one-level result."""
     n = seq.count() if n is None else n
     outer = max(1, int(n_parts**0.5))
     while n_parts % outer:
         outer -= 1
-    inner = n_parts // outer
     blocked = assign_blocks(seq, n_blocks, n)
-    coarse = route_by_exact_cuts(blocked, pivots.exact(blocked, outer, n=n)).withColumnRenamed("part", "super").persist()
-    pieces = None
-    bounds = [-(-k * n // outer) for k in range(outer + 1)]
-    for s in range(outer):
-        own = coarse.where(F.col("super") == s).drop("super")
-        size = bounds[s + 1] - bounds[s]
-        # the global targets that fall inside this super-partition, as local ranks
-        ranks = [r for k in range(s * inner + 1, (s + 1) * inner) if (r := -(-k * n // n_parts) - bounds[s]) <= size]
-        cuts = pivots.exact(own, inner, n=size, ranks=ranks) if size else []
-        part = route_by_exact_cuts(own, cuts).withColumn("part", F.col("part") + s * inner)
-        pieces = part if pieces is None else pieces.unionByName(part)
-    placed = place(pieces, n_parts)
+    coarse = pivots.exact(blocked, outer, n=n)
+    ranks = pivots.target_ranks(n, n_parts)
+    known = {c.rank: c for c in coarse}
+    fine = {c.rank: c for c in pivots.exact(blocked, n_parts, n=n, ranks=sorted(set(ranks) - known.keys()))}
+    cuts = [(known.get(r) or fine[r]) for r in ranks] if n else []
+    placed = place(route_by_exact_cuts(blocked, cuts), n_parts)
     start = F.expr(f"(part * {n} + {n_parts - 1}) div {n_parts}")
-    return SortedFrame(_local(placed, "resort", start), n, n_parts, "exact")
+    return SortedFrame(_local(placed, False, start), n, n_parts, "exact", cuts)
 
 
 def parallel_quick(seq: DataFrame, depth: int = 3, n_blocks: int = 8, n: int | None = None) -> SortedFrame:
-    """Parallel quicksort as repeated exact two-way splits: 2^depth partitions."""
+    """Parallel quicksort as repeated exact two-way splits: 2^depth partitions.
+
+    All pieces of a level are split by one selection, so there are ``depth`` of them."""
     n = seq.count() if n is None else n
     blocked = assign_blocks(seq, n_blocks, n)
-    level = [(blocked, n, 0)]
-    for d in range(depth):
-        following = []
-        for df, size, first in level:
-            routed = route_by_exact_cuts(df, pivots.exact(df, 2, n=size) if size > 1 else []).persist()
-            half = -(-size // 2) if size > 1 else size
-            following.append((routed.where("part = 0").drop("part"), half, first))
-            following.append((routed.where("part = 1").drop("part"), size - half, first + half))
-        level = following
-    out = None
-    for i, (df, _, first) in enumerate(level):
-        own = df.withColumns({"part": F.lit(i).cast("bigint"), "first": F.lit(first).cast("bigint")})
-        out = own if out is None else out.unionByName(own)
-    placed = place(out, 1 << depth)
-    return SortedFrame(_local(placed, "resort", F.col("first")).drop("first"), n, 1 << depth, "exact")
+    bounds, cuts = [0, n], []
+    for _ in range(depth):
+        halves = [a + -(-(b - a) // 2) for a, b in zip(bounds, bounds[1:])]
+        cuts += pivots.exact(blocked, 2, n=n, ranks=[h for h, a, b in zip(halves, bounds, bounds[1:]) if a < h < b])
+        bounds = sorted(bounds + halves)
+    cuts = sorted({c.rank: c for c in cuts}.values(), key=lambda c: c.rank)
+    placed = place(route_by_exact_cuts(blocked, cuts), 1 << depth)
+    starts = blocked.sparkSession.createDataFrame([(i, r) for i, r in enumerate([0, *(c.rank for c in cuts)])], "part bigint, part_offset bigint")
+    return SortedFrame(_ranked(placed, starts), n, 1 << depth, "exact", cuts)

@@ -238,3 +238,108 @@ def test_classifier_equals_binary_search():
     for m in (0, 1, 2, 5, 15, 16):
         splitters = np.sort(rng.integers(0, 100, m))
         assert (kernels.classify(keys, splitters) == np.searchsorted(splitters, keys, side="left")).all()
+
+
+# ---- the four steps ----
+
+
+@pytest.mark.parametrize("block_sort", ["plain_quick", "intro", "branchless", "three_way", "merge_block", "radix", "spark"])
+@pytest.mark.parametrize("merge", ["tournament", "pairs", "binary_heap"])
+def test_block_sort_and_merge_make_the_sort(spark, block_sort, merge):
+    rng = random.Random(11)
+    keys = [rng.randrange(40) for _ in range(500)] + [None, None]
+    own = frame(spark, keys)
+    order = sorted(range(len(keys)), key=lambda i: (keys[i] is not None, keys[i] or 0, i))
+    for method in ("exact", "regular"):
+        out = sorter.parallel_sort(own, method, 5, 4, block_sort, merge).df
+        assert set(out.columns) == {"pos", "key", "part", "rnk"}
+        assert {r.pos: r.rnk for r in out.collect()} == {p: i for i, p in enumerate(order)}
+
+
+def test_a_broken_block_sorter_fails_the_sort(spark, monkeypatch):
+    own = frame(spark, [i * 7919 % 1000 for i in range(400)])
+    whole = blocks.sort_blocks
+
+    def broken(blocked, kernel="spark"):
+        return whole(blocked, kernel).withColumn("idx", 10**6 - F.col("idx"))
+
+    monkeypatch.setattr(sorter, "sort_blocks", broken)
+    for merge in ("tournament", "resort", "pairs"):
+        with pytest.raises(Exception, match="not sorted"):
+            sorter.parallel_sort(own, "exact", 4, 4, "intro", merge).df.collect()
+
+
+def test_order_of_equal_keys_alone_is_restored():
+    keys = np.array([3, 1, 2, 1])
+    assert kernels._restored(keys, np.array([3, 1, 2, 0])).tolist() == [1, 3, 2, 0]
+    assert kernels._restored(keys, np.array([0, 2, 3, 1])).tolist() == [0, 2, 1, 3]
+
+
+def test_bad_partitions_have_a_budget_a_path(monkeypatch):
+    rng = np.random.default_rng(6)
+    for n in (20_000, 100_000):
+        s = kernels.Stats()
+        kernels.three_way(rng.integers(0, 1 << 32, n), s)
+        assert s.fallbacks == 0 and s.comparisons < 2.6 * n * np.log2(n)
+    # a pivot that is always the smallest: the whole path goes bad, and stops at floor(log2 N)
+    monkeypatch.setattr(kernels, "_middle", lambda v, s: int(np.argmin(v)))
+    s, keys = kernels.Stats(), rng.permutation(4096)
+    assert (kernels.permutation("three_way", keys, s) == np.argsort(keys)).all()
+    assert (s.bad_partitions, s.fallbacks, s.depth) == (12, 1, 13)
+    s = kernels.Stats()
+    kernels.permutation("intro", keys, s)
+    assert s.fallbacks >= 1 and s.depth <= 25
+
+
+def naive_insertion(v):
+    v, compared, moved = list(v), 0, 0
+    for i in range(1, len(v)):
+        j, x = i, v[i]
+        while j:
+            compared += 1
+            if v[j - 1] <= x:
+                break
+            v[j], j, moved = v[j - 1], j - 1, moved + 1
+        v[j] = x
+    return compared, moved
+
+
+def test_counts_are_those_of_the_element_wise_forms():
+    rng = np.random.default_rng(7)
+    for _ in range(50):
+        v = rng.integers(0, 8, rng.integers(0, 16))
+        s = kernels.Stats()
+        kernels._insert_all(v.copy(), np.arange(len(v)), [(0, len(v))], s)
+        assert (s.comparisons, s.moves) == naive_insertion(v)
+    for _ in range(50):
+        a, b = (np.sort(rng.integers(0, 9, rng.integers(0, 12))) for _ in range(2))
+        s = kernels.Stats()
+        kernels._merge_two(np.r_[a, b], np.arange(len(a)), np.arange(len(a), len(a) + len(b)), s)
+        i = j = compared = 0
+        while i < len(a) and j < len(b):
+            compared += 1
+            i, j = (i + 1, j) if a[i] <= b[j] else (i, j + 1)
+        assert s.comparisons == compared
+
+
+def test_block_partitioning_exchanges_what_a_scan_finds():
+    rng = np.random.default_rng(8)
+    for n in (1, 200, 257, 1000, 5000):
+        for high in (3, 10**6):
+            v = rng.integers(0, high, n)
+            pivot = v[rng.integers(0, n)]
+            for part in (kernels._by_blocks, kernels._scan_from_both_ends):
+                s, own, at = kernels.Stats(), v.copy(), np.arange(n)
+                cut = part(own, at, pivot, s)
+                assert (own == v[at]).all() and (own[:cut] <= pivot).all() and (own[cut:] >= pivot).all()
+                assert n <= s.comparisons <= n + 2 * kernels.BLOCK + 2
+    # block partitioning has a branch a block, not an element
+    s = kernels.Stats()
+    kernels._by_blocks(rng.integers(0, 10**6, 100_000), np.arange(100_000), 500_000, s)
+    assert s.branches < 2 * 100_000 / kernels.BLOCK + 4
+
+
+def test_descending_smallest_long(spark):
+    rows = spark.createDataFrame([(0, -(2**63)), (1, 2**63 - 1), (2, None), (3, 0)], "id int, a bigint")
+    got = [r.id for r in rows.orderBy(sort_key(rows, [By("a", desc=True, nulls_last=True)])).collect()]
+    assert got == [1, 3, 0, 2]
