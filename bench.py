@@ -30,6 +30,7 @@ def session(cpus: int):
 #: The study's sorts and their parts, then consumers of sorted layouts.
 HEADLINE = (
     "sort_exact_uniform_int", "sort_exact_uniform_float", "sort_exact_almost_sorted", "sort_exact_dup3", "sort_exact_pair", "sort_exact_particle",
+    "sort_exact_branchless_tournament_uniform_int", "sort_exact_branchless_tournament_dup3",
     "sort_regular_uniform_int", "sort_regular_dup3", "sort_regular_pair", "sort_stable_snap_uniform_int", "sort_stable_snap_dup3",
     "sort_native_uniform_int", "sort_native_dup3", "sort_random_sample_uniform_int", "cuts_exact_histogram", "cuts_exact_sketch_refine",
     "cuts_exact_rank_search", "kernel_three_way_dup3", "kernel_branchless", "kernel_intro", "merge_tournament_pair", "merge_resort_pair",
@@ -47,10 +48,22 @@ def main() -> None:
     times = {}
     for name in HEADLINE:
         times[name] = round(bench.once(lambda name=name: every[name](spark, sf_dir)), 3)
+    runs, copies = int(os.environ.get("BENCH_RUNS", "3")), int(os.environ.get("BENCH_COPIES", "67"))
     claims = bench.claims(spark, sf_dir)
+    # the engine's own steps, and the study's block sorter and merger; about 10^7 rows beside
+    means = bench.fig_time(spark, sf_dir, cpus, ("exact", "regular", "stable_snap"), ("uniform_int", "dup3"), runs)
+    steps = bench.fig_time(spark, sf_dir, cpus, ("exact", "regular", "stable_snap"), ("uniform_int", "dup3"), runs, stepwise=True)
+    large = bench.fig_time(spark, sf_dir, cpus, ("exact", "regular", "stable_snap"), ("uniform_int", "dup3"), max(1, runs - 1), copies) if copies > 1 else {}
+    sorters = bench.fig_block_sorters(spark, sf_dir, cpus, ("intro", "three_way", "branchless"), ("uniform_int", "dup3"), max(1, runs - 1))
+    mergers = bench.fig_mergers(spark, sf_dir, cpus, ("tournament", "pairs", "binary_heap", "resort"), ("uniform_int", "almost_sorted"), max(1, runs - 1))
     out = {"metric": "total seconds of headline queries", "value": round(sum(times.values()), 3), "unit": "sec", "queries": times, "sf": os.path.basename(sf_dir.rstrip("/")).removeprefix("sf"), "cpus": cpus}
     out["merge_bound_dup3"] = claims
-    out["speed_exact_over_stable_snap"] = {s: round(times[f"sort_stable_snap_{s}"] / times[f"sort_exact_{s}"], 3) for s in ("uniform_int", "dup3")}
+    rounded = lambda d: {k: round(v, 3) for k, v in d.items()}
+    ratio = lambda d: {s: round(d[f"stable_snap/{s}"] / d[f"exact/{s}"], 3) for s in ("uniform_int", "dup3") if f"exact/{s}" in d}
+    out["mean_sec"], out["mean_sec_branchless_tournament"], out[f"mean_sec_times_{copies}"] = rounded(means), rounded(steps), rounded(large)
+    out["mean_sec_block_sorters"], out["mean_sec_mergers"] = rounded(sorters), rounded(mergers)
+    out["speed_exact_over_stable_snap"] = {"mean": ratio(means), "branchless_tournament": ratio(steps), f"times_{copies}": ratio(large)}
+    out["kernel_work"] = {k: {c: w[c] for c in ("comparisons", "moves", "branches", "fallbacks")} for k, w in bench.kernel_work().items()}
     print(json.dumps(out), flush=True)
     spark.stop()
 

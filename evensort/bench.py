@@ -14,6 +14,8 @@ from .operators import blocks, kernels, partition, pivots, sorter
 from .plans import measures
 from .sources import workloads
 
+#: Runs of a figure; the study has as many.
+RUNS = 20
 METHODS = ("exact", "regular", "stable_snap", "native")
 
 
@@ -24,8 +26,10 @@ def once(make) -> float:
     return time.perf_counter() - began
 
 
-def best(make, runs: int = 2) -> float:
-    return min(once(make) for _ in range(runs))
+def mean(make, runs: int = RUNS) -> float:
+    """Mean seconds of ``runs`` runs after one that warms up."""
+    once(make)
+    return sum(once(make) for _ in range(runs)) / runs
 
 
 def single(seq: DataFrame, method: str) -> float:
@@ -33,49 +37,49 @@ def single(seq: DataFrame, method: str) -> float:
     return once(lambda: sorter.parallel_sort(seq, method, 1, 1).df)
 
 
-def fig_time(spark: SparkSession, sf_dir: str, threads: int, methods=METHODS, sequences=workloads.SEQUENCES, runs: int = 2) -> dict[str, float]:
-    """Seconds of each method on each sequence with n_B = n_P = threads."""
+def _timed(spark: SparkSession, sf_dir: str, sequences, variants: dict[str, dict], threads: int, runs: int, copies: int) -> dict[str, float]:
+    """Mean seconds of each variant of the sort on each sequence with n_B = n_P = threads."""
     out = {}
     for s in sequences:
-        seq = workloads.sequence(s, spark, sf_dir).persist()
-        seq.count()
-        for m in methods:
-            out[f"{m}/{s}"] = best(lambda m=m, seq=seq: sorter.parallel_sort(seq, m, threads, threads).df, runs)
+        seq = workloads.sequence(s, spark, sf_dir)
+        seq = (seq if copies == 1 else workloads.amplify(seq.select("pos", "key"), copies)).persist()
+        n = seq.count()
+        for name, how in variants.items():
+            out[f"{name}/{s}"] = mean(lambda how=how, seq=seq, n=n: sorter.parallel_sort(seq, n_blocks=threads, n_parts=threads, n=n, **how).df, runs)
         seq.unpersist()
     return out
 
 
-def fig_efficiency(session, sf_dir: str, threads: list[int], methods=("exact", "regular", "stable_snap"), sequences=("uniform_int", "dup3")) -> dict[str, float]:
+def fig_time(spark: SparkSession, sf_dir: str, threads: int, methods=METHODS, sequences=workloads.SEQUENCES, runs: int = RUNS, copies: int = 1, stepwise: bool = False) -> dict[str, float]:
+    """Seconds of each method on each sequence.  ``stepwise``: the study's block sorter and
+    merger (branchless, tournament; the stable baseline sorts blocks by introsort); else the
+    engine's own, which spill."""
+    variants = {}
+    for m in methods:
+        steps = {"block_sort": "intro" if m == "stable_snap" else "branchless", "merge": "tournament"} if stepwise and m != "native" else {}
+        variants[m] = {"method": m, **steps}
+    return _timed(spark, sf_dir, sequences, variants, threads, runs, copies)
+
+
+def fig_efficiency(session, sf_dir: str, threads: list[int], methods=("exact", "regular", "stable_snap"), sequences=workloads.SEQUENCES, runs: int = RUNS) -> dict[str, float]:
     """Parallel efficiency T(1) / (t T(t)); ``session(t)`` must start a session on t cores."""
     times: dict[tuple, float] = {}
     for t in threads:
         spark = session(t)
-        for key, sec in fig_time(spark, sf_dir, t, methods, sequences).items():
+        for key, sec in fig_time(spark, sf_dir, t, methods, sequences, runs).items():
             times[key, t] = sec
         spark.stop()
     return {f"{key}/{t}": times[key, 1] / (t * sec) for (key, t), sec in times.items()}
 
 
-def fig_block_sorters(spark: SparkSession, sf_dir: str, threads: int, names=("intro", "three_way", "branchless", "spark"), sequences=("uniform_int", "almost_sorted", "dup3", "pair")) -> dict[str, float]:
-    out = {}
-    for s in sequences:
-        seq = blocks.assign_blocks(workloads.sequence(s, spark, sf_dir).select("pos", "key"), threads).persist()
-        seq.count()
-        for k in names:
-            out[f"{k}/{s}"] = best(lambda k=k, seq=seq: blocks.sort_blocks(seq, k))
-        seq.unpersist()
-    return out
+def fig_block_sorters(spark: SparkSession, sf_dir: str, threads: int, names=("intro", "three_way", "branchless", "spark"), sequences=workloads.SEQUENCES, runs: int = RUNS, copies: int = 1) -> dict[str, float]:
+    """Seconds of the exact sort with each block sorter under the tournament."""
+    return _timed(spark, sf_dir, sequences, {k: {"block_sort": k, "merge": "tournament"} for k in names}, threads, runs, copies)
 
 
-def fig_mergers(spark: SparkSession, sf_dir: str, threads: int, names=("tournament", "pairs", "binary_heap", "resort"), sequences=("uniform_int", "almost_sorted", "dup3", "pair")) -> dict[str, float]:
-    out = {}
-    for s in sequences:
-        seq = workloads.sequence(s, spark, sf_dir).select("pos", "key").persist()
-        seq.count()
-        for m in names:
-            out[f"{m}/{s}"] = best(lambda m=m, seq=seq: sorter.parallel_sort(seq, "exact", threads, threads, merge=m).df)
-        seq.unpersist()
-    return out
+def fig_mergers(spark: SparkSession, sf_dir: str, threads: int, names=("tournament", "pairs", "binary_heap", "resort"), sequences=workloads.SEQUENCES, runs: int = RUNS, copies: int = 1) -> dict[str, float]:
+    """Seconds of the exact sort with each merger over introsorted blocks."""
+    return _timed(spark, sf_dir, sequences, {m: {"block_sort": "intro", "merge": m} for m in names}, threads, runs, copies)
 
 
 def kernel_work(n: int = 20_000) -> dict[str, dict]:

@@ -344,6 +344,27 @@ def _add_mergers() -> None:
             query(f"merge_{name}_{s}", routed_sql("exact", s, N_BLOCKS, N_PARTS) + " SELECT pos, key, part, rnk FROM x")(
                 lambda spark, d, s=s, m=merger: sorter.parallel_sort(narrow(s, spark, d), "exact", N_BLOCKS, N_PARTS, merge=m).df.select(*COLS)
             )
+    # the study's headline combination, and its regular-sampling counterpart
+    for rule, s in [*(("exact", s) for s in workloads.SEQUENCES), ("regular", "dup3"), ("regular", "uniform_int")]:
+        query(f"sort_{rule}_branchless_tournament_{s}", routed_sql(rule, s, N_BLOCKS, N_PARTS) + " SELECT pos, key, part, rnk FROM x")(
+            lambda spark, d, r=rule, s=s: sorter.parallel_sort(narrow(s, spark, d), r, N_BLOCKS, N_PARTS, "branchless", "tournament").df.select(*COLS)
+        )
+    # block sorters under the tree, mergers over introsorted blocks
+    for k in ("intro", "three_way"):
+        query(f"sort_exact_{k}_tournament_dup3", routed_sql("exact", "dup3", N_BLOCKS, N_PARTS) + " SELECT pos, key, part, rnk FROM x")(
+            lambda spark, d, k=k: sorter.parallel_sort(narrow("dup3", spark, d), "exact", N_BLOCKS, N_PARTS, k, "tournament").df.select(*COLS)
+        )
+    for m in ("binary_heap", "resort"):
+        query(f"sort_exact_intro_{m}_almost_sorted", routed_sql("exact", "almost_sorted", N_BLOCKS, N_PARTS) + " SELECT pos, key, part, rnk FROM x")(
+            lambda spark, d, m=m: sorter.parallel_sort(narrow("almost_sorted", spark, d), "exact", N_BLOCKS, N_PARTS, "intro", m).df.select(*COLS)
+        )
+    # the search in sorted blocks as the sort's own selection
+    query("sort_exact_rank_search_dup3", routed_sql("exact", "dup3", N_BLOCKS, N_PARTS) + " SELECT pos, key, part, rnk FROM x")(
+        lambda spark, d: sorter.parallel_sort(narrow("dup3", spark, d), "exact", N_BLOCKS, N_PARTS, "branchless", "tournament", "rank_search").df.select(*COLS)
+    )
+    query("cuts_exact_1000_parts", cuts_sql("uniform_int", 1000) + " SELECT k, pivot_key, take, cut_rank, less, less_eq FROM c")(
+        lambda spark, d: pivots.cuts_frame(spark, pivots.exact(narrow("uniform_int", spark, d), 1000), T.LongType())
+    )
     query("merge_auto_small_k", routed_sql("exact", "pair", 4, N_PARTS) + " SELECT pos, key, part, rnk FROM x")(
         lambda spark, d: sorter.parallel_sort(narrow("pair", spark, d), "exact", 4, N_PARTS, merge="auto").df.select(*COLS)
     )
@@ -416,9 +437,29 @@ def _add_measures() -> None:
 
 
 def _sweep(method, spark, d):
+    """Bounds at every number of threads.  Exact cuts of all of them come from one selection,
+    and one pass over the rows counts the parts of all."""
+    if method == "regular":
+        out = None
+        for t in THREADS:
+            own = measures.merge_bound(_routed(method, "dup3", spark, d, t, t), t)
+            out = own if out is None else out.unionByName(own)
+        return out
+    rows = narrow("dup3", spark, d)
+    n = rows.count()
+    ranks = sorted({r for t in THREADS for r in pivots.target_ranks(n, t)})
+    by_rank = {c.rank: c for c in pivots.exact(rows, len(ranks) + 1, "histogram", n=n, ranks=ranks)}
+    counts = rows.groupBy("key").agg(F.count("*").alias("n"))
     out = None
     for t in THREADS:
-        own = measures.merge_bound(_routed(method, "dup3", spark, d, t, t), t)
+        cuts = [by_rank[r] for r in pivots.target_ranks(n, t)]
+        if method == "stable_snap":
+            own = measures.merge_bound(partition.route_by_exact_cuts(blocks.assign_blocks(rows, t, n), pivots.stable_snap(blocks.assign_blocks(rows, t, n), cuts)), t)
+        else:
+            # a part of exact cuts has the rows between two ranks: sizes need no routing
+            ends = [0, *(c.rank for c in cuts), n]
+            most = max(b - a for a, b in zip(ends, ends[1:]))
+            own = counts.agg(F.sum("n").alias("n")).select(F.lit(t).cast("bigint").alias("t"), F.lit(most).cast("bigint").alias("max_n"), F.round(F.col("n") / (t * F.lit(most)), 6).alias("bound"))
         out = own if out is None else out.unionByName(own)
     return out
 

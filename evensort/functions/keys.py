@@ -2,6 +2,9 @@
 
 from __future__ import annotations
 
+import datetime
+import json
+import math
 from collections.abc import Sequence
 from dataclasses import dataclass
 
@@ -165,3 +168,55 @@ def count_bounds(x: Column, bounds: Sequence[Column], strict: bool) -> Column:
         return F.when(passed, tree(mid + 1, hi)).otherwise(tree(lo, mid))
 
     return tree(0, len(bounds)).cast("bigint")
+
+
+#: Up to so many bounds are a tree of comparisons; more are a sorted array that is searched.
+TREE = 64
+
+
+def sorted_array(values: Sequence, kind: T.DataType) -> Column:
+    """Values as one constant array, parsed by the engine (a literal for each would make a
+    plan of as many nodes)."""
+    if isinstance(kind, T.TimestampType) or not _has_text(kind):
+        return F.array(*[literal(v, kind) for v in values])
+    return F.from_json(F.lit(json.dumps([_text(v, kind) for v in values])), T.ArrayType(kind))
+
+
+def _has_text(kind: T.DataType) -> bool:
+    if isinstance(kind, T.StructType):
+        return all(_has_text(f.dataType) for f in kind.fields)
+    return isinstance(kind, (T.IntegralType, T.FractionalType, T.StringType, T.BooleanType, T.DateType, T.TimestampNTZType))
+
+
+def _text(value, kind: T.DataType):
+    """A value as JSON has it."""
+    if value is None:
+        return None
+    if isinstance(kind, T.StructType):
+        return {f.name: _text(value[f.name], f.dataType) for f in kind.fields}
+    if isinstance(value, (datetime.date, datetime.datetime)):
+        return value.isoformat()
+    if isinstance(value, float) and not math.isfinite(value):
+        return "NaN" if math.isnan(value) else "Infinity" if value > 0 else "-Infinity"
+    return value if isinstance(value, (int, float, str)) else str(value)
+
+
+def with_count(df: DataFrame, name: str, x: Column, values: Sequence, kind: T.DataType, strict: bool = True) -> DataFrame:
+    """``df`` with ``name``: how many of the rising ``values`` lie below ``x``, or at or below it.
+
+    A binary search in one constant array, unrolled: a projection a step, all in one stage of
+    generated code, so that 100,000 values cost a row 17 comparisons and the plan 17 nodes."""
+    if len(values) <= TREE:
+        return df.withColumn(name, count_bounds(x, [literal(v, kind) for v in values], strict))
+    n, step = len(values), 1 << (len(values).bit_length() - 1)
+    out = df.withColumns({"__x": x, "__in": sorted_array(values, kind), "__lo": F.lit(0)})
+    while step:
+        to = F.col("__lo") + step
+        mid = F.element_at("__in", F.least(to, F.lit(n)))
+        passed = mid < F.col("__x") if strict else mid <= F.col("__x")
+        out = out.withColumn("__lo", F.when((to <= n) & passed, to).otherwise(F.col("__lo")))
+        step //= 2
+    # a filter on the result would be pushed below and copy every step into the next one's two
+    # places; a partition id in the same projection stops that
+    stop = F.when(F.spark_partition_id() < 0, 1).otherwise(0)
+    return out.withColumn(name, (F.col("__lo") + stop).cast("bigint")).drop("__x", "__in", "__lo")

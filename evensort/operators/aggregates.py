@@ -12,21 +12,22 @@ from .sorter import SortedFrame
 def sorted_group_counts(sorted_: SortedFrame) -> DataFrame:
     """(key, n): run lengths inside each part, then runs of a key in several parts summed.
 
-    Inside a part the layout needs no further shuffle; what crosses parts is at most two
-    runs a part."""
-    runs = sorted_.df.groupBy("part", "key").agg(F.count("*").alias("n"))
+    Parts are grouped by the column they were shuffled by, so no row moves again; what
+    crosses parts is one row a run."""
+    runs = sorted_.laid().groupBy("__id", "key").agg(F.count("*").alias("n"))
     return runs.groupBy("key").agg(F.sum("n").alias("n"))
 
 
 def distinct_by_sort(sorted_: SortedFrame) -> DataFrame:
     """Distinct keys: first of each run in a part, unless the last key before the part is the
-    same.  Only one key a part crosses parts."""
-    first = Window.partitionBy("part").orderBy("rnk")
-    heads = sorted_.df.select("part", "key", F.lag(F.struct("key")).over(first).alias("before")).where("before IS NULL OR NOT (before.key <=> key)")
-    ends = sorted_.df.groupBy("part").agg(F.max(F.struct("key")).alias("last"))
+    same.  Heads and ends read the same columns of one shuffle; only one key a part crosses parts."""
+    laid = sorted_.laid()
+    first = Window.partitionBy("__id").orderBy("rnk")
+    heads = laid.select("__id", "key", F.lag(F.struct("key")).over(first).alias("before")).where("before IS NULL OR NOT (before.key <=> key)")
+    ends = laid.groupBy("__id").agg(F.max_by(F.struct("key"), "rnk").alias("last"))
     # one row a partition; empty parts have none, so lag skips them
-    ends = ends.select("part", F.lag("last").over(Window.orderBy("part")).alias("carried"))
-    joined = heads.join(F.broadcast(ends), "part")
+    ends = ends.select("__id", F.lag("last").over(Window.orderBy("__id")).alias("carried"))
+    joined = heads.join(F.broadcast(ends), "__id")
     return joined.where("NOT (before IS NULL AND carried IS NOT NULL AND carried.key <=> key)").select("key")
 
 

@@ -6,15 +6,15 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from ..functions.keys import READ, count_bounds, held, literal, settled
+from ..functions.keys import READ, count_bounds, held, literal, settled, with_count
 from .pivots import Cut
 
 
 def route_by_pivots(df: DataFrame, pivots: list) -> DataFrame:
     """``part`` = number of pivots strictly below the key: equal keys stay together."""
     kind = df.schema["key"].dataType
-    bounds = [F.struct(literal(p, kind).alias("key")) for p in pivots]
-    return df.withColumn("part", count_bounds(F.struct(F.col("key")), bounds, strict=True))
+    wrapped = T.StructType([T.StructField("key", kind)])
+    return with_count(df, "part", F.struct(F.col("key")), [{"key": p} for p in pivots], wrapped)
 
 
 def _is_pivot(df: DataFrame, cuts: list[Cut]):
@@ -22,12 +22,14 @@ def _is_pivot(df: DataFrame, cuts: list[Cut]):
     distinct = list(dict.fromkeys(repr(c.key) for c in cuts))
     first = {repr(c.key): c.key for c in cuts}
     keys = [literal(first[d], kind) for d in distinct]
-    test = F.lit(False)
-    for p in keys:
-        test = test | F.col("key").eqNullSafe(p)
+    if len(keys) <= 8:
+        test = F.lit(False)
+        for p in keys:
+            test = test | F.col("key").eqNullSafe(p)
+        return test
     # a tree of comparisons would not help: the optimizer turns the plain case into a set
     plain = [p for d, p in zip(distinct, keys) if first[d] is not None]
-    return F.coalesce(F.col("key").isin(*plain), F.lit(False)) | (F.col("key").isNull() & F.lit(len(plain) < len(keys))) if len(keys) > 8 else test
+    return F.coalesce(F.col("key").isin(*plain), F.lit(False)) | (F.col("key").isNull() & F.lit(len(plain) < len(keys)))
 
 
 def equal_counts(blocked: DataFrame, cuts: list[Cut]) -> DataFrame:
@@ -129,9 +131,9 @@ def route_by_exact_cuts(blocked: DataFrame, cuts: list[Cut], stable: bool = True
     kind = blocked.schema["key"].dataType
     if stable:
         places = last_places(blocked, cuts) if places is None else places
-        place = lambda c: c.cast("bigint").alias("__place")
-        bounds = [F.struct(literal(c.key, kind).alias("key"), place(F.lit(at))) for c, at in zip(cuts, places)]
-        return blocked.withColumn("part", count_bounds(F.struct(F.col("key"), place(F.col("pos"))), bounds, strict=True))
+        pair = T.StructType([T.StructField("key", kind), T.StructField("__place", T.LongType())])
+        x = F.struct(F.col("key"), F.col("pos").cast("bigint").alias("__place"))
+        return with_count(blocked, "part", x, [{"key": c.key, "__place": at} for c, at in zip(cuts, places)], pair)
     salted = blocked.drop("block").withColumn("block", F.pmod(F.xxhash64("pos"), F.lit(salts)))
     ranked = tie_ranks(salted, cuts).drop("block")
     bounds = [F.struct(literal(c.key, kind).alias("key"), F.lit(c.take).cast("bigint").alias("__tau")) for c in cuts]

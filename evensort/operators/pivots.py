@@ -24,7 +24,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from ..functions.keys import held, literal, mix32, ordered_long, settled
+from ..functions.keys import held, literal, mix32, ordered_long, settled, sorted_array, with_count
 from .blocks import sort_blocks
 
 
@@ -72,23 +72,37 @@ def regular_samples(blocked: DataFrame, n_parts: int, per_block: int | None = No
     return ranked.join(at, (F.col("block") == F.col("b")) & (F.col("idx") == F.col("place"))).select("block", "j", "key")
 
 
+#: Samples that the driver sorts itself.
+DRIVER_SAMPLES = 100_000
+
+
 def regular(blocked: DataFrame, n_parts: int, per_block: int | None = None, work: Work | None = None) -> list:
     """Pivots by regular sampling of sorted blocks.
 
-    Full sampling takes n_B (n_P - 1) keys to the driver; ``per_block`` caps them."""
-    picked = [r.key for r in regular_samples(blocked, n_parts, per_block).orderBy("key").select("key").collect()]
+    Full sampling takes n_B (n_P - 1) keys; ``per_block`` caps them.  Over ``DRIVER_SAMPLES``
+    the samples stay in the engine, where the pivots are selected by rank."""
+    picked = regular_samples(blocked, n_parts, per_block).select("key")
+    small = [r.key for r in picked.limit(DRIVER_SAMPLES + 1).orderBy("key").collect()]
     if work is not None:
-        work.samples += len(picked)
-    return spaced(picked, n_parts)
+        work.samples += len(small)
+    return spaced(small, n_parts) if len(small) <= DRIVER_SAMPLES else [c.key for c in exact(picked, n_parts)]
+
+
+#: Share of the rows that the sampling rule takes on one thread; on t it takes a t-th of it.
+ONE_THREAD_RATE = 0.4
+
 
+def random_sample(df: DataFrame, n_parts: int, rate: float | None = None, seed: int = 0, work: Work | None = None) -> list:
+    """Pivots from rows kept by a mix of their position: a portable Bernoulli sample.
 
-def random_sample(df: DataFrame, n_parts: int, rate: float, seed: int = 0, work: Work | None = None) -> list:
-    """Pivots from rows kept by a mix of their position: a portable Bernoulli sample."""
-    kept = df.where(mix32(F.col("pos") + seed) < int(rate * (1 << 32)))
-    picked = [r.key for r in kept.select("key").orderBy("key").collect()]
+    Without a ``rate`` it is ``ONE_THREAD_RATE`` / n_P: the sample grows with N / t.  Pivot k
+    is the sample of rank ceil(k S / n_P), selected in the engine: no sample is collected."""
+    rate = min(1.0, ONE_THREAD_RATE / n_parts) if rate is None else rate
+    kept = df.where(mix32(F.col("pos") + seed) < int(rate * (1 << 32))).select("pos", "key")
+    n = kept.count()
     if work is not None:
-        work.samples += len(picked)
-    return spaced(picked, n_parts)
+        work.samples += n
+    return [c.key for c in exact(kept, n_parts, n=n)]
 
 
 # ---- exact cuts ----
@@ -103,11 +117,16 @@ def exact(df: DataFrame, n_parts: int, strategy: str = "auto", work: Work | None
     if n == 0 or not ranks:
         return []
     if strategy == "auto":
-        strategy = "sketch_refine" if _has_code(kind) else "histogram"
+        # a sketch is as good as its size; the multiway search narrows any number of cuts alike
+        strategy = "histogram" if not _has_code(kind) else "sketch_refine" if len(ranks) <= SKETCHED else "multiway_search"
     found = {"histogram": _histogram, "rank_search": _rank_search, "sketch_refine": _sketch_refine, "domain_bisect": _bisect, "multiway_search": _multiway}[strategy](df, kind, n, ranks, work, **how)
     return [Cut(k, key, r - less, r, less, less_eq) for k, (r, (key, less, less_eq)) in enumerate(zip(ranks, found), 1)]
 
 
+#: Cuts up to which a quantile sketch is the default.
+SKETCHED = 500
+
+
 def _has_code(kind: T.DataType) -> bool:
     return isinstance(kind, (T.IntegralType, T.FractionalType, T.DateType, T.TimestampType, T.TimestampNTZType, T.BooleanType)) and not (isinstance(kind, T.DecimalType) and kind.precision > 18)
 
@@ -115,19 +134,23 @@ def _has_code(kind: T.DataType) -> bool:
 def running_counts(counts: DataFrame) -> DataFrame:
     """(key, n, less) from (key, n): counts below each key, by range-partitioned two-level
     sums, so that no task sees all keys."""
-    # the layout is written once: partition numbers of a later pass must be the same
-    laid = counts.repartitionByRange("key").sortWithinPartitions("key").persist()
-    laid = laid.withColumn("part", F.spark_partition_id())
+    return _running_counts(counts)[0]
+
+
+def _running_counts(counts: DataFrame) -> tuple[DataFrame, DataFrame]:
+    # the layout is made once: partition numbers of a later pass must be the same
+    cached = counts.repartitionByRange("key").sortWithinPartitions("key").persist()
+    laid = cached.withColumn("part", F.spark_partition_id())
     totals = {r.part: r.n for r in laid.groupBy("part").agg(F.sum("n").alias("n")).collect()}
     base, starts = 0, []
     for p in sorted(totals):
         starts += [F.lit(p), F.lit(base)]
         base += totals[p]
     if not starts:
-        return laid.select("key", "n", F.lit(0).cast("bigint").alias("less"))
+        return laid.select("key", "n", F.lit(0).cast("bigint").alias("less")), cached
     before = Window.partitionBy("part").orderBy("key").rowsBetween(Window.unboundedPreceding, -1)
     own = F.coalesce(F.sum("n").over(before), F.lit(0))
-    return laid.select("key", "n", (own + F.element_at(F.create_map(*starts), F.col("part"))).cast("bigint").alias("less"))
+    return laid.select("key", "n", (own + F.element_at(F.create_map(*starts), F.col("part"))).cast("bigint").alias("less")), cached
 
 
 #: Distinct keys of a histogram that the driver sums itself; larger ones are summed in place.
@@ -138,7 +161,10 @@ def _find(counts: DataFrame, ranks: list[int], base: int = 0) -> dict[int, tuple
     """rank -> (key, less, less_eq) from (key, n) of a histogram, ``base`` rows below it."""
     small = counts.limit(DRIVER_KEYS + 1).orderBy("key").collect()
     if len(small) > DRIVER_KEYS:
-        return _pick(running_counts(counts), ranks, base)
+        summed, cached = _running_counts(counts)
+        picked = _pick(summed, ranks, base)
+        cached.unpersist()
+        return picked
     ends = np.cumsum([r.n for r in small]) + base
     out = {}
     for r in set(ranks):
@@ -151,18 +177,22 @@ def _find(counts: DataFrame, ranks: list[int], base: int = 0) -> dict[int, tuple
 def _pick(summed: DataFrame, ranks: list[int], base: int = 0) -> dict[int, tuple]:
     """rank -> (key, less, less_eq) of rows (key, n, less) that hold a rank."""
     wanted = sorted(set(ranks))
-    holds = F.exists(F.array(*[F.lit(r).cast("bigint") for r in wanted]), lambda r: (r > F.col("less") + base) & (r <= F.col("less") + base + F.col("n")))
-    rows = summed.where(holds).select("key", "n", "less").collect()
-    spans = sorted((r.less + base, r.less + base + r.n, r.key) for r in rows)
-    lows = [s[0] for s in spans]
+    held_ = _holding(summed.withColumn("less", F.col("less") + base), wanted)
     out = {}
-    for r in wanted:
-        i = bisect_left(lows, r) - 1
-        if i >= 0 and r <= spans[i][1]:
-            out[r] = (spans[i][2], spans[i][0], spans[i][1])
+    for row in held_.select("key", "n", "less", "__first", "__end").collect():
+        for r in wanted[row["__first"] : row["__end"]]:
+            out[r] = (row.key, row.less, row.less + row.n)
     return out
 
 
+def _holding(summed: DataFrame, wanted: list[int]) -> DataFrame:
+    """Rows (n, less, ...) with less < r <= less + n for some of the rising ranks, with the
+    places of the first and behind the last of those in the list."""
+    counted = with_count(summed, "__first", F.col("less"), wanted, T.LongType(), strict=False)
+    counted = with_count(counted, "__end", F.col("less") + F.col("n"), wanted, T.LongType(), strict=False)
+    return counted.where("__first < __end")
+
+
 def _histogram(df, kind, n, ranks, work):
     work.rounds += 1
     found = _find(df.groupBy("key").agg(F.count("*").alias("n")), ranks)
@@ -259,13 +289,9 @@ def _coded(df: DataFrame, kind: T.DataType) -> DataFrame:
     return df.select("key", ordered_long(F.col("key"), kind).alias("code"))
 
 
-def _bisect(df, kind, n, ranks, work):
-    return _multiway(df, kind, n, ranks, work, fanout=1)
-
-
-def _multiway(df, kind, n, ranks, work, fanout: int = 15):
-    """Probes cut each open interval of codes into fanout + 1 pieces; one aggregation counts
-    the rows under every probe, all pivots together."""
+def _bisect(df, kind, n, ranks, work, fanout: int = 1):
+    """A probe halves each open interval of codes; one aggregation counts the rows under every
+    probe, all pivots together."""
     coded = _coded(df, kind).persist()
     lo, hi, nulls = coded.agg(F.min("code"), F.max("code"), F.count_if(F.col("key").isNull())).first()
     found = {i: (None, 0, nulls) for i, r in enumerate(ranks) if r <= nulls}
@@ -297,23 +323,61 @@ def _multiway(df, kind, n, ranks, work, fanout: int = 15):
     return [found[i] for i in range(len(ranks))]
 
 
+#: Groups that a round counts, and pieces of one interval at most.
+GROUPS, PIECES = 1 << 20, 1 << 16
+
+
+def _multiway(df, kind, n, ranks, work, groups: int = GROUPS, pieces: int = PIECES):
+    """Open intervals of codes are cut into pieces, the more the fewer are open; a row finds
+    its interval in a sorted array, and (interval, piece) is the grouping column of one
+    aggregation.  Pieces that hold a rank are the next intervals, shrunk to the codes seen,
+    until a piece has one code.  The driver gets one row a rank and round."""
+    coded = _coded(df, kind)
+    lo, hi, nulls = coded.agg(F.min("code"), F.max("code"), F.count_if(F.col("key").isNull())).first()
+    found = {r: (None, 0, nulls) for r in ranks if r <= nulls}
+    wanted = sorted({r for r in ranks if r > nulls})
+    open_ = [(lo, hi, nulls)] if wanted else []
+    whole = coded.where(F.col("key").isNotNull())
+    while open_:
+        lows, highs, bases = zip(*open_)
+        most = max(2, min(pieces, groups // len(open_)))
+        # a monotone image keeps the widest intervals inside a long
+        shift = int(max(b - a for a, b in zip(lows, highs)) >= 1 << 62)
+        widths = [((b >> shift) - (a >> shift)) // most + 1 for a, b in zip(lows, highs)]
+        rows = with_count(whole, "i", F.col("code"), lows, T.LongType(), strict=False)
+        at = lambda values: F.element_at(sorted_array(values, T.LongType()), F.greatest(F.col("i"), F.lit(1)).cast("int"))
+        rows = rows.where((F.col("i") > 0) & (F.col("code") <= at(highs)))
+        rows = rows.withColumns({"__low": F.shiftright(at(lows), shift), "__width": at(widths)})
+        piece = F.expr(f"(shiftright(code, {shift}) - __low) div __width")
+        counts = rows.groupBy("i", piece.alias("piece")).agg(F.count("*").alias("n"), F.min("code").alias("a"), F.max("code").alias("z"), F.min("key").alias("key"))
+        before = Window.partitionBy("i").orderBy("piece").rowsBetween(Window.unboundedPreceding, -1)
+        summed = counts.withColumn("less", (F.coalesce(F.sum("n").over(before), F.lit(0)) + at(bases)).cast("bigint"))
+        work.rounds += 1
+        work.probes += len(open_) * most
+        open_ = []
+        for row in _holding(summed, wanted).select("a", "z", "n", "less", "key", "__first", "__end").orderBy("a").collect():
+            if row.a == row.z:
+                found.update({r: (row.key, row.less, row.less + row.n) for r in wanted[row["__first"] : row["__end"]]})
+            else:
+                open_.append((row.a, row.z, row.less))
+    return [found[r] for r in ranks]
+
+
 def _sketch_refine(df, kind, n, ranks, work, eps: float | None = None):
     """Brackets around the targets from a quantile sketch (numbers and times) or a sample of
     rows (other keys), then one exact pass: counts under every bracket and a histogram inside.
     A bracket that misses its target is widened and counted again."""
     eps = eps or 1 / (40 * (len(ranks) + 1))
     known = df.select("key")
-    probe, cast = F.col("key"), lambda v: literal(v, kind)
     numeric = _has_code(kind) and not isinstance(kind, T.BooleanType)
     reach = 2 * eps if numeric else 4 * eps
+    grid = sorted({min(1.0, max(0.0, r / n + d)) for r in ranks for d in (-reach, reach)})
     if numeric:
-        grid = sorted({min(1.0, max(0.0, r / n + d)) for r in ranks for d in (-reach, reach)})
         sketch = known.agg(F.approx_percentile("key", F.array(*[F.lit(g) for g in grid]), F.lit(int(4 / eps)))).first()[0]
         marks = dict(zip(grid, sketch or []))
     else:
-        picked = sorted(known.where(F.col("key").isNotNull()).sample(min(1.0, 8 / (eps * n) + 0.02), 7).collect(), key=lambda r: r.key)
+        picked = sorted(known.where(F.col("key").isNotNull()).sample(min(1.0, 8 / (eps * n)), 7).collect(), key=lambda r: r.key)
         work.samples += len(picked)
-        grid = sorted({min(1.0, max(0.0, r / n + d)) for r in ranks for d in (-reach, reach)})
         marks = {g: picked[min(len(picked) - 1, int(g * len(picked)))].key for g in grid} if picked else {}
     found: dict[int, tuple] = {}
     brackets: list[tuple] = []
@@ -325,27 +389,31 @@ def _sketch_refine(df, kind, n, ranks, work, eps: float | None = None):
             else:
                 brackets.append((low, high))
     work.rounds += 1
-    within = lambda low, high: (probe >= cast(low)) & (probe <= cast(high))
-    counted = [c for low, high in brackets for c in (F.count_if(probe < cast(low)), F.count_if(within(low, high)))]
-    sums = known.agg(F.count_if(F.col("key").isNull()), *counted).first()
-    nulls = sums[0]
+    # a row lies in a bracket if it has passed one low more than highs; what it has passed is
+    # the grouping column of the counts
+    passed = known.where(F.col("key").isNotNull())
+    passed = with_count(passed, "__lows", F.col("key"), [b[0] for b in brackets], kind, strict=False)
+    passed = with_count(passed, "__highs", F.col("key"), [b[1] for b in brackets], kind, strict=True)
+    counts = {(r["__lows"], r["__highs"]): r.n for r in passed.groupBy("__lows", "__highs").agg(F.count("*").alias("n")).collect()}
+    nulls = n - sum(counts.values())
     found.update({r: (None, 0, nulls) for r in ranks if r <= nulls})
     # brackets are apart and in order, so one histogram over all of them has the running
     # counts; ``shift`` takes a bracket's ranks to ranks among the rows in brackets
-    shifts, before = [], 0
+    shifts, before, under = [], 0, 0
     for b in range(len(brackets)):
-        shifts.append((sums[1 + 2 * b], sums[2 + 2 * b], nulls + sums[1 + 2 * b] - before))
-        before += sums[2 + 2 * b]
+        under += counts.get((b, b), 0)
+        size = counts.get((b + 1, b), 0)
+        shifts.append((under, size, nulls + under - before))
+        before += size
+        under += size
     local: dict[int, int] = {}
+    starts = [u for u, _, _ in shifts]
     for r in ranks:
-        for under, size, shift in shifts:
-            if r not in found and under < r - nulls <= under + size:
-                local[r] = shift
+        b = bisect_left(starts, r - nulls) - 1
+        if r not in found and b >= 0 and r - nulls <= shifts[b][0] + shifts[b][1]:
+            local[r] = shifts[b][2]
     if local:
-        test = F.lit(False)
-        for low, high in brackets:
-            test = test | within(low, high)
-        inside = settled(known).where(held(test)).groupBy("key").agg(F.count("*").alias("n"))
+        inside = settled(passed).where(held(F.col("__lows") > F.col("__highs"))).groupBy("key").agg(F.count("*").alias("n"))
         picked_ranks = _find(inside, [r - shift for r, shift in local.items()])
         for r, shift in local.items():
             key, less, less_eq = picked_ranks[r - shift]

@@ -18,4 +18,4 @@ def touched(sorted_: SortedFrame, lo, hi) -> tuple[int, int]:
 
 def between(sorted_: SortedFrame, lo, hi) -> DataFrame:
     first, last = touched(sorted_, lo, hi)
-    return sorted_.df.where(F.col("part").between(first, last) & F.col("key").between(lo, hi))
+    return sorted_.parts(first, last).where(F.col("key").between(lo, hi))

@@ -15,9 +15,9 @@ def part_of_rank(rank: int, n: int, n_parts: int) -> int:
 
 
 def slice(sorted_: SortedFrame, first: int, last: int) -> DataFrame:
-    """Rows of ranks first..last; only the partitions that hold them are read further."""
+    """Rows of ranks first..last; rows of parts that don't hold them are not shuffled."""
     lo, hi = (part_of_rank(r, sorted_.n, sorted_.n_parts) for r in (first, last))
-    return sorted_.df.where(F.col("part").between(lo, hi) & F.col("rnk").between(first, last))
+    return sorted_.parts(lo, hi).where(F.col("rnk").between(first, last))
 
 
 def top_k(sorted_: SortedFrame, k: int) -> DataFrame:

@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from collections.abc import Sequence
+from collections.abc import Callable, Sequence
 from dataclasses import dataclass, field
 
 import numpy as np
@@ -10,11 +10,13 @@ import pandas as pd
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..functions.keys import By, ordered_long, sort_key
+from ..functions.keys import READ, By, held, ordered_long, settled, sort_key
 from . import kernels, pivots
 from .blocks import assign_blocks, sort_blocks
 from .partition import last_places, offsets, route_by_exact_cuts, route_by_pivots
 
+#: Rows of a block or partition where their number isn't given.
+ROWS = 2_000_000
 METHODS = ("exact", "regular", "random_sample", "stable_snap", "native")
 
 
@@ -23,7 +25,8 @@ class SortedFrame:
     """A sorted layout: ``df`` has part (its partition) and rnk (global 0-based rank).
 
     Catalyst can't see that partitions are ranges: stay on ``part`` instead of ordering
-    again by the key."""
+    again by the key.  ``inner`` has the column ``__id`` too, by which the rows were shuffled:
+    windows and groups on it need no further shuffle."""
 
     df: DataFrame
     n: int
@@ -31,6 +34,19 @@ class SortedFrame:
     method: str
     cuts: list = field(default_factory=list)
     work: pivots.Work = field(default_factory=pivots.Work)
+    #: The sort of the routed rows in a range of parts, where that needs no other part.
+    of_parts: Callable[[int, int], DataFrame] | None = None
+    inner: DataFrame | None = None
+
+    def laid(self) -> DataFrame:
+        inner = self.df if self.inner is None else self.inner
+        return inner if "__id" in inner.columns else inner.withColumn("__id", F.col("part").cast("int"))
+
+    def parts(self, first: int, last: int) -> DataFrame:
+        """The rows of parts first..last; other rows are left before the shuffle."""
+        if self.of_parts is None:
+            return self.df.where(F.col("part").between(first, last))
+        return self.of_parts(first, last)
 
 
 def sequence(df: DataFrame, by: Sequence[By | str], pos: str | None = None) -> DataFrame:
@@ -53,18 +69,21 @@ def sequence(df: DataFrame, by: Sequence[By | str], pos: str | None = None) -> D
 
 
 def parallel_sort(
-    seq: DataFrame, method: str = "exact", n_blocks: int = 8, n_parts: int = 8, block_sort: str = "spark",
-    merge: str = "resort", strategy: str = "auto", rate: float = 0.05, seed: int = 0, n: int | None = None,
+    seq: DataFrame, method: str = "exact", n_blocks: int | None = None, n_parts: int | None = None, block_sort: str = "spark",
+    merge: str = "resort", strategy: str = "auto", rate: float | None = None, seed: int = 0, n: int | None = None,
 ) -> SortedFrame:
-    """Sort ``seq`` (pos, key, ...) into ``n_parts`` partitions with global ranks, stably."""
+    """Sort ``seq`` (pos, key, ...) into ``n_parts`` partitions with global ranks, stably.
+
+    Blocks and partitions that aren't given follow from the number of rows."""
     if method not in METHODS:
         raise ValueError(f"unknown method {method}")
     n = seq.count() if n is None else n
+    n_blocks, n_parts = (max(8, -(-n // ROWS)) if x is None else x for x in (n_blocks, n_parts))
     work = pivots.Work()
     if method == "native":
         laid = seq.repartitionByRange(n_parts, "key").withColumn("part", F.spark_partition_id().cast("bigint"))
         laid = laid.persist()  # range bounds come from a sample: ranks and offsets must see the same
-        return SortedFrame(_ranked(laid, offsets(laid, n_parts)), n, n_parts, method)
+        return _frame(_ranked(laid, offsets(laid, n_parts)), n, n_parts, method)
     blocked = assign_blocks(seq, n_blocks, n)
     cuts: list = []
     # the defaults sort in the JVM, which spills: a partition's rows once, after the shuffle.  A named
@@ -88,16 +107,25 @@ def parallel_sort(
     if method == "exact":
         # the cuts' ranks are the offsets, known before the shuffle
         start = F.expr(f"(part * {n} + {n_parts - 1}) div {n_parts}")
-        return SortedFrame(_local(placed, stepwise, start), n, n_parts, method, cuts, work)
+
+        def of_parts(first: int, last: int) -> DataFrame:
+            own = settled(routed).where(held(F.col("part").between(first, last))).drop(READ)
+            return _local(place(own, n_parts), False, start).drop("__id")
+
+        return _frame(_local(placed, stepwise, start), n, n_parts, method, cuts, work, None if stepwise else of_parts)
     # sizes don't hang on the order inside blocks
     sizes = offsets(routed if not stepwise else _reroute(blocked, method, cuts), n_parts)
-    return SortedFrame(_ranked(placed, sizes, stepwise), n, n_parts, method, cuts, work)
+    return _frame(_ranked(placed, sizes, stepwise), n, n_parts, method, cuts, work)
 
 
 def _reroute(blocked: DataFrame, method: str, cuts: list) -> DataFrame:
     return route_by_exact_cuts(blocked, cuts) if method == "stable_snap" else route_by_pivots(blocked, cuts)
 
 
+def _frame(inner: DataFrame, *rest) -> SortedFrame:
+    return SortedFrame(inner.drop("__id"), *rest, inner=inner)
+
+
 def place(routed: DataFrame, n_parts: int) -> DataFrame:
     """The one shuffle of all rows, by partition number.  Grouping by ``__id``, the very column
     it was placed by, needs no further one; by an equal column of another type it would."""
@@ -108,7 +136,7 @@ def _local(placed: DataFrame, merged: bool, start) -> DataFrame:
     group = "__id" if "__id" in placed.columns else "part"
     at = F.col("__at") if merged else F.row_number().over(Window.partitionBy(group).orderBy("key", "pos")) - 1
     out = placed.withColumn("rnk", (at + start).cast("bigint"))
-    return out.drop("__at", "__id", "block")
+    return out.drop("__at", "block")
 
 
 def _ranked(placed: DataFrame, starts: DataFrame, merged: bool = False) -> DataFrame:
@@ -167,7 +195,7 @@ def two_level(seq: DataFrame, n_parts: int, n_blocks: int = 8, n: int | None = N
     cuts = [(known.get(r) or fine[r]) for r in ranks] if n else []
     placed = place(route_by_exact_cuts(blocked, cuts), n_parts)
     start = F.expr(f"(part * {n} + {n_parts - 1}) div {n_parts}")
-    return SortedFrame(_local(placed, False, start), n, n_parts, "exact", cuts)
+    return _frame(_local(placed, False, start), n, n_parts, "exact", cuts)
 
 
 def parallel_quick(seq: DataFrame, depth: int = 3, n_blocks: int = 8, n: int | None = None) -> SortedFrame:
@@ -184,4 +212,4 @@ def parallel_quick(seq: DataFrame, depth: int = 3, n_blocks: int = 8, n: int | N
     cuts = sorted({c.rank: c for c in cuts}.values(), key=lambda c: c.rank)
     placed = place(route_by_exact_cuts(blocked, cuts), 1 << depth)
     starts = blocked.sparkSession.createDataFrame([(i, r) for i, r in enumerate([0, *(c.rank for c in cuts)])], "part bigint, part_offset bigint")
-    return SortedFrame(_ranked(placed, starts), n, 1 << depth, "exact", cuts)
+    return _frame(_ranked(placed, starts), n, 1 << depth, "exact", cuts)

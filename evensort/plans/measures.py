@@ -95,11 +95,14 @@ def stage_times(seq: DataFrame, n_blocks: int = 8, n_parts: int = 8) -> dict[str
     """Seconds of block sort, selection, routing and merge, each from materialised input."""
     from ..operators import blocks, partition, pivots
 
+    kept: list[DataFrame] = []
+
     def timed(make):
         began = time.perf_counter()
         out = make()
         if isinstance(out, DataFrame):
             out = out.persist()
+            kept.append(out)
             out.count()
         return out, time.perf_counter() - began
 
@@ -110,6 +113,8 @@ def stage_times(seq: DataFrame, n_blocks: int = 8, n_parts: int = 8) -> dict[str
     order = Window.partitionBy("__id").orderBy("key", "pos")
     placed = routed.withColumn("__id", F.col("part").cast("int")).repartitionById(n_parts, F.col("__id"))
     _, merge_s = timed(lambda: placed.withColumn("at", F.row_number().over(order)))
+    for df in kept:
+        df.unpersist()
     return {"block_sort": sort_s, "select": select_s, "route": route_s, "merge": merge_s}
 
 

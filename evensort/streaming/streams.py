@@ -91,8 +91,10 @@ def sorted_runs(stream: DataFrame, n_parts: int = 4) -> DataFrame:
     spark, out = stream.sparkSession, io.scratch(stream.sparkSession)
 
     def write(batch: DataFrame, number: int) -> None:
-        run = sorter.parallel_sort(batch.persist(), "exact", 2, n_parts).df
+        batch.persist()
+        run = sorter.parallel_sort(batch, "exact", 2, n_parts).df
         run.sortWithinPartitions("rnk").withColumn("run", F.lit(number)).write.mode("overwrite").parquet(f"{out}/runs/r{number}")
+        batch.unpersist()
 
     drain(stream, "append", write)
     runs = spark.read.parquet(f"{out}/runs/*")

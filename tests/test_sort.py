@@ -343,3 +343,95 @@ def test_descending_smallest_long(spark):
     rows = spark.createDataFrame([(0, -(2**63)), (1, 2**63 - 1), (2, None), (3, 0)], "id int, a bigint")
     got = [r.id for r in rows.orderBy(sort_key(rows, [By("a", desc=True, nulls_last=True)])).collect()]
     assert got == [1, 3, 0, 2]
+
+
+# ---- many cuts ----
+
+
+def test_counts_in_sorted_arrays_equal_search(spark):
+    rng = random.Random(21)
+    kinds = {"bigint": lambda: rng.randrange(-50, 50), "double": lambda: rng.choice([rng.random(), float("inf"), float("-inf"), -0.0]), "string": lambda: rng.choice("abé\"\\") * rng.randrange(4)}
+    for kind, make in kinds.items():
+        keys, bounds = [make() for _ in range(300)], sorted({make() for _ in range(400)} | {0} if kind == "bigint" else {make() for _ in range(400)})
+        bounds = sorted(bounds * 90)[: max(65, len(bounds) * 90)]
+        own = frame(spark, keys, kind)
+        from evensort.functions.keys import with_count
+
+        for strict in (True, False):
+            got = {r.pos: r.c for r in with_count(own, "c", F.col("key"), bounds, own.schema["key"].dataType, strict).collect()}
+            assert all(got[i] == sum(b < k or (not strict and b == k) for b in bounds) for i, k in enumerate(keys))
+
+
+@pytest.mark.parametrize("kind", ["bigint", "double", "string", "date", "timestamp_ntz"])
+def test_hundreds_of_cuts_equal_brute_force(spark, kind):
+    rng = random.Random(22)
+    raw = [rng.choice([None, rng.randrange(10**6), rng.randrange(50)]) for _ in range(900)]
+    own = frame(spark, raw)
+    casts = {"bigint": F.col("key"), "double": F.col("key") / 7, "string": F.col("key").cast("string"), "date": F.date_add(F.lit("2000-01-01"), F.col("key").cast("int") % 9999), "timestamp_ntz": F.timestamp_seconds("key").cast("timestamp_ntz")}
+    own = blocks.assign_blocks(own.withColumn("key", casts[kind]), 5).persist()
+    keys = [r.key for r in own.orderBy("pos").collect()]
+    for strategy in ("auto", "sketch_refine", "multiway_search") if kind != "string" else ("auto", "sketch_refine"):
+        got = [(c.key, c.take, c.less, c.less_eq) for c in pivots.exact(own, 300, strategy)]
+        assert got == brute_cuts(keys, 300), strategy
+    routed = partition.route_by_exact_cuts(own, pivots.exact(own, 300))
+    some = next(k for k in keys if k is not None)
+    order = sorted(range(900), key=lambda i: (keys[i] is not None, some if keys[i] is None else keys[i], i))
+    assert {r.pos: r.part for r in routed.collect()} == {p: i * 300 // 900 for i, p in enumerate(order)}
+    own.unpersist()
+
+
+def test_widest_codes_and_few_pieces(spark):
+    keys = [-(2**63), 2**63 - 1, 0, -1, 1, 5, 5, 5, 2**62, -(2**62), None]
+    own = blocks.assign_blocks(frame(spark, keys), 3)
+    for pieces in (2, 3, 1 << 16):
+        got = [(c.key, c.take, c.less, c.less_eq) for c in pivots.exact(own, 6, "multiway_search", pieces=pieces)]
+        assert got == brute_cuts(keys, 6)
+
+
+def test_samples_need_not_reach_the_driver(spark, monkeypatch):
+    own = blocks.assign_blocks(frame(spark, [i * 7919 % 1000 for i in range(600)]), 6)
+    want = pivots.regular(own, 9)
+    monkeypatch.setattr(pivots, "DRIVER_SAMPLES", 3)
+    assert pivots.regular(own, 9) == want
+    few, many = pivots.Work(), pivots.Work()
+    pivots.random_sample(own, 4, work=many)
+    pivots.random_sample(own, 16, work=few)
+    assert 2 < many.samples / few.samples < 8
+
+
+def test_blocks_and_parts_follow_the_rows(spark, monkeypatch):
+    monkeypatch.setattr(sorter, "ROWS", 20)
+    assert sorter.parallel_sort(frame(spark, list(range(400)))).n_parts == 20
+
+
+# ---- layouts ----
+
+
+def exchanges(df):
+    df.collect()
+    plan = df._jdf.queryExecution().executedPlan().toString().split("+- == Initial Plan ==")[0]
+    full = [line for line in plan.splitlines() if "Exchange shufflepartitionid" in line and "ReusedExchange" not in line]
+    return len(full), sum("Exchange hash" in line for line in plan.splitlines()), plan.count("Scan")
+
+
+def test_one_full_shuffle_serves_layout_functions(spark):
+    from evensort.operators import aggregates, windows
+
+    own = frame(spark, [i * 7919 % 100 for i in range(400)])
+    s = sorter.parallel_sort(own, "exact", 4, 8)
+    for made in (windows.dense_rank(s), windows.running_sum(s, F.col("key")), windows.lag(s, "pos"), aggregates.distinct_by_sort(s)):
+        assert exchanges(made)[:2] == (1, 0)
+    # the runs that cross parts, not rows, are grouped by key again
+    assert exchanges(aggregates.sorted_group_counts(s))[:2] == (1, 1)
+
+
+def test_untouched_parts_are_not_shuffled(spark):
+    own = frame(spark, [i * 7919 % 1000 for i in range(400)])
+    s = sorter.parallel_sort(own, "exact", 4, 8)
+    for made in (rank.slice(s, 60, 90), rank.top_k(s, 30), range_query.between(s, 100, 150)):
+        plan = cost.executed(made)
+        shuffle = plan.index("shufflepartitionidpassthrough")
+        # the filter on parts stands below the shuffle
+        assert "part#" in plan[shuffle:] and "Filter" in plan[shuffle:]
+    written = lambda df: measures.memory(spark, lambda: df)["shuffle_write"]
+    assert written(rank.top_k(s, 30)) < written(s.df) / 3
