@@ -5,7 +5,8 @@ One word automaton holds all phrases and identifiers.  Identifiers that are join
 ``and``, ``or`` or ``with`` (parentheses included) form an expression; it is put into
 postfix order by operator precedence (with, and, or: tightest first) and evaluated to a
 class: ``or`` takes the most permissive side, ``and`` the most restrictive, ``with`` an
-exception that softens its licence by one step.
+exception that softens its licence by one step.  ``with`` joins a licence to an exception
+only.  "or later", "+" and "only" behind an identifier become part of its label.
 
 Defined cases: null or wordless text has no words, no places, empty labels and score 0; a
 dangling operator or an unbalanced parenthesis ends the expression at its last complete
@@ -23,22 +24,49 @@ from .words import WordAutomaton, word_offsets, words
 #: The base phrases and their labels.
 BASE = {"cc by": "cc-by", "general public license": "gpl", "all rights reserved": "reserved"}
 
-#: Identifiers as words, their label and restriction (0 public domain ... 4 reserved).
+#: Identifiers as words, their label and restriction (0 public domain ... 4 restricted).
 IDENTIFIERS = {
-    "mit": ("mit", 1), "mit license": ("mit", 1), "isc": ("isc", 1), "isc license": ("isc", 1),
-    "apache 2 0": ("apache-2.0", 1), "apache license": ("apache", 1), "apache license version 2 0": ("apache-2.0", 1),
-    "bsd 2 clause": ("bsd-2-clause", 1), "bsd 3 clause": ("bsd-3-clause", 1), "bsd license": ("bsd", 1),
-    "zlib": ("zlib", 1), "unlicense": ("unlicense", 0), "cc0": ("cc0", 0), "cc0 1 0": ("cc0", 0), "0bsd": ("0bsd", 0),
-    "mpl 2 0": ("mpl-2.0", 2), "mozilla public license": ("mpl", 2), "epl 2 0": ("epl-2.0", 2),
-    "lgpl 2 1": ("lgpl-2.1", 2), "lgpl 3 0": ("lgpl-3.0", 2), "lesser general public license": ("lgpl", 2),
-    "gpl 2 0": ("gpl-2.0", 3), "gpl 3 0": ("gpl-3.0", 3), "gnu general public license": ("gpl", 3),
-    "agpl 3 0": ("agpl-3.0", 3), "affero general public license": ("agpl", 3),
-    "cc by 4 0": ("cc-by-4.0", 1), "cc by sa 4 0": ("cc-by-sa-4.0", 2), "cc by nc 4 0": ("cc-by-nc-4.0", 4),
-    "cc by nd 4 0": ("cc-by-nd-4.0", 4), "cc by nc sa 4 0": ("cc-by-nc-sa-4.0", 4),
+    "mit": ("mit", 1), "mit license": ("mit", 1), "expat license": ("mit", 1), "isc": ("isc", 1), "isc license": ("isc", 1),
+    "apache license": ("apache", 1), "apache license version 2 0": ("apache-2.0", 1), "bsd license": ("bsd", 1),
+    "zlib": ("zlib", 1), "zlib license": ("zlib", 1), "unlicense": ("unlicense", 0), "cc0": ("cc0", 0), "cc0 1 0": ("cc0", 0), "0bsd": ("0bsd", 0),
+    "wtfpl": ("wtfpl", 0), "ncsa": ("ncsa", 1), "postgresql license": ("postgresql", 1), "x11 license": ("x11", 1), "libpng": ("libpng", 1),
+    "ms pl": ("ms-pl", 1), "ms rl": ("ms-rl", 2), "boost software license": ("bsl", 1), "openssl license": ("openssl", 1),
+    "mozilla public license": ("mpl", 2), "eclipse public license": ("epl", 2), "lesser general public license": ("lgpl", 2),
+    "gnu general public license": ("gpl", 3), "affero general public license": ("agpl", 3), "business source license": ("busl", 4),
 }
+#: Licences with versions, their restriction and versions.
+VERSIONED = {
+    "apache": (1, "1.0 1.1 2.0"), "bsl": (1, "1.0"), "ecl": (1, "2.0"), "upl": (1, "1.0"), "afl": (1, "2.1 3.0"), "zpl": (1, "2.1"),
+    "psf": (1, "2.0"), "php": (1, "3.0 3.01"), "artistic": (1, "1.0 2.0"), "ofl": (1, "1.0 1.1"), "pddl": (0, "1.0"), "mulanpsl": (1, "2.0"),
+    "mpl": (2, "1.0 1.1 2.0"), "epl": (2, "1.0 2.0"), "cddl": (2, "1.0 1.1"), "lgpl": (2, "2.0 2.1 3.0"), "odbl": (2, "1.0"),
+    "gpl": (3, "1.0 2.0 3.0"), "agpl": (3, "1.0 3.0"), "eupl": (3, "1.1 1.2"), "osl": (3, "2.1 3.0"), "cecill": (3, "2.0 2.1"), "gfdl": (3, "1.1 1.2 1.3"),
+    "sspl": (4, "1.0"), "busl": (4, "1.1"), "elastic": (4, "2.0"),
+    "cc by": (1, "1.0 2.0 2.5 3.0 4.0"), "cc by sa": (2, "1.0 2.0 2.5 3.0 4.0"), "cc by nc": (4, "1.0 2.0 2.5 3.0 4.0"),
+    "cc by nd": (4, "1.0 2.0 2.5 3.0 4.0"), "cc by nc sa": (4, "1.0 2.0 2.5 3.0 4.0"), "cc by nc nd": (4, "1.0 2.0 2.5 3.0 4.0"),
+}
+
+
+def versioned() -> dict[str, tuple[str, int]]:
+    """Identifiers of ``VERSIONED``: "gpl 3 0", and for whole versions "gpl v3", "gplv3", "gpl version 3"."""
+    out = {}
+    for name, (level, versions) in VERSIONED.items():
+        for v in versions.split():
+            entry = (f"{name.replace(' ', '-')}-{v}", level)
+            out[f"{name} {v.replace('.', ' ')}"] = entry
+            if v.endswith(".0") and " " not in name:
+                out.update({f"{name} v{v[:-2]}": entry, f"{name}v{v[:-2]}": entry, f"{name} version {v[:-2]}": entry, f"{name} v{v[:-2]} 0": entry})
+    for clauses in "1234":
+        out[f"bsd {clauses} clause"] = (f"bsd-{clauses}-clause", 1)
+    return out
+
+
 #: Identifiers that are words of ordinary prose; they count only in an expression context.
 COMMON = {"mit", "isc", "zlib", "unlicense", "cc0", "0bsd"}
-EXCEPTIONS = {"classpath exception 2 0": "classpath-exception", "llvm exception": "llvm-exception"}
+EXCEPTIONS = {
+    "classpath exception 2 0": "classpath-exception", "classpath exception": "classpath-exception", "llvm exception": "llvm-exception",
+    "gcc exception 3 1": "gcc-exception", "autoconf exception 3 0": "autoconf-exception", "bison exception 2 2": "bison-exception",
+    "linux syscall note": "linux-syscall-note", "font exception 2 0": "font-exception", "openssl exception": "openssl-exception",
+}
 #: Notices that say something about a licence without naming one.
 NOTICES = {
     "spdx license identifier": "spdx", "public domain": "public-domain", "creative commons": "creative-commons",
@@ -111,13 +139,28 @@ def evaluate(postfix: list) -> tuple[str, int] | None:
     return stack[-1] if stack else None
 
 
+def _range_of(own: list[bytes], at: int, label: str, behind: bytes) -> tuple[int, str]:
+    """What follows an identifier that ends at word ``at``: "+" or "or later" take later
+    versions along, "only" none."""
+    if behind.startswith(b"+"):
+        return at, f"{label}-or-later"
+    following = [w for w in own[at : at + 3]]
+    if following[:2] == [b"or", b"later"]:
+        return at + 2, f"{label}-or-later"
+    if following[:3] in ([b"or", b"any", b"later"], [b"or", b"a", b"later"]):
+        return at + 3, f"{label}-or-later"
+    if following[:1] == [b"only"]:
+        return at + 1, f"{label}-only"
+    return at, label
+
+
 class Scanner:
     def __init__(self):
         self.kinds: dict[tuple[bytes, ...], list[tuple[str, str, int]]] = {}
         for kind, table in (("base", BASE), ("notice", NOTICES), ("exception", EXCEPTIONS)):
             for phrase, label in table.items():
                 self.kinds.setdefault(tuple(phrase.encode().split()), []).append((kind, label, 0))
-        for phrase, (label, level) in IDENTIFIERS.items():
+        for phrase, (label, level) in (IDENTIFIERS | versioned()).items():
             self.kinds.setdefault(tuple(phrase.encode().split()), []).append(("id", label, level))
         self.automaton = WordAutomaton(self.kinds)
         self.entries = [(len(p), self.kinds[p]) for p in self.automaton.patterns]
@@ -129,7 +172,7 @@ class Scanner:
             return len(own), 0, None, None, "", "", 0.0, [], None
         base: list[tuple[int, str]] = []
         labels: set[str] = set()
-        atoms: dict[int, tuple[int, tuple[str, int], bool]] = {}
+        atoms: dict[int, tuple[int, tuple[str, int], bool, bool]] = {}
         for end, found in hits:
             for n in found:
                 size, entries = self.entries[n]
@@ -141,7 +184,7 @@ class Scanner:
                         labels.add(label)
                     elif start not in atoms or atoms[start][0] < end + 1:
                         common = size == 1 and own[start].decode() in COMMON
-                        atoms[start] = (end + 1, (label, level), common)
+                        atoms[start] = (end + 1, (label, level), common, kind == "exception")
         expressions, levels = self._expressions(text, own, atoms, labels)
         base_labels = {label for _, label in base}
         places = [s for s, _ in base]
@@ -156,19 +199,23 @@ class Scanner:
         """Expressions in text order and their restrictions; adds the identifiers' labels."""
         spans, expressions, levels, done = None, [], [], 0
         for start in sorted(atoms):
-            if start < done:
+            # an exception stands behind a licence and "with" only
+            if start < done or atoms[start][3]:
                 continue
             spans = spans or word_offsets(text)
+            gap = lambda i: text[spans[i - 1][1] if i else 0 : spans[i][0] if i < len(own) else len(text)]  # noqa: E731, B023
             tokens, at = [], start
-            tokens += ["("] * text[max(0, spans[start - 1][1] if start else 0) : spans[start][0]].count(b"(")
+            tokens += ["("] * gap(start).count(b"(")
             while at in atoms:
-                at, operand, common = atoms[at]
-                tokens.append(operand)
-                close = text[spans[at - 1][1] : spans[at][0] if at < len(own) else len(text)].split(b"(")[0].count(b")")
-                tokens += [")"] * close
-                if at + 1 < len(own) and own[at] in OPERATORS and at + 1 in atoms:
+                at, (label, level), _, excepted = atoms[at]
+                if not excepted:
+                    at, label = _range_of(own, at, label, gap(at))
+                tokens.append((label, level))
+                tokens += [")"] * gap(at).split(b"(")[0].count(b")")
+                # "with" takes an exception, the others a licence
+                if at + 1 < len(own) and own[at] in OPERATORS and at + 1 in atoms and atoms[at + 1][3] == (own[at] == b"with") and not (excepted and own[at] == b"with"):
                     tokens.append(own[at].decode())
-                    tokens += ["("] * text[spans[at][1] : spans[at + 1][0]].count(b"(")
+                    tokens += ["("] * gap(at + 1).count(b"(")
                     at += 1
                 else:
                     break

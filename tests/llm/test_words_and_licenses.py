@@ -61,3 +61,24 @@ def test_expressions():
     assert scan(b"Released under the MIT License.")[5] == "licensed,mit"
     assert scan(b"Licensed under CC BY-NC 4.0.")[4] == "cc-by"
     assert "mit" not in scan(b"das kommt mit dem Wagen")[5]
+
+
+def test_ranges_of_versions_and_exceptions():
+    scan = licenses.Scanner()
+    told = lambda t: scan(t.encode())[7]
+    assert told("SPDX-License-Identifier: GPL-2.0-or-later") == ["gpl-2.0-or-later"]
+    assert told("SPDX-License-Identifier: GPL-2.0-only OR MIT") == ["(gpl-2.0-only or mit)"]
+    assert told("License: GPL-2.0+ WITH Classpath-exception-2.0 AND LGPL-3.0+") == ["((gpl-2.0-or-later with classpath-exception) and lgpl-3.0-or-later)"]
+    assert told("licensed under GPLv3 or any later version") == ["gpl-3.0-or-later"]
+    # "with" takes no licence, and an exception needs one in front
+    assert told("License: Apache-2.0 WITH MIT license") == ["apache-2.0", "mit"]
+    assert told("see the LLVM exception") == []
+    assert told("License: MIT OR LLVM-exception") == ["mit"]
+    assert told("License: (MPL-1.1 OR EUPL-1.2) AND CC-BY-NC-SA-3.0") == ["((mpl-1.1 or eupl-1.2) and cc-by-nc-sa-3.0)"]
+    assert scan(b"License: (MPL-1.1 OR EUPL-1.2) AND CC-BY-NC-SA-3.0")[8] == "restricted"
+
+
+def test_empty_and_clashing_tables(spark):
+    df = spark.createDataFrame([(1, "MIT License", 5, "x")], "doc_id int, text string, Labels int, expressions string")
+    assert licenses.scan(df).first().labels == "mit"
+    assert licenses.scan(df).columns[:2] == ["doc_id", "text"] and licenses.scan(df.limit(0)).count() == 0
