@@ -68,6 +68,11 @@ for _fmt in ("csv", "json", "orc"):
         return io.roundtrip(io.load(spark, d, "orders"), fmt)
 
 
+@query("roundtrip_text", "SELECT concat(o_orderkey, '|', o_orderstatus) AS value FROM orders")
+def roundtrip_text(spark, d):
+    return io.roundtrip(io.load(spark, d, "orders").select(F.concat_ws("|", "o_orderkey", "o_orderstatus").alias("value")), "text")
+
+
 @query("sorted_sink_manifest", f"WITH {RANKED} SELECT (rnk * 8) // n AS part, min(rnk) AS part_offset, count(*) AS n, min(key) AS min_key, max(key) AS max_key FROM r GROUP BY (rnk * 8) // n")
 def sorted_sink_manifest(spark, d):
     path = io.scratch(spark)

@@ -245,6 +245,15 @@ def _weighted_median(offers):
     raise ValueError("no offers")
 
 
+def _searches(keys):
+    """A block's keys and its searches for the first place of a value and the one behind its
+    last: numbers as they come from Arrow, other keys as a list."""
+    if isinstance(keys, np.ndarray) and keys.dtype.kind in "iuf":
+        return keys, lambda v: int(np.searchsorted(keys, v, "left")), lambda v: int(np.searchsorted(keys, v, "right"))
+    own = list(keys)
+    return own, lambda v: bisect_left(own, v), lambda v: bisect_right(own, v)
+
+
 def _probe(arrays: DataFrame, asks: dict, kind: T.DataType) -> dict:
     """For each ask (low, high, candidate): counts below and equal, and the blocks' middles
     (value, length) of (low, candidate) and (candidate, high); without a candidate only the
@@ -260,14 +269,14 @@ def _probe(arrays: DataFrame, asks: dict, kind: T.DataType) -> dict:
         for b in batches:
             rows = []
             for keys in b["keys"]:
-                keys = list(keys)
+                keys, left, right = _searches(keys)
                 for i, (low, high, cand) in asks.items():
-                    lo = bisect_right(keys, low) if low is not None else 0
-                    hi = bisect_left(keys, high) if high is not None else len(keys)
+                    lo = right(low) if low is not None else 0
+                    hi = left(high) if high is not None else len(keys)
                     if cand is None:
                         rows.append((i, 0, 0, keys[(lo + hi) // 2] if hi > lo else None, hi - lo, None, 0))
                         continue
-                    a, z = bisect_left(keys, cand), bisect_right(keys, cand)
+                    a, z = left(cand), right(cand)
                     down, up = a - lo, hi - z
                     rows.append((i, a, z - a, keys[(lo + a) // 2] if down > 0 else None, max(0, down), keys[(z + hi) // 2] if up > 0 else None, max(0, up)))
             yield pd.DataFrame(rows, columns=[f.name for f in schema.fields]).astype({"i": np.int32}) if rows else pd.DataFrame({f.name: [] for f in schema.fields})

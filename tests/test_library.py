@@ -136,3 +136,55 @@ def test_experiment_drivers_run(spark):
     assert set(timed) == {"exact/dup3", "regular/dup3"} and min(timed.values()) > 0
     assert set(bench.fig_block_sorters(spark, SF, 2, ("intro", "spark"), ("dup3",))) == {"intro/dup3", "spark/dup3"}
     assert set(bench.fig_mergers(spark, SF, 2, ("pairs", "resort"), ("dup3",))) == {"pairs/dup3", "resort/dup3"}
+
+
+def test_dataframe_sugar(spark):
+    import evensort
+    from evensort.functions.keys import By
+
+    rows = spark.createDataFrame([(i, i * 7 % 10, f"p{i}") for i in range(30)], "id bigint, key int, part string")
+    got = rows.drop("part").transform(evensort.sort([By("key", desc=True)], pos="id", method="exact", n_blocks=3, n_parts=4)).collect()
+    want = sorted(range(30), key=lambda i: (-(i * 7 % 10), i))
+    assert [r.id for r in sorted(got, key=lambda r: r.rnk)] == want and {r.part for r in got} == {0, 1, 2, 3}
+    first = rows.transform(evensort.top(["key", "id"], 5, n_blocks=3, n_parts=4)).collect()
+    assert sorted((r.key, r.id) for r in first) == sorted((i * 7 % 10, i) for i in range(30))[:5] and first[0].part.startswith("p")
+    assert [r.value for r in rows.transform(evensort.quantiles("id", [0.5, 1.0])).collect()] == [14, 29]
+
+
+def test_sketches_stay_within_their_bounds(spark):
+    rows = spark.range(20_000).select((F.col("id") * 7919 % 20_000).alias("v"), (F.col("id") % 3000).alias("g"))
+    exact = 3000
+    assert abs(rows.agg(F.approx_count_distinct("g", 0.02)).first()[0] - exact) <= 4 * 0.02 * exact
+    got = rows.agg(F.approx_percentile("v", F.array(F.lit(0.1), F.lit(0.5), F.lit(0.9)), 1000)).first()[0]
+    assert all(abs(v - q * 20_000) <= 20_000 / 1000 + 1 for v, q in zip(got, (0.1, 0.5, 0.9)))
+    kll = rows.selectExpr("kll_sketch_agg_bigint(v) AS s").selectExpr("kll_sketch_get_quantile_bigint(s, 0.5D) AS q").first().q
+    assert abs(kll - 10_000) <= 0.03 * 20_000
+
+
+def test_sample_is_seeded_and_near_its_rate(spark):
+    rows = spark.range(20_000)
+    a, b = (sorted(r.id for r in rows.sample(0.1, 5).collect()) for _ in range(2))
+    assert a == b and abs(len(a) - 2000) < 6 * (20_000 * 0.09) ** 0.5
+    by = rows.withColumn("g", F.col("id") % 2).sampleBy("g", {0: 0.2, 1: 0.0}, 3)
+    assert by.where("g = 1").count() == 0 and by.count() > 1500
+
+
+def test_text_round_trip(spark):
+    rows = spark.createDataFrame([(f"line {i} é",) for i in range(50)], "value string")
+    assert sorted(r.value for r in io.roundtrip(rows, "text").collect()) == sorted(f"line {i} é" for i in range(50))
+
+
+def test_a_stream_goes_on_where_it_stopped(spark, tmp_path):
+    """Two runs of one query on one checkpoint: the second reads only what is new."""
+    source, state, sink = (f"{tmp_path}/{n}" for n in ("in", "state", "out"))
+    schema = "id bigint, g string"
+
+    def run():
+        stream = spark.readStream.schema(schema).parquet(source)
+        stream.writeStream.format("parquet").option("checkpointLocation", state).option("path", sink).trigger(availableNow=True).start().awaitTermination()
+        return spark.read.parquet(sink).count()
+
+    spark.createDataFrame([(i, "a") for i in range(10)], schema).write.parquet(source)
+    assert run() == 10
+    spark.createDataFrame([(i, "b") for i in range(10, 17)], schema).write.mode("append").parquet(source)
+    assert run() == 17 and run() == 17
