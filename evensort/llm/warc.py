@@ -38,6 +38,8 @@ from ._arrow import append_columns, checkpoint, column, shared_folder
 
 LEAST = 100
 RECORDS_PER_FILE = 4000
+#: Payload bytes of a file, by the mean of all; the reader holds one file at a time.
+FILE_BYTES = 256 << 20
 #: A table of first pages is broadcast up to so many rows (under 100 bytes each).
 BROADCAST_ROWS = 50_000
 ID = "urn:page:"
@@ -75,22 +77,31 @@ def member(data: bytes, level: int = 6) -> bytes:
 
 def decide(pages: DataFrame, id_col: str = "page_id", text_col: str = "html", url_col: str | None = "url", least: int = LEAST) -> DataFrame:
     """(page_id, url, payload, digest, first, revisit) of every page."""
+    return _decided(pages, id_col, text_col, url_col, least)[0]
+
+
+def _decided(pages, id_col="page_id", text_col="html", url_col="url", least=LEAST) -> tuple[DataFrame, float]:
+    """The rows of ``decide``, and the mean payload's bytes."""
     url = column(url_col) if url_col in pages.columns else F.lit(None)
     base = pages.select(
         column(id_col).alias("page_id"), url.cast("string").alias("url"),
         F.coalesce(column(text_col).cast("binary"), F.lit(b"")).alias("payload"),
     ).withColumn("digest", F.sha2("payload", 256))
-    groups = base.where(F.octet_length("payload") >= least).groupBy("digest")
-    groups = checkpoint(groups.agg(F.min("page_id").alias("first"), F.count("*").alias("n")).where("n > 1").select(F.col("digest").alias("same"), "first"))
+    size = F.octet_length("payload")
+    every = checkpoint(base.groupBy("digest").agg(F.min("page_id").alias("first"), F.count("*").alias("n"), F.max(size).cast("bigint").alias("size")))
+    mean = every.agg(F.sum(F.col("n") * F.col("size")) / F.sum("n")).first()[0] or 0.0
+    groups = every.where((F.col("n") > 1) & (F.col("size") >= least)).select(F.col("digest").alias("same"), "first")
     small = groups.limit(BROADCAST_ROWS + 1).count() <= BROADCAST_ROWS
     joined = base.join(F.broadcast(groups) if small else groups, (F.col("digest") == F.col("same")), "left")
     revisit = F.col("first").isNotNull() & ~F.col("page_id").eqNullSafe(F.col("first"))
-    return joined.select("page_id", "url", "payload", "digest", "first", revisit.alias("revisit"))
+    return joined.select("page_id", "url", "payload", "digest", "first", revisit.alias("revisit")), mean
 
 
 def write(pages: DataFrame, path: str, records_per_file: int = RECORDS_PER_FILE, **how) -> None:
-    """Write every page as a record to archives in the folder ``path``."""
-    rows = decide(pages, **how)
+    """Write every page as a record to archives in the folder ``path``: up to
+    ``records_per_file`` a file, fewer where they are large."""
+    rows, mean = _decided(pages, **how)
+    records_per_file = max(1, min(records_per_file, int(FILE_BYTES / max(1, mean))))
 
     def kernel(ids, urls, payloads, digests, firsts, revisits):
         made = []

@@ -142,3 +142,12 @@ def test_empty_and_clashing_tables(spark):
     path = warc.new_folder(spark)
     warc.write(df, path)
     assert [r.payload_bytes for r in warc.read(spark, path).collect()] == [3]
+
+
+def test_large_pages_make_small_files(spark, monkeypatch):
+    monkeypatch.setattr(warc, "FILE_BYTES", 5000)
+    df = spark.createDataFrame([(i, "u", f"{i} " * 400) for i in range(20)], "page_id bigint, url string, html string").coalesce(1)
+    path = warc.new_folder(spark)
+    warc.write(df, path)
+    assert len(glob.glob(path.removeprefix("file://") + "/part-*")) >= 4
+    assert warc.read(spark, path).count() == 20
