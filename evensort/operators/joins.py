@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..functions.keys import count_bounds, literal
+from ..functions.keys import count_bounds, literal, with_count
 from . import pivots
 from .blocks import assign_blocks
 from .partition import route_by_exact_cuts
@@ -27,15 +27,46 @@ def range_join(points: DataFrame, ranges: DataFrame, point: str, lo: str, hi: st
     return left.join(right, "__part").where(held).drop("__part")
 
 
-def asof(left: DataFrame, right: DataFrame, by: str, time: str, values: dict[str, str]) -> DataFrame:
+#: Rows whose (key, time) place the cuts of an as-of join.
+SAMPLE = 4000
+
+
+def asof(left: DataFrame, right: DataFrame, by: str, time: str, values: dict[str, str], n_parts: int | None = None) -> DataFrame:
     """Each left row with columns of the latest right row at or before its time (ties: the
-    right row counts as before).  One shuffle on ``by``, one ordered pass, no pairs."""
-    names = [c for c in left.columns]
-    a = left.select(F.lit(1).alias("__side"), F.struct(*names).alias("__row"), F.col(by).alias("__by"), F.col(time).alias("__t"), F.lit(None).cast(right.select(F.struct(*[F.col(c).alias(n) for n, c in values.items()])).schema[0].dataType).alias("__v"))
-    b = right.select(F.lit(0).alias("__side"), F.lit(None).cast(a.schema["__row"].dataType).alias("__row"), F.col(by).alias("__by"), F.col(time).alias("__t"), F.struct(*[F.col(c).alias(n) for n, c in values.items()]).alias("__v"))
-    w = Window.partitionBy("__by").orderBy("__t", "__side").rowsBetween(Window.unboundedPreceding, 0)
-    both = a.unionByName(b).withColumn("__last", F.last("__v", ignorenulls=True).over(w))
-    return both.where("__side = 1").select("__row.*", *[F.col("__last")[n].alias(n) for n in values])
+    right row counts as before); null keys and times match nothing.
+
+    Both sides go to ranges of (key, time), cut by a sample, so a hot key spreads over as many
+    parts as its rows fill.  One shuffle and one ordered pass; what a part lacks of its first
+    key comes from the parts before, of which one row each is read."""
+    names, picked = list(left.columns), list(values)
+    n_parts = n_parts or int(left.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    value = F.struct(*[F.col(c).alias(n) for n, c in values.items()])
+    kept = F.struct(*[F.col(c).alias(f"c{i}") for i, c in enumerate(names)])
+    a = left.select(F.lit(1).alias("side"), kept.alias("row"), F.col(by).alias("by"), F.col(time).alias("t"))
+    b = right.where(F.col(by).isNotNull() & F.col(time).isNotNull()).select(F.lit(0).alias("side"), F.col(by).alias("by"), F.col(time).alias("t"), value.alias("v"))
+    both = a.unionByName(b, allowMissingColumns=True)
+    at = F.struct("by", "t")
+    share = min(1.0, SAMPLE / max(1, both.count()))
+    sample = sorted((tuple(r) for r in both.select("by", "t").dropna().sample(share, 3).collect()))
+    kind = both.select(at.alias("at")).schema["at"].dataType
+    cuts = sorted({sample[len(sample) * k // n_parts] for k in range(1, n_parts)}) if sample else []
+    routed = with_count(both, "part", at, [dict(zip(("by", "t"), c)) for c in cuts], kind)
+    placed = place(routed, n_parts)
+    w = Window.partitionBy("__id", "by").orderBy("t", "side").rowsBetween(Window.unboundedPreceding, 0)
+    seen = placed.withColumn("own", F.last("v", ignorenulls=True).over(w))
+    order = F.struct("by", "t", "side")
+    ends = seen.groupBy("__id").agg(F.min("by").alias("first_by"), F.max_by(F.struct("by", F.col("own").alias("v")), order).alias("last"))
+    # a part asks for its first key, and offers what it has of its last one to those behind it
+    asks = ends.select(F.col("__id").alias("p"), F.lit(0).alias("offers"), F.col("first_by").alias("k"), F.lit(None).cast(both.schema["v"].dataType).alias("v"))
+    offers = ends.select("__id", F.lit(1), "last.by", "last.v")
+    before = Window.partitionBy("k").orderBy("p", "offers").rowsBetween(Window.unboundedPreceding, -1)
+    carried = asks.union(offers).withColumn("carried", F.last("v", ignorenulls=True).over(before)).where("offers = 0")
+    carried = carried.select("p", "k", "carried")
+    # one row a part
+    held_by = (F.col("__id") == F.col("p")) & F.col("by").eqNullSafe(F.col("k"))
+    out = seen.where("side = 1").join(F.broadcast(carried), held_by, "left")
+    found = F.coalesce("own", "carried")
+    return out.select(*[F.col("row")[f"c{i}"].alias(c) for i, c in enumerate(names)], *[found[n].alias(n) for n in picked])
 
 
 def exact_cuts_join(left: DataFrame, right: DataFrame, n_parts: int, n_blocks: int = 8) -> DataFrame:

@@ -188,3 +188,15 @@ def test_a_stream_goes_on_where_it_stopped(spark, tmp_path):
     assert run() == 10
     spark.createDataFrame([(i, "b") for i in range(10, 17)], schema).write.mode("append").parquet(source)
     assert run() == 17 and run() == 17
+
+
+def test_asof_spreads_a_hot_key(spark):
+    left = spark.createDataFrame([(i, 1 if i % 8 else i % 5, i * 37 % 400) for i in range(400)] + [(900, None, 3), (901, 1, None)], "id int, by int, t int")
+    right = spark.createDataFrame([(100 + i, 1 if i % 9 else 2, i * 53 % 390) for i in range(60)] + [(7, None, 1)], "rid int, by int, t int")
+    out = joins.asof(left, right, "by", "t", {"rt": "t"}, n_parts=6)
+    got = {r.id: r.rt for r in out.collect()}
+    assert len(got) == 402 and out.columns == ["id", "by", "t", "rt"]
+    rights = right.collect()
+    for r in left.collect():
+        want = max((x.t for x in rights if r.by is not None and x.by == r.by and r.t is not None and x.t <= r.t), default=None)
+        assert got[r.id] == want, r
