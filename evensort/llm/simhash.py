@@ -42,8 +42,8 @@ THRESHOLD = 4
 #: One of five blocks: 5 buckets a fingerprint, of 12 or 13 bits.
 BLOCKS = 5
 FANOUT = 16
-#: Buckets over so many codes are cut again.
-HOT = 200_000
+#: Buckets over so many codes are cut again: a tree then looks at a few thousand codes a query.
+HOT = 4096
 #: Rows gathered before finished buckets are searched; bounds a task's memory beside its largest bucket.
 GATHER = 400_000
 
