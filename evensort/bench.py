@@ -100,6 +100,32 @@ def kernel_work(n: int = 20_000) -> dict[str, dict]:
     return out
 
 
+def merger_work(n: int = 20_000, blocks_n: int = 8) -> dict[str, dict]:
+    """Counted work of each merger on one partition of n elements from sorted runs of as many
+    blocks; a re-sort is counted as introsort of the appended runs."""
+    import numpy as np
+
+    rng = np.random.default_rng(2)
+    whole = np.arange(n * blocks_n)
+    at = rng.permutation(len(whole))[: int(len(whole) ** 0.5) // 2 * 2]
+    whole[at[::2]], whole[at[1::2]] = whole[at[1::2]], whole[at[::2]].copy()
+    inputs = {"uniform_int": rng.integers(0, 1 << 32, len(whole)), "almost_sorted": whole, "dup3": rng.integers(0, 3, len(whole))}
+    out = {}
+    for s, keys in inputs.items():
+        blocks_ = [np.sort(b) for b in np.array_split(keys, blocks_n)]
+        # the middle partition of exact cuts, as every block gives to it
+        order = np.argsort(np.concatenate(blocks_), kind="stable")
+        part = np.sort(order[len(order) // 2 : len(order) // 2 + n])
+        home = part // n
+        own = np.concatenate(blocks_)[part]
+        runs = [np.flatnonzero(home == b) for b in range(blocks_n)]
+        for m in ("tournament", "binary_heap", "resort"):
+            stats = kernels.Stats()
+            kernels.MERGERS[m](own, runs, stats)
+            out[f"{m}/{s}"] = vars(stats)
+    return out
+
+
 def claims(spark: SparkSession, sf_dir: str, threads=(2, 4, 12, 24, 48)) -> dict[str, dict[int, float]]:
     """Merge bounds (N / n_P) / largest partition of the three methods on the three-valued key:
     sampling saturates, exact cuts stay at one, snapped cuts lie between."""

@@ -200,3 +200,21 @@ def test_asof_spreads_a_hot_key(spark):
     for r in left.collect():
         want = max((x.t for x in rights if r.by is not None and x.by == r.by and r.t is not None and x.t <= r.t), default=None)
         assert got[r.id] == want, r
+
+
+def test_what_a_re_sort_meets_in_almost_sorted_runs():
+    work = bench.merger_work()
+    for s in ("uniform_int", "almost_sorted", "dup3"):
+        assert work[f"tournament/{s}"]["comparisons"] < work[f"resort/{s}"]["comparisons"] / 3
+    assert work["tournament/uniform_int"]["comparisons"] < work["binary_heap/uniform_int"]["comparisons"]
+    # introsort ends in heapsort there, and not on random runs
+    assert work["resort/almost_sorted"]["fallbacks"] > 0 == work["resort/uniform_int"]["fallbacks"]
+    assert work["resort/almost_sorted"]["comparisons"] > 1.5 * work["resort/uniform_int"]["comparisons"]
+
+
+def test_counted_work_of_block_sorters():
+    work = bench.kernel_work()
+    assert all(w["fallbacks"] == 0 for w in work.values())
+    for s in ("uniform_int", "almost_sorted"):
+        assert work[f"branchless/{s}"]["branches"] < work[f"intro/{s}"]["branches"] / 4
+    assert work["three_way/dup3"]["comparisons"] == min(work[f"{k}/dup3"]["comparisons"] for k in ("plain_quick", "intro", "branchless", "three_way", "merge_block"))
