@@ -44,8 +44,9 @@ BLOCK = 64
 #: Most cells of the dense rows of frequent terms, those in over one of ``SPARSE`` examples.
 DENSE = 6_000_000
 SPARSE = 80
-#: Queries that share one product with the dense rows.
-TOGETHER = 64
+#: Queries that share one product with the dense rows, in single precision; room for its rounding.
+TOGETHER = 256
+ROUNDING = 1e-5
 PREFIXES = (3, 4, 5, 6)
 LEAST_ROWS = 3
 #: Chi-square of one degree at p = 0.001: terms over it are kept.
@@ -160,7 +161,7 @@ class Index:
         frequent = frequent[df[frequent] * SPARSE > self.n]
         self.row = np.full(self.n_terms, -1)
         self.row[frequent] = np.arange(len(frequent))
-        self.dense = np.zeros((len(frequent), self.n))
+        self.dense = np.zeros((len(frequent), self.n), np.float32)
         examples = np.repeat(np.arange(self.n), np.diff(self.ends))
         rows = self.row[self.terms]
         self.dense[rows[rows >= 0], examples[rows >= 0]] = self.weights[rows >= 0]
@@ -200,7 +201,7 @@ class Index:
         found = []
         for at in range(0, len(many), TOGETHER):
             weighed = [self.weigh(c) for c in many[at : at + TOGETHER]]
-            queries = np.zeros((len(weighed), len(self.dense)))
+            queries = np.zeros((len(weighed), len(self.dense)), np.float32)
             for query, (terms, q) in zip(queries, weighed):
                 rows = self.row[terms]
                 query[rows[rows >= 0]] = q[rows >= 0]
@@ -214,7 +215,7 @@ class Index:
             return np.zeros(0, np.int64), np.zeros(0)
         if without >= 0:
             scores[without] = -np.inf
-        # other terms only add: the k-th best so far is a lower bound; 1e-9 is room for rounding
+        # other terms only add: the k-th best so far is a lower bound
         least = np.partition(scores, -k)[-k] if k < self.n else 0.0
         rare = self.row[terms] < 0
         if rare.any():
@@ -227,15 +228,15 @@ class Index:
             some = 1 + 2 * k // self.block
             for blocks in (order[:some], order[some:]):
                 wanted = np.zeros(len(bound), bool)
-                wanted[blocks] = bound[blocks] >= least - 1e-9
+                wanted[blocks] = bound[blocks] >= least - ROUNDING
                 # postings of other blocks are not read
                 kept = wanted[self.entry_block[entries]]
                 at, n = _ranges(self.entry_at[entries[kept]], self.entry_at[entries[kept]] + self.entry_n[entries[kept]])
                 self.read += len(at)
                 scores += np.bincount(self.ids[at], np.repeat(weight[kept], n) * self.posted[at], minlength=self.n)
                 least = np.partition(scores, -k)[-k] if k < self.n else 0.0
-        near = np.flatnonzero(scores >= max(least - 1e-9, 1e-12))
-        # summed again in one order, so that equal texts and ties don't hang on the product's shape
+        near = np.flatnonzero(scores >= max(least - ROUNDING, 1e-12))
+        # summed again, in double precision and one order: neither ties nor equal texts hang on the product
         query = np.zeros(self.n_terms)
         query[terms] = q
         cut = [slice(self.ends[i], self.ends[i + 1]) for i in near.tolist()]
