@@ -48,14 +48,16 @@ def main() -> None:
     times = {}
     for name in HEADLINE:
         times[name] = round(bench.once(lambda name=name: every[name](spark, sf_dir)), 3)
-    runs, copies = int(os.environ.get("BENCH_RUNS", "3")), int(os.environ.get("BENCH_COPIES", "67"))
+    runs, copies = int(os.environ.get("BENCH_RUNS", "1")), int(os.environ.get("BENCH_COPIES", "1"))
+    both, rules = ("uniform_int", "dup3"), ("exact", "stable_snap")
     claims = bench.claims(spark, sf_dir)
-    # the engine's own steps, and the study's block sorter and merger; about 10^7 rows beside
-    means = bench.fig_time(spark, sf_dir, cpus, ("exact", "regular", "stable_snap"), ("uniform_int", "dup3"), runs)
-    steps = bench.fig_time(spark, sf_dir, cpus, ("exact", "regular", "stable_snap"), ("uniform_int", "dup3"), max(1, runs - 1), stepwise=True)
-    large = bench.fig_time(spark, sf_dir, cpus, ("exact", "regular", "stable_snap"), ("uniform_int", "dup3"), max(1, runs - 2), copies) if copies > 1 else {}
-    sorters = bench.fig_block_sorters(spark, sf_dir, cpus, ("intro", "three_way", "branchless"), ("uniform_int", "dup3"), max(1, runs - 2))
-    mergers = bench.fig_mergers(spark, sf_dir, cpus, ("tournament", "pairs", "binary_heap", "resort"), ("uniform_int", "almost_sorted"), max(1, runs - 2))
+    # means after a run that warms up; more copies (67 make 10^7 rows) and the study's steps on demand
+    means = bench.fig_time(spark, sf_dir, cpus, rules, both, runs)
+    full = "BENCH_FULL" in os.environ
+    large = bench.fig_time(spark, sf_dir, cpus, rules, both, runs, copies) if copies > 1 else {}
+    steps = bench.fig_time(spark, sf_dir, cpus, ("exact", "regular", "stable_snap"), both, runs, stepwise=True) if full else {}
+    sorters = bench.fig_block_sorters(spark, sf_dir, cpus, ("intro", "three_way", "branchless"), both, runs) if full else {}
+    mergers = bench.fig_mergers(spark, sf_dir, cpus, ("tournament", "pairs", "binary_heap", "resort"), ("uniform_int", "almost_sorted"), runs) if full else {}
     out = {"metric": "total seconds of headline queries", "value": round(sum(times.values()), 3), "unit": "sec", "queries": times, "sf": os.path.basename(sf_dir.rstrip("/")).removeprefix("sf"), "cpus": cpus}
     out["merge_bound_dup3"] = claims
     rounded = lambda d: {k: round(v, 3) for k, v in d.items()}
