@@ -16,6 +16,8 @@ from .sources import workloads
 
 #: Runs of a figure; the study has as many.
 RUNS = 20
+#: Runs of the drivers of steps, which take four variants of six sequences.
+FEW = 3
 METHODS = ("exact", "regular", "stable_snap", "native")
 
 
@@ -72,12 +74,12 @@ def fig_efficiency(session, sf_dir: str, threads: list[int], methods=("exact", "
     return {f"{key}/{t}": times[key, 1] / (t * sec) for (key, t), sec in times.items()}
 
 
-def fig_block_sorters(spark: SparkSession, sf_dir: str, threads: int, names=("intro", "three_way", "branchless", "spark"), sequences=workloads.SEQUENCES, runs: int = RUNS, copies: int = 1) -> dict[str, float]:
+def fig_block_sorters(spark: SparkSession, sf_dir: str, threads: int, names=("intro", "three_way", "branchless", "spark"), sequences=workloads.SEQUENCES, runs: int = FEW, copies: int = 1) -> dict[str, float]:
     """Seconds of the exact sort with each block sorter under the tournament."""
     return _timed(spark, sf_dir, sequences, {k: {"block_sort": k, "merge": "tournament"} for k in names}, threads, runs, copies)
 
 
-def fig_mergers(spark: SparkSession, sf_dir: str, threads: int, names=("tournament", "pairs", "binary_heap", "resort"), sequences=workloads.SEQUENCES, runs: int = RUNS, copies: int = 1) -> dict[str, float]:
+def fig_mergers(spark: SparkSession, sf_dir: str, threads: int, names=("tournament", "pairs", "binary_heap", "resort"), sequences=workloads.SEQUENCES, runs: int = FEW, copies: int = 1) -> dict[str, float]:
     """Seconds of the exact sort with each merger over introsorted blocks."""
     return _timed(spark, sf_dir, sequences, {m: {"block_sort": "intro", "merge": m} for m in names}, threads, runs, copies)
 
