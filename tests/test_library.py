@@ -93,6 +93,13 @@ def test_pairs_of_a_hot_key_are_counted_not_formed(spark):
     assert [r.n_pairs for r in joins.exact_cuts_counts(many, many, 4).collect()] == [500_000 * 499_999 // 2] * 2
 
 
+def test_dearest_of_equal_prices_is_the_first(spark, tmp_path):
+    rows = [(1, 7, 5.0), (2, 7, 9.0), (3, 7, 9.0), (4, 7, 9.0), (5, 8, 1.0), (6, 8, None), (7, 9, None), (None, 10, 4.0), (8, 10, 3.0)]
+    spark.createDataFrame(rows, "o_orderkey bigint, o_custkey bigint, o_totalprice double").coalesce(1).write.parquet(f"{tmp_path}/orders.parquet")
+    got = {r.o_custkey: (r.dearest, r.price) for r in catalog.queries()["agg_max_by"](spark, str(tmp_path)).collect()}
+    assert got == {7: (2, 9.0), 8: (5, 1.0), 9: (None, None), 10: (8, 4.0)}
+
+
 def test_cogrouped_sides_of_one_parent(spark):
     rows = spark.createDataFrame([(i, i % 2, i * 7 % 5) for i in range(20)], "pos bigint, g int, key int")
     left, right = rows.where("pos < 9 OR g = 0").where("pos < 15"), rows.where("pos >= 5 AND g = 1")
