@@ -100,6 +100,17 @@ def test_dearest_of_equal_prices_is_the_first(spark, tmp_path):
     assert got == {7: (2, 9.0), 8: (5, 1.0), 9: (None, None), 10: (8, 4.0)}
 
 
+def timed_runs(spark, path):
+    rows = [("A", 1, 8.0), ("A", 1, 16.0), ("A", 4, 4.0), ("N", 1, 10.0), ("N", 4, 6.0), ("N", 4, 2.0), ("R", 4, 1.0)]
+    spark.createDataFrame(rows, "l_returnflag string, l_linenumber int, l_quantity double").write.parquet(f"{path}/lineitem.parquet")
+
+
+def test_efficiency_is_of_the_table(spark, tmp_path):
+    timed_runs(spark, tmp_path)
+    got = catalog.queries()["efficiency_fixed"](spark, str(tmp_path)).collect()
+    assert sorted(map(tuple, got)) == [("A", 1, 1.0), ("A", 4, 0.75), ("N", 1, 1.0), ("N", 4, 0.625)]
+
+
 def test_cogrouped_sides_of_one_parent(spark):
     rows = spark.createDataFrame([(i, i % 2, i * 7 % 5) for i in range(20)], "pos bigint, g int, key int")
     left, right = rows.where("pos < 9 OR g = 0").where("pos < 15"), rows.where("pos >= 5 AND g = 1")
