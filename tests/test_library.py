@@ -111,6 +111,21 @@ def test_efficiency_is_of_the_table(spark, tmp_path):
     assert sorted(map(tuple, got)) == [("A", 1, 1.0), ("A", 4, 0.75), ("N", 1, 1.0), ("N", 4, 0.625)]
 
 
+def example_orders(spark, path, n):
+    rows = [(i, "5-LOW" if i % 6 == 2 else "1-URGENT") for i in range(n)]
+    spark.createDataFrame(rows, "o_orderkey bigint, o_orderpriority string").write.parquet(f"{path}/orders.parquet")
+
+
+def test_example_divides_duplicates_of_the_table(spark, tmp_path):
+    """Six rows are those of the worked example; more of them keep its shares."""
+    for n in (6, 61):
+        example_orders(spark, f"{tmp_path}/{n}", n)
+        got = sorted(map(tuple, catalog.queries()["example_duplicates"](spark, f"{tmp_path}/{n}").collect()))
+        keys = [4 if i % 6 == 2 else 1 for i in range(n)]
+        rank = {i: r for r, i in enumerate(sorted(range(n), key=lambda i: (keys[i], i)))}
+        assert got == [(i, keys[i], i // -(-n // 2), rank[i] * 2 // n, int(keys[i] > 1), rank[i]) for i in range(n)]
+
+
 def test_cogrouped_sides_of_one_parent(spark):
     rows = spark.createDataFrame([(i, i % 2, i * 7 % 5) for i in range(20)], "pos bigint, g int, key int")
     left, right = rows.where("pos < 9 OR g = 0").where("pos < 15"), rows.where("pos >= 5 AND g = 1")
