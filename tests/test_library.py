@@ -126,6 +126,15 @@ def test_example_divides_duplicates_of_the_table(spark, tmp_path):
         assert got == [(i, keys[i], i // -(-n // 2), rank[i] * 2 // n, int(keys[i] > 1), rank[i]) for i in range(n)]
 
 
+def test_example_sorts_the_table(spark, tmp_path):
+    example_orders(spark, tmp_path, 60)
+    got = sorted(map(tuple, catalog.queries()["example_four_step"](spark, str(tmp_path)).collect()))
+    keys = generator.mix32(np.arange(60)).tolist()
+    rank = {i: r for r, i in enumerate(sorted(range(60), key=keys.__getitem__))}
+    pivot = min(sorted(keys[:30])[15], sorted(keys[30:])[15])
+    assert got == [(i, keys[i], i // 30, rank[i] * 2 // 60, int(keys[i] > pivot), rank[i]) for i in range(60)]
+
+
 def test_cogrouped_sides_of_one_parent(spark):
     rows = spark.createDataFrame([(i, i % 2, i * 7 % 5) for i in range(20)], "pos bigint, g int, key int")
     left, right = rows.where("pos < 9 OR g = 0").where("pos < 15"), rows.where("pos >= 5 AND g = 1")
