@@ -135,6 +135,12 @@ def test_example_sorts_the_table(spark, tmp_path):
     assert got == [(i, keys[i], i // 30, rank[i] * 2 // 60, int(keys[i] > pivot), rank[i]) for i in range(60)]
 
 
+def test_speed_ratio_is_of_the_table(spark, tmp_path):
+    timed_runs(spark, tmp_path)
+    got = catalog.queries()["speed_ratio_fixed"](spark, str(tmp_path)).collect()
+    assert sorted(map(tuple, got)) == [("A", 1, 0.833333), ("A", 4, 1.0), ("N", 1, 1.0), ("N", 4, 1.0), ("R", 4, 4.0)]
+
+
 def test_cogrouped_sides_of_one_parent(spark):
     rows = spark.createDataFrame([(i, i % 2, i * 7 % 5) for i in range(20)], "pos bigint, g int, key int")
     left, right = rows.where("pos < 9 OR g = 0").where("pos < 15"), rows.where("pos >= 5 AND g = 1")
